@@ -119,3 +119,24 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
         raise RuntimeError("components did not settle")
     nodes = now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("component")))
     return nodes.groupBy("node").agg(F.min("component").alias("component"))
+
+
+def may_match(df: DataFrame, key: str, keys: DataFrame, bits: int = 1 << 22) -> DataFrame:
+    """``df`` with a boolean column ``_may``: false means that ``key`` is surely not among ``keys`` (one column of that name).
+
+    The broadcast is a bit table of fixed size (``bits`` / 64 rows at most), however many keys there are; a full table only
+    stops helping. Null keys are never marked.
+    """
+    place = F.pmod(F.xxhash64(key), F.lit(bits))
+    word, bit = (place / 64).cast("int"), (place % 64).cast("int")
+    words = keys.filter(F.col(key).isNotNull()).select(word.alias("_word"), F.call_function("shiftleft", F.lit(1).cast("long"), bit).alias("_bit"))
+    words = words.groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
+    hit = F.call_function("getbit", F.coalesce("_bits", F.lit(0).cast("long")), bit) == 1
+    return df.withColumn("_word", word).join(F.broadcast(words), "_word", "left").withColumn("_may", hit & F.col(key).isNotNull()).drop("_word", "_bits")
+
+
+def without(df: DataFrame, key: str, keys: DataFrame) -> DataFrame:
+    """Rows of ``df`` whose ``key`` is not among ``keys``; only rows that the bit table can't clear are shuffled."""
+    marked = may_match(df, key, keys)
+    clear = marked.filter(~F.col("_may")).drop("_may")
+    return clear.unionByName(marked.filter("_may").drop("_may").join(keys.select(key).distinct(), key, "left_anti"))

@@ -24,10 +24,10 @@ import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import filesystem, new_folder, read_file, write_file, written
+from .common import filesystem, may_match, new_folder, read_file, write_file, written
 
 MAGIC = b"WARC/1.1\r\n"
 END = b"\r\n\r\n"
@@ -63,9 +63,7 @@ def with_revisits(pages: DataFrame, min_revisit: int = 100) -> DataFrame:
     groups = light.groupBy("digest").agg(F.min("page_id").alias("_first"), F.count(F.lit(1)).alias("_n")).filter("_n > 1").drop("_n")
     groups = written(groups, "warc-groups")
     later = light.join(groups, "digest").filter("page_id <> _first or (page_id is null) <> (_first is null)").select("page_id", "digest", F.col("_first").alias("refers_to")).distinct()
-    place = F.pmod(F.xxhash64("digest"), F.lit(BITS))
-    words = groups.select((place / 64).cast("int").alias("_word"), F.call_function("shiftleft", F.lit(1).cast("long"), (place % 64).cast("int")).alias("_bit")).groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
-    marked = base.withColumn("_word", (place / 64).cast("int")).join(F.broadcast(words), "_word", "left").withColumn("_may", F.coalesce(F.call_function("getbit", F.col("_bits"), (place % 64).cast("int")), F.lit(0)) == 1)
+    marked = may_match(base, "digest", groups.select("digest"), BITS)
     cols = ["page_id", "url", "html", "digest"]
     alone = marked.filter(~F.col("_may")).select(*cols, F.lit(None).cast("long").alias("refers_to"))
     maybe = marked.filter("_may").select(*cols).join(later.withColumnRenamed("page_id", "_p").withColumnRenamed("digest", "_d"), F.col("page_id").eqNullSafe(F.col("_p")) & (F.col("digest") == F.col("_d")), "left").select(*cols, "refers_to")
