@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import language, mixing, near_dups, packing, token_files, warc
+from . import embedding_dups, language, mixing, near_dups, packing, token_files, topk, warc
 
 
 def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
@@ -23,10 +23,19 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.read_tokens(token_files.write_tokens(table(spark, sf_dir, "documents"), tokenizer_path()))
 
 
+def op2_embedding_dups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_dups.near_duplicates(table(spark, sf_dir, "embeddings"), 0.9)
+
+
 def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op5_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings")
+    return topk.search(vectors, vectors.filter("vec_id % 50 = 0"), k=5, scale=256)
+
+
 def op6_near_dups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dups.near_duplicates(table(spark, sf_dir, "documents"), k=3, percent=85)
 
@@ -44,8 +53,87 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op3_mixing, op6_near_dups, op8_language, op9_warc, op10_packing)}
+    return {f.__name__: f for f in (op1_token_files, op2_embedding_dups, op3_mixing, op5_topk, op6_near_dups, op8_language, op9_warc, op10_packing)}
+
+
+_FINITE = "embedding is not null and vec_id is not null and len(list_filter(embedding, lambda x: x is null or isnan(x) or isinf(x))) = 0"
+
+ORACLES = {
+    "op2_embedding_dups": f"""
+with recursive good as materialized (
+  select vec_id, embedding::double[] e from embeddings where {_FINITE} and len(list_filter(embedding, lambda x: x <> 0)) > 0),
+links as materialized (
+  select a.vec_id a, b.vec_id b from good a join good b on a.vec_id <> b.vec_id and len(a.e) = len(b.e)
+  where list_cosine_similarity(a.e, b.e) >= 0.9),
+reach(a, b) as (select a, b from links union select r.a, l.b from reach r join links l on r.b = l.a),
+comp as (select a, least(a, min(b)) c from reach group by a),
+n as (select a, count(*) n from links group by a)
+select e.vec_id, coalesce(n.n, 0)::bigint n_links, coalesce(c.c, e.vec_id) component_id, coalesce(c.c, e.vec_id) = e.vec_id kept
+from embeddings e left join n on n.a = e.vec_id left join comp c on c.a = e.vec_id""",
+    "op3_mixing": r"""
+with d as (
+  select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::bigint size,
+    (('0x' || substr(md5(coalesce(doc_id::varchar, '') || 'mix'), 1, 13))::bigint + 0.5::double) / 4503599627370496::double u
+  from documents),
+s as (select source, sum(size)::bigint s from d group by source),
+w as (select *, [5, 2, 1][((row_number() over (order by source is null, source)) - 1) % 3 + 1] w from s),
+r as (select *, s * 3 cap, (s * 3)::double / w ratio from w),
+l as (
+  select *, (sum(s) over () - coalesce(sum(cap) over o, 0))::double / (sum(w) over () - coalesce(sum(w) over o, 0))::double level
+  from r window o as (order by ratio, source is null, source rows between unbounded preceding and 1 preceding)),
+f as (select min_by(level, ratio) l, min(ratio) r from l where level <= ratio),
+t as (
+  select source, s source_size, case when f.r is null or ratio < f.r then cap::double else least(f.l * w, cap::double) end target
+  from l, f),
+x as (
+  select d.*, t.source_size, t.target, case when t.source_size > 0 then t.target / t.source_size else 0 end rate
+  from d join t on d.source is not distinct from t.source),
+y as (select *, floor(rate)::bigint sure, least(greatest(rate - floor(rate), 1e-9), 1 - 1e-9) p from x),
+z as (
+  select *, (u / (1 - u)) / (p / (1 - p)) k, target - (sum(size * sure) over (partition by source)) room, sure < 3 can from y),
+c as (select *, sum(size) over (partition by source order by k, doc_id rows unbounded preceding) cum from z),
+g as (
+  select *, can and cum <= room taken_first, room - sum(case when can and cum <= room then size else 0 end) over (partition by source) gap
+  from c),
+b as (
+  select *, can and not taken_first and abs(gap - size) < abs(gap) fits,
+    row_number() over (partition by source order by case when can and not taken_first and abs(gap - size) < abs(gap) then 0 else 1 end,
+      abs(gap - size), k, doc_id, size) pos
+  from g)
+select doc_id, size, source_size, target, (size * (sure + case when taken_first or (fits and pos = 1) then 1 else 0 end))::bigint taken from b""",
+    "op5_topk": f"""
+with v as (select vec_id, list_transform(embedding, lambda x: floor(256 * x::double)::bigint) e from embeddings where {_FINITE}),
+s as (
+  select q.vec_id query_id, v.vec_id, (select sum(q.e[i] * v.e[i]) from unnest(range(1, len(q.e) + 1)) t(i))::bigint score
+  from v q join v on q.vec_id % 50 = 0 and v.vec_id <> q.vec_id and len(v.e) = len(q.e)),
+r as (select query_id, (row_number() over (partition by query_id order by score desc, vec_id))::int rank, vec_id, score from s)
+select * from r where rank <= 5""",
+    "op6_near_dups": r"""
+with recursive w as (
+  select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') w
+  from documents),
+s as materialized (
+  select distinct doc_id, unnest(case when len(w) = 0 then [] else
+    list_transform(range(1, greatest(len(w) - 2, 1) + 1), lambda i: array_to_string(w[i:i + 2], ' ')) end) g
+  from w),
+n as materialized (select doc_id, count(*) n from s group by doc_id),
+links as materialized (
+  select a, b from (select x.doc_id a, y.doc_id b, count(*) i from s x join s y on x.g = y.g and x.doc_id <> y.doc_id group by all) p
+  join n na on na.doc_id = a join n nb on nb.doc_id = b where 100 * i >= 85 * (na.n + nb.n - i)),
+reach(a, b) as (select a, b from links union select r.a, l.b from reach r join links l on r.b = l.a),
+comp as (select a, least(a, min(b)) c from reach group by a)
+select d.doc_id, coalesce(n.n, 0)::bigint n_shingles, coalesce(c.c, d.doc_id) component_id, coalesce(c.c, d.doc_id) = d.doc_id kept
+from documents d left join n on n.doc_id = d.doc_id left join comp c on c.a = d.doc_id""",
+    "op9_warc": """
+with p as (select page_id, encode(coalesce(html, '')) b from pages),
+d as (select page_id, octet_length(b) n, sha256(b) h from p),
+f as (select h, min(page_id) first from d where n >= 100 group by h)
+select d.page_id, d.n::bigint payload_bytes, d.h payload_digest,
+  case when d.n >= 100 and d.page_id <> f.first then 'revisit' else 'response' end record_type,
+  case when d.n >= 100 and d.page_id <> f.first then f.first end refers_to
+from d left join f using (h)""",
+}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return ORACLES
