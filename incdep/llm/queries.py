@@ -105,10 +105,10 @@ b as (
       abs(gap - size), k, doc_id, size) pos
   from g)
 select doc_id, size, source_size, target, (size * (sure + case when taken_first or (fits and pos = 1) then 1 else 0 end))::bigint taken from b""",
-    # the given pages have one layout, whose article an expression can cut out; character references are the three that occur in it
+    # the given pages have one layout, whose article an expression can cut out; character references are those that escape text
     "op4_main_text": r"""
 with a as (select page_id, url, regexp_replace(regexp_extract(html, '(?s)<article>(.*)</article>', 1), '<[^>]*>', ' ', 'g') t from pages),
-b as (select page_id, url, trim(regexp_replace(replace(replace(replace(t, '&lt;', '<'), '&gt;', '>'), '&amp;', '&'), '\s+', ' ', 'g')) t from a)
+b as (select page_id, url, trim(regexp_replace(replace(replace(replace(replace(replace(t, '&lt;', '<'), '&gt;', '>'), '&quot;', '"'), '&#x27;', ''''), '&amp;', '&'), '\s+', ' ', 'g')) t from a)
 select page_id, url, t as "text", length(t) n_chars from b""",
     "op5_topk": f"""
 with v as (select vec_id, list_transform(embedding, lambda x: floor(256 * x::double)::bigint) e from embeddings where {_FINITE}),
