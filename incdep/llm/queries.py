@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import embedding_dups, language, main_text, mixing, near_dups, packing, token_files, topk, warc
+from . import embedding_dups, language, licenses, main_text, mixing, near_dups, packing, token_files, topk, warc
 
 
 def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
@@ -44,6 +44,10 @@ def op6_near_dups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dups.near_duplicates(table(spark, sf_dir, "documents"), k=3, percent=85)
 
 
+def op7_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op8_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.predictions(table(spark, sf_dir, "documents"))
 
@@ -57,7 +61,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_embedding_dups, op3_mixing, op4_main_text, op5_topk, op6_near_dups, op8_language, op9_warc, op10_packing)}
+    return {f.__name__: f for f in (op1_token_files, op2_embedding_dups, op3_mixing, op4_main_text, op5_topk, op6_near_dups, op7_licenses, op8_language, op9_warc, op10_packing)}
 
 
 _FINITE = "embedding is not null and vec_id is not null and len(list_filter(embedding, lambda x: x is null or isnan(x) or isinf(x))) = 0"
