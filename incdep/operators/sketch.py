@@ -13,7 +13,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
@@ -84,9 +84,7 @@ def sample_rows(hashed: DataFrame, n: int = 500, width: int = 64) -> DataFrame:
 
     local = hashed.mapInArrow(bottom, ", ".join(f"{c} long" for c in cols))
     row = F.struct(fold([F.col(c) for c in cols], width).alias("order"), *cols)
-    cells = local.select(F.explode(F.array(*(F.struct(F.lit(k).alias("c"), F.col(c).alias("h"), row.alias("row")) for k, c in enumerate(cols)))).alias("x")).select("x.*")
-    from pyspark.sql import Window
-
+    cells = local.select(row.alias("row"), F.explode(F.array(*(F.struct(F.lit(k).alias("c"), F.col(c).alias("h")) for k, c in enumerate(cols)))).alias("x")).select("x.c", "x.h", "row")
     best = cells.groupBy("c", "h").agg(F.min("row").alias("row")).withColumn("at", F.row_number().over(Window.partitionBy("c").orderBy("h"))).filter(F.col("at") <= n)
     return best.select("row.*").drop("order").distinct()
 
