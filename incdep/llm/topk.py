@@ -7,7 +7,7 @@ sum over dimensions of the query's component times the list's value at that dept
 bound is below the k-th best score found. Reading goes on while the bound equals it, so ties to the smaller id are
 exact. The best k of all blocks are merged by a ranked window that keeps k rows a task and query.
 
-Components are turned into whole numbers, floor(scale * x), and scores are 64-bit integers.
+Components are turned into whole numbers, floor(scale * x), below 2^53; scores are 64-bit integers and must fit them.
 
 Defined cases: vectors that are null or hold null or non-finite components, and null ids, take no part; vectors of
 different dimensions aren't compared; a query's own row is no candidate (rows that repeat its id aren't either); fewer
@@ -32,34 +32,48 @@ class SortedLists:
 
     def __init__(self, ids: np.ndarray, x: np.ndarray):
         order = np.argsort(ids, kind="stable")
-        self.ids, self.x = ids[order], x[order].astype("i8")
-        self.up = np.argsort(self.x, axis=0, kind="stable").T  # rows from the smallest component on, a list for each dimension
-
-    def search(self, own: int, q: np.ndarray, k: int, first: int = 16) -> tuple[np.ndarray, np.ndarray]:
+        self.ids, self.x = ids[order], np.ascontiguousarray(x[order])  # whole numbers, as doubles
+        self.most = np.abs(self.x).max(initial=0)
+        self.up = np.argsort(self.x, axis=0, kind="stable").T.astype("i4")  # rows from the smallest component on, a list for each dimension
+        self.value = np.take_along_axis(self.x.T, self.up.astype("i8"), axis=1)
+
+    def scores(self, rows: np.ndarray, q: np.ndarray) -> np.ndarray:
+        """Whole scores of rows: in doubles where these are exact, else in 64-bit integers."""
+        if self.most * np.abs(q).sum() < 2.0**53:
+            return self.x[rows] @ q if 4 * len(rows) < len(self.x) else (self.x @ q)[rows]
+        return self.x[rows].astype("i8") @ q.astype("i8")
+
+    def search(self, own: int, q: np.ndarray, k: int, first: int = 32) -> tuple[np.ndarray, np.ndarray]:
         """Ids and scores of the block's best k for query ``q``, the better and then smaller ids first."""
-        n, dims = self.x.shape
-        live = np.flatnonzero(q)
-        w = q[live]
-        lists = np.where((w > 0)[:, None], self.up[live][:, ::-1], self.up[live])
-        seen = np.zeros(n, bool)
-        seen[self.ids == own] = True
-        best, score = np.empty(0, "i8"), np.empty(0, "i8")
-        depth, step = 0, first
+        n = len(self.x)
+        high, low = np.flatnonzero(q > 0), np.flatnonzero(q < 0)
+        seen = self.ids == own
+        best = np.empty(0, "i8")
+        score = np.empty(0, self.scores(best, q).dtype)
+        depth, step = 0, first if len(high) + len(low) else n
         while depth < n:
             stop = min(n, depth + step)
-            rows = np.unique(lists[:, depth:stop]) if len(live) else np.arange(n)
-            stop = stop if len(live) else n
-            rows = rows[~seen[rows]]
-            seen[rows] = True
-            best, score = np.concatenate([best, rows]), np.concatenate([score, self.x[rows] @ q])
+            new = np.zeros(n, bool)
+            if stop == n:
+                new[:] = True
+            else:
+                new[self.up[high, n - stop : n - depth]] = True
+                new[self.up[low, depth:stop]] = True
+            rows = np.flatnonzero(new & ~seen)
+            seen |= new
+            got = self.scores(rows, q)
+            if len(got) > k:  # ties at the k-th place stay
+                fine = got >= np.partition(got, len(got) - k)[len(got) - k]
+                rows, got = rows[fine], got[fine]
+            best, score = np.concatenate([best, rows]), np.concatenate([score, got])
             keep = np.lexsort((best, -score))[:k]  # rows are in order of ids
             best, score = best[keep], score[keep]
-            depth, step = stop, step * 2
+            depth, step = stop, step * 4
             if depth < n and len(best) == k:
-                bound = int((self.x[lists[:, depth - 1], live] * w).sum())
-                if bound < score[-1]:
+                bound = self.value[high, n - depth] @ q[high] + self.value[low, depth - 1] @ q[low]
+                if bound < score[-1] - 1e-6 * abs(bound):
                     break
-        return self.ids[best], score
+        return self.ids[best], score.astype("i8")
 
 
 def search(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256, rows_per_block: int = 8192, queries_per_block: int = 1024) -> DataFrame:
@@ -89,7 +103,7 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
                         data = load(p["block"])
                         name, lists = p["block"], SortedLists(data["id"], data["vec"])
                     q = load(p["asked"])
-                    out = [lists.search(int(i), v, k) for i, v in zip(q["id"], q["vec"].astype("i8"), strict=True)]
+                    out = [lists.search(int(i), v, k) for i, v in zip(q["id"], q["vec"], strict=True)]
                     yield pa.RecordBatch.from_arrays([pa.array(np.repeat(q["id"], [len(o[0]) for o in out])), pa.array(np.concatenate([o[0] for o in out])), pa.array(np.concatenate([o[1] for o in out]))], names=["query_id", "vec_id", "score"])
 
         got = pairs.mapInArrow(run, "query_id long, vec_id long, score long")
