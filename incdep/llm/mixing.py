@@ -3,7 +3,8 @@
 Every document gets a rate, its expected number of copies. The whole part of the rate is allocated for certain;
 the rest is an inclusion probability p. Documents of a source are ranked by random odds over inclusion odds,
 u/(1-u) over p/(1-p), and the first ones are taken as far as their sizes fit what the certain copies leave of the
-target; then the one document whose size comes nearest to the gap left is added, if that makes the gap smaller.
+target; the rest of it, less than a document, is filled from the next ``fill_from`` ones in rank, each taken if it still
+fits, and by the one of them whose size comes nearest to what is left, if that makes the difference smaller.
 u comes from a hash of the document id and a seed, so reruns and other partitionings agree.
 
 Defined cases: null text has size 0; a null source is a source of its own, last in order; a null id has a u of its
@@ -49,7 +50,7 @@ def source_targets(sizes: DataFrame, weights: Sequence[int] = (5, 2, 1), max_cop
     return t.select("source", "source_size", target.alias("target"))
 
 
-def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = MAX_COPIES, seed: str = "mix", weight: Column | None = None) -> DataFrame:
+def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = MAX_COPIES, seed: str = "mix", weight: Column | None = None, fill_from: int = 64) -> DataFrame:
     """(doc_id, source, size, source_size, target, copies, taken) for every row of ``docs(doc_id, text, source)``.
 
     ``weight`` (positive) makes the rates inside a source unequal: a document's rate is its source's times its weight
@@ -77,12 +78,19 @@ def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = M
     can = F.col("_sure") < max_copies
     first = written(ranked.withColumn("_in", can & (F.col("_cum") <= room)), "mix-first")
     got = first.groupBy(*group).agg(F.sum(F.when(F.col("_in"), F.col("size")).otherwise(0)).alias("_got"))
-    gaps = first.join(got, group).withColumn("_gap", room - F.col("_got"))
-    miss = F.abs(F.col("_gap") - F.col("size"))
-    best = gaps.filter(can & ~F.col("_in") & (miss < F.abs("_gap"))).groupBy(*group).agg(F.min(F.struct(miss.alias("m"), F.col("_key"), F.col("_id"), F.col("size"))).alias("_best"))
-    out = first.join(best, group, "left")
-    # of repeated rows with one id only the first is the rounding document
-    twin = F.row_number().over(Window.partitionBy(*group, "_key", "_id", "size").orderBy("_cum")) == 1
-    extra = (F.col("_best._key") == F.col("_key")) & (F.col("_best._id") == F.col("_id")) & (F.col("_best.size") == F.col("size")) & ~F.col("_in") & twin
-    copies = F.col("_sure") + (F.col("_in") | F.coalesce(extra, F.lit(False))).cast("long")
+    # what is left of a source's target is filled from the next documents in rank, each taken if it still fits
+    order = Window.partitionBy(*group).orderBy("_key", "_id", "size", "_cum")
+    next_ = first.filter(can & ~F.col("_in") & (F.col("size") > 0)).withColumn("_k", F.row_number().over(order)).filter(F.col("_k") <= fill_from)
+    lists = next_.groupBy(*group).agg(F.array_sort(F.collect_list(F.struct("_k", "_cum", "size"))).alias("_next"), F.first(room).alias("_room")).join(got, group)
+    start = F.struct((F.col("_room") - F.col("_got")).alias("gap"), F.array().cast("array<bigint>").alias("cums"))
+    step = lambda acc, x: F.when(x["size"] <= acc["gap"], F.struct((acc["gap"] - x["size"]).alias("gap"), F.concat(acc["cums"], F.array(x["_cum"])).alias("cums"))).otherwise(acc)
+    filled = lists.withColumn("_fill", F.aggregate("_next", start, step))
+    near = lambda x: F.struct(F.abs(F.col("_fill.gap") - x["size"]).alias("miss"), x["_k"].alias("k"), x["_cum"].alias("cum"))
+    best = F.array_min(F.transform(F.filter("_next", lambda x: ~F.array_contains("_fill.cums", x["_cum"])), near))
+    last = F.when(best["miss"] < F.abs(F.col("_fill.gap")), F.array(best["cum"])).otherwise(F.array().cast("array<bigint>"))
+    more = filled.select(*group, F.explode(F.concat("_fill.cums", last)).alias("_cum"), F.lit(True).alias("_extra"))
+    # the running sum tells repeated rows apart, but for empty ones
+    out = first.join(more, [*group, "_cum"], "left")
+    extra = F.coalesce("_extra", F.lit(False)) & (F.col("size") > 0)
+    copies = F.col("_sure") + (F.col("_in") | extra).cast("long")
     return out.withColumn("copies", copies).select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).alias("taken"))

@@ -79,7 +79,7 @@ n as (select a, count(*) n from links group by a)
 select e.vec_id, coalesce(n.n, 0)::bigint n_links, coalesce(c.c, e.vec_id) component_id, coalesce(c.c, e.vec_id) = e.vec_id kept
 from embeddings e left join n on n.a = e.vec_id left join comp c on c.a = e.vec_id""",
     "op3_mixing": r"""
-with d as (
+with recursive d as (
   select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::bigint size,
     (('0x' || substr(md5(coalesce(doc_id::varchar, '') || 'mix'), 1, 13))::bigint + 0.5::double) / 4503599627370496::double u
   from documents),
@@ -103,12 +103,23 @@ c as (select *, sum(size) over (partition by source order by k, doc_id rows unbo
 g as (
   select *, can and cum <= room taken_first, room - sum(case when can and cum <= room then size else 0 end) over (partition by source) gap
   from c),
-b as (
-  select *, can and not taken_first and abs(gap - size) < abs(gap) fits,
-    row_number() over (partition by source order by case when can and not taken_first and abs(gap - size) < abs(gap) then 0 else 1 end,
-      abs(gap - size), k, doc_id, size) pos
-  from g)
-select doc_id, size, source_size, target, (size * (sure + case when taken_first or (fits and pos = 1) then 1 else 0 end))::bigint taken from b""",
+n as materialized (
+  select source, cum, size, gap, row_number() over (partition by source order by k, doc_id, size, cum) pos
+  from g where can and not taken_first and size > 0 qualify pos <= 64),
+fill(source, pos, cum, size, gap, fits) as (
+  select source, 0::bigint, null::hugeint, null::bigint, gap::double, false from n where pos = 1
+  union all
+  select n.source, n.pos, n.cum, n.size, case when n.size <= f.gap then f.gap - n.size else f.gap end, n.size <= f.gap
+  from fill f join n on n.source is not distinct from f.source and n.pos = f.pos + 1),
+rest as (select source, arg_min(gap, -pos) gap from fill group by source),
+over as (
+  select n.source, n.cum, n.size, abs(r.gap - n.size) < abs(r.gap) better
+  from n join rest r on n.source is not distinct from r.source
+  where not exists (select 1 from fill f where f.fits and f.source is not distinct from n.source and f.cum = n.cum)
+  qualify row_number() over (partition by n.source order by abs(r.gap - n.size), n.pos) = 1),
+extra as (select source, cum, size from fill where fits union all select source, cum, size from over where better)
+select doc_id, g.size, source_size, target, (g.size * (sure + case when taken_first or e.size is not null then 1 else 0 end))::bigint taken
+from g left join extra e on e.source is not distinct from g.source and e.cum = g.cum and e.size = g.size""",
     # the given pages have one layout, whose article an expression can cut out; character references are those that escape text
     "op4_main_text": r"""
 with a as (select page_id, url, regexp_replace(regexp_extract(html, '(?s)<article>(.*)</article>', 1), '<[^>]*>', ' ', 'g') t from pages),
