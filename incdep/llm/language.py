@@ -152,8 +152,12 @@ def held_out(doc_id: Column) -> Column:
 def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model | None:
     """Learn from labelled rows of ``docs(doc_id, text, lang)`` that aren't held out; None if there are none."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").filter(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    first = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    some = rows.select("doc_id", "lang").withColumn("_k", F.row_number().over(first)).filter(F.col("_k") <= per_language).select("doc_id").distinct()
+    # hashes below a bound that about four times as many ids have; then the smallest of them, a few rows a language
+    ids = rows.select("doc_id", "lang", F.xxhash64("doc_id").alias("_h"))
+    share = ids.groupBy("lang").agg(F.least(F.lit(1.0), 4.0 * per_language / F.count(F.lit(1))).alias("_share"))
+    near = ids.join(F.broadcast(share), "lang").filter(F.pmod("_h", F.lit(1 << 30)) < F.col("_share") * (1 << 30))
+    first = Window.partitionBy("lang").orderBy(F.pmod("_h", F.lit(1 << 30)), "doc_id")
+    some = near.withColumn("_k", F.row_number().over(first)).filter(F.col("_k") <= per_language).select("doc_id").distinct()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
