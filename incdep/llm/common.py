@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -26,12 +28,41 @@ def new_folder(spark: SparkSession, tag: str) -> str:
     return f"{shared_root(spark).rstrip('/')}/{tag}-{uuid.uuid4().hex[:12]}"
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = 1000):
+    """While a job is planned and run: at most ``rows`` rows in an Arrow batch, so that batches of long texts stay small."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(min(rows, int(before)) if int(before) > 0 else rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def written(df: DataFrame, tag: str) -> DataFrame:
     """Cut lineage: write ``df`` as Parquet in the shared folder and read it back."""
     spark = df.sparkSession
     out = new_folder(spark, tag)
-    df.write.parquet(out)
-    return spark.read.schema(df.schema).parquet(out)
+    with small_batches(spark):
+        df.write.parquet(out)
+    back = spark.read.schema(df.schema).parquet(out)
+    back.shared_folder = out
+    return back
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete tables that ``written`` made and nothing reads any more, and let Spark drop finished shuffles' files."""
+    for df in tables:
+        jvm, out = df.sparkSession._jvm, df.shared_folder
+        path = jvm.org.apache.hadoop.fs.Path(out)
+        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
+def release(spark: SparkSession) -> None:
+    """Collect dropped DataFrames on the driver; Spark's cleaner then removes the shuffle files that only they held."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def filesystem(uri: str) -> tuple[pafs.FileSystem, str]:
@@ -111,7 +142,8 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a")
         small = small.select("a", F.col("m").alias("b")).unionByName(small.select(F.col("b").alias("a"), F.col("m").alias("b")))
-        now = written(small.select(hi, lo).distinct(), "cc")
+        now, old = written(small.select(hi, lo).distinct(), "cc"), now
+        discard(old)
         if (then := mark(now)) == seen:
             break
         seen = then

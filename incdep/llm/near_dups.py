@@ -11,8 +11,11 @@ The number of bands follows from the threshold so that a pair just at it is miss
 estimate has a margin of five standard deviations.
 
 Groups of copies: documents with equal sets are one node. In a band bucket all members are first compared with the
-smallest one only; then, once components are known, only members of different components are compared, in square
-blocks of bounded size. So a bucket of thousands of copies costs a row each, and no link between components is lost.
+smallest one only; then, once components are known, members of different components are compared, each pair in the
+first band that it shares. Buckets of up to ``SMALL`` members give out pairs, a few a member; larger ones are compared
+in square blocks of bounded size: first by sketches, giving out the members that have a likely link, then these by
+their full sets, giving out a spanning forest of the links verified. So a bucket of thousands of copies costs a few rows
+each, and no link between components is lost.
 
 Defined cases: null and empty texts and those of white space have an empty set and link with nothing; a null id
 links with nothing (its row has a null component and is kept); rows that repeat an id are one node. An empty table
@@ -29,12 +32,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, may_match, without, written
+from .common import components, discard, may_match, release, without, written
+from .embedding_dups import forest
 from .shingles import in_chunks, mix
 
 BASE, RATE, TOP = 1.001, 20.0, 65534  # b, a and q of the registers, for 16 bits each
 ROWS = 5  # registers in a band
-BLOCK = 512  # members of a bucket that one comparison holds on each side
+SMALL = 8  # members of a bucket whose pairs may be given out
+BLOCK = 1024  # about how many members of a larger one a comparison holds on each side
 
 
 def bands_for(threshold: float, miss: float = 1e-6, rows: int = ROWS) -> int:
@@ -119,7 +124,7 @@ def sketches(docs: DataFrame, k: int, m: int) -> DataFrame:
 
 
 def full_sets(docs: DataFrame, k: int) -> DataFrame:
-    """(doc_id, items): the whole shingle set of each document."""
+    """(doc_id, items): the whole shingle set of each document, in ascending order."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -127,7 +132,7 @@ def full_sets(docs: DataFrame, k: int) -> DataFrame:
             texts = (t for s in range(0, batch.num_rows, 256) for t in batch.column(1).slice(s, 256).to_pylist())
             for sets in in_chunks(texts, k):
                 ends = np.cumsum([0, *map(len, sets)]).astype("i4")
-                items = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets).view("i8")))
+                items = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.sort(x.view("i8")) for x in sets])))
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(sets)), items], names=["doc_id", "items"])
                 at += len(sets)
 
@@ -165,30 +170,56 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.filter(100 * F.col("_i") >= percent * (F.size("s1") + F.size("s2") - F.col("_i"))).select("a", "b")
 
 
-def _across(members: DataFrame, percent: int, m: int) -> DataFrame:
-    """Likely pairs (a, b) of different components among ``members(band, total, rep, comp, n, regs)``, by square blocks."""
-    blocks = F.ceil(F.col("total") / BLOCK).cast("int")
-    at = members.withColumn("_blocks", blocks).withColumn("_at", F.pmod(F.xxhash64("rep"), F.col("_blocks")).cast("int"))
+def _spread(members: DataFrame) -> DataFrame:
+    """``members(band, no, total, rep, comp, n)`` dealt to the square blocks (i, j) of their bucket's sides, ``_at`` being a member's side."""
+    at = members.withColumn("_blocks", F.ceil(F.col("total") / BLOCK).cast("int")).withColumn("_at", F.pmod(F.xxhash64("rep"), F.col("_blocks")).cast("int"))
     pairs = F.transform(F.sequence(F.lit(0), F.col("_blocks") - 1), lambda x: F.struct(F.least(x, F.col("_at")).alias("i"), F.greatest(x, F.col("_at")).alias("j")))
-    spread = at.withColumn("_pair", F.explode(pairs)).select("band", F.col("_pair.i").alias("i"), F.col("_pair.j").alias("j"), "_at", "rep", "comp", "n", "regs")
+    return at.withColumn("_pair", F.explode(pairs)).select("band", F.col("_pair.i").alias("i"), F.col("_pair.j").alias("j"), "no", "_at", "rep", "comp", "n")
+
+
+_KEPT = pa.schema([("band", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("no", pa.int32()), ("_at", pa.int32()), ("rep", pa.int64()), ("comp", pa.int64()), ("n", pa.int64())])
+
+
+def _across(spread: DataFrame, percent: int, m: int, give: str) -> DataFrame:
+    """Likely links between different components inside the blocks of ``spread`` (with ``regs``).
+
+    ``give``: the ``pairs`` (a, b); only the ``members`` that have one, as rows of ``spread``; or, with the full sets in
+    ``items``, a ``forest`` (a, b) of the links that these verify.
+    """
     least = _least(percent, m)
 
     def run(t: pa.Table) -> pa.Table:
         t = t.combine_chunks()
-        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+        i, j, no = (t.column(c)[0].as_py() for c in ("i", "j", "no"))
         at, rep, comp, n = (t.column(c).to_numpy() for c in ("_at", "rep", "comp", "n"))
         regs = np.frombuffer(b"".join(t.column("regs").to_pylist()), "<u2").reshape(-1, m)
+        if give == "forest":
+            flat, off = t.column("items").combine_chunks().flatten().to_numpy(), np.concatenate([[0], np.cumsum(n)])
         left, right = np.flatnonzero(at == i), np.flatnonzero(at == j)
         out: list[np.ndarray] = []
         for x in left:
             ok = right[(comp[right] != comp[x]) & ((rep[right] > rep[x]) if i == j else True) & (100 * np.minimum(n[right], n[x]) >= percent * np.maximum(n[right], n[x]))]
+            same = (regs[x] == regs[ok]).reshape(len(ok), -1, ROWS).all(2) if len(ok) else None
+            ok = ok[same.argmax(1) == no] if len(ok) else ok  # each pair once, in the first band that it shares
             if len(ok):
                 more, less = (regs[x] > regs[ok]).sum(1), (regs[x] < regs[ok]).sum(1)
                 ok = ok[similarity(np.full(len(ok), float(n[x])), n[ok].astype("f8"), more, less, m) >= least]
-                out.append(np.stack([np.minimum(rep[x], rep[ok]), np.maximum(rep[x], rep[ok])]))
-        found = np.concatenate(out, axis=1) if out else np.empty((2, 0), "i8")
-        return pa.table({"a": found[0].astype("i8"), "b": found[1].astype("i8")})
-
+            if give == "forest" and len(ok):
+                own = flat[off[x] : off[x + 1]]
+                both = np.asarray([(own[np.minimum(np.searchsorted(own, theirs), len(own) - 1)] == theirs).sum() for theirs in (flat[off[y] : off[y + 1]] for y in ok)])
+                ok = ok[100 * both >= percent * (n[x] + n[ok] - both)]
+            if len(ok):
+                out.append(np.stack([np.full(len(ok), x), ok]))
+        found = np.concatenate(out, axis=1) if out else np.empty((2, 0), int)
+        if give == "members":
+            return t.select(_KEPT.names).take(pa.array(np.unique(found))).cast(_KEPT)
+        a, b = rep[found[0]], rep[found[1]]
+        if give == "forest" and len(a):
+            a, b = forest(a, b)
+        return pa.table({"a": pa.array(np.minimum(a, b), pa.int64()), "b": pa.array(np.maximum(a, b), pa.int64())})
+
+    if give == "members":
+        return spread.groupBy("band", "i", "j").applyInArrow(run, "band long, i int, j int, no int, _at int, rep long, comp long, n long")
     return spread.groupBy("band", "i", "j").applyInArrow(run, "a long, b long").distinct()
 
 
@@ -205,11 +236,12 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
             for at in range(0, whole.num_rows, 2000):
                 b = whole.slice(at, 2000)
                 got = band_keys(np.frombuffer(b"".join(b.column(1).to_pylist()), "<u2").reshape(-1, m))
-                yield pa.RecordBatch.from_arrays([pa.array(got.ravel()), pa.array(np.repeat(b.column(0).to_numpy(), bands))], names=["band", "rep"])
+                rep, n = (np.repeat(b.column(c).to_numpy(), bands) for c in ("rep", "n"))
+                yield pa.RecordBatch.from_arrays([pa.array(got.ravel()), pa.array(np.tile(np.arange(bands, dtype="i4"), len(got))), pa.array(rep), pa.array(n)], names=["band", "no", "rep", "n"])
 
-    banded = reps.select("rep", "regs").mapInArrow(keys, "band long, rep long")
+    banded = reps.select("rep", "regs", "n").mapInArrow(keys, "band long, no int, rep long, n long")
     # a band of one member needs nothing more; the others are few
-    shared = banded.groupBy("band").agg(F.min("rep").alias("hub"), F.count(F.lit(1)).alias("total")).filter("total > 1 ")
+    shared = banded.groupBy("band").agg(F.min("rep").alias("hub"), F.count(F.lit(1)).alias("total")).filter("total > 1")
     shared = written(shared, "bands")
     members = written(may_match(banded, "band", shared.select("band")).filter("_may").drop("_may").join(shared, "band"), "members")
     some = written(members.select(F.col("rep").alias("doc_id")).distinct(), "candidates")
@@ -220,14 +252,21 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
     label = written(components(links), "labels")
     marked = members.join(label.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("component", "rep")).drop("component")
     open_ = marked.groupBy("band").agg(F.min("comp").alias("_lo"), F.max("comp").alias("_hi")).filter("_lo <> _hi").select("band")
-    rest = marked.join(open_, "band", "left_semi").join(reps.select("rep", "n", "regs"), "rep")
-    more = written(_across(rest, percent, m).join(star, ["a", "b"], "left_anti"), "across")
-    links = written(links.unionByName(_verified(more, sets, percent)), "links")
+    rest = written(marked.join(open_, "band", "left_semi").select("band", "no", "total", "rep", "comp", "n"), "open")
+    sketch = reps.select("rep", "regs")
+    pairs = written(_across(_spread(rest.filter(F.col("total") <= SMALL)).join(sketch, "rep"), percent, m, "pairs").join(star, ["a", "b"], "left_anti"), "across")
+    likely = written(_across(_spread(rest.filter(F.col("total") > SMALL)).join(sketch, "rep"), percent, m, "members"), "across")
+    within = likely.join(sketch, "rep").join(sets.withColumnRenamed("doc_id", "rep"), "rep")
+    first, links = links, written(links.unionByName(_verified(pairs, sets, percent)).unionByName(_across(within, percent, m, "forest")), "links")
+    discard(first, label)
     label = written(components(links), "labels")
     of_set = reps.select("fp", "rep").join(label.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component"))
     lone = all_.filter("n = 0 or doc_id is null").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
     grouped = known.join(of_set, "fp").select("doc_id", F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
-    return grouped.unionByName(lone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    out = written(grouped.unionByName(lone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id"))), "near-dups")
+    discard(all_, reps, shared, members, some, sets, star, rest, pairs, likely, links, label)
+    release(docs.sparkSession)
+    return out
 
 
 def drop_near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
