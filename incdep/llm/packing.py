@@ -97,14 +97,13 @@ def plan(counts: dict[int, int], capacity: int) -> tuple[dict[int, list[tuple[in
     return out, opened
 
 
-def pack(pieces: DataFrame, capacity: int = 1024, group_rows: int = 50_000) -> DataFrame:
+def pack(pieces: DataFrame, capacity: int = 1024, group_rows: int = 1000) -> DataFrame:
     """Add ``sequence_id`` and ``offset`` to ``pieces(doc_id, piece, start, length, ...)``; no sequence exceeds ``capacity``."""
     pieces = written(pieces, "pieces")
-    most = pieces.groupBy("length").count().agg(F.max("count")).first()[0] or 0
-    salts = max(1, -(-most // group_rows))
-    salted = pieces.withColumn("_salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(salts)))
+    counts = {r["length"]: r["count"] for r in pieces.groupBy("length").count().collect()}  # at most `capacity` rows
+    salts = pieces.sparkSession.createDataFrame([(k, -(-n // group_rows)) for k, n in counts.items()], "length long, _salts long")
+    salted = pieces.join(F.broadcast(salts), "length").withColumn("_salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.col("_salts"))).drop("_salts")
     sub = salted.groupBy("length", "_salt").agg(F.count(F.lit(1)).alias("_n"))
-    counts = {r["length"]: r["n"] for r in sub.groupBy("length").agg(F.sum("_n").alias("n")).collect()}  # at most `capacity` rows
     runs, _ = plan(counts, capacity)
     starts = {k: np.asarray([r[0] for r in v], dtype="i8") for k, v in runs.items()}
     table = {k: np.asarray(v, dtype="i8") for k, v in runs.items()}
