@@ -4,42 +4,67 @@ from __future__ import annotations
 
 import os
 import re
+from itertools import chain
 
 import numpy as np
 
 #: A single space between two characters that are no white space always starts a new pre-token, so the parts of a
 #: text between such spaces can be encoded one by one. Python's ``\s`` covers all that the library's does.
 _ODD_SPACE = re.compile(r" \s|\s ")
+_OTHER_SPACES = [chr(c) for c in range(0x3001) if chr(c).isspace() and chr(c) not in " \n"]
 _LOADED: dict[tuple[str, int], "WordEncoder"] = {}
 
 
+def _splits(text: str) -> bool:
+    """Whether all spaces stand alone, between other characters than white space."""
+    if not text or text[-1].isspace() or "  " in text or " \n" in text or "\n " in text:
+        return False
+    return not (any(c in text for c in _OTHER_SPACES) and _ODD_SPACE.search(text))
+
+
 class WordEncoder:
     """Encodes texts through a bounded cache of word ids; a text that the split rule doesn't cover goes to the library whole."""
 
-    def __init__(self, path: str, cache_words: int = 300_000):
+    def __init__(self, path: str, cache_words: int = 1_400_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
+        if hasattr(self.library.model, "_resize_cache"):  # this class's own cache takes its place
+            self.library.model._resize_cache(0)
         self.cache_words = cache_words
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
         self.dtype = np.dtype("<u2" if self.library.get_vocab_size() <= 1 << 16 else "<u4")
+        self.spaced = np.zeros(self.library.get_vocab_size(), bool)
+        self.spaced[[i for t, i in self.library.get_vocab().items() if t.startswith("\u0120")]] = True  # the byte alphabet's sign for a space
         self.words: dict[str, bytes] = {}
-        self.firsts: dict[str, bytes] = {}
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [np.asarray(e.ids, dtype=self.dtype).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _fill(self, cache: dict[str, bytes], words: set[str], lead: str) -> None:
-        missing = [w for w in words if w not in cache]
-        if len(cache) + len(missing) > self.cache_words:
-            cache.clear()
-            missing = list(words)
-        for at in range(0, len(missing), 20_000):
-            part = missing[at : at + 20_000]
-            cache.update(zip(part, self._ids([lead + w for w in part]), strict=True))
+    def _joined(self, words: list[str]) -> list[bytes]:
+        """Ids of words that each follow a space, from one call: an id whose bytes begin with a space begins a word."""
+        ids = np.asarray(self.library.encode_batch_fast([" " + " ".join(words)], add_special_tokens=False)[0].ids, dtype=self.dtype)
+        starts = np.flatnonzero(self.spaced[ids])
+        if len(starts) != len(words):
+            return self._ids([" " + w for w in words])
+        data, at = ids.tobytes(), (np.append(starts, len(ids)) * self.dtype.itemsize).tolist()
+        return [data[a:b] for a, b in zip(at, at[1:])]
+
+    def _encoded(self, words: list[str], unique: int) -> dict[str, bytes]:
+        """Ids of words after a space; they are remembered until the cache is full."""
+        full = [w for w in words if w]
+        out = {"": self._ids([" "])[0]} if len(full) < len(words) else {}
+        for at in range(0, len(full), 1000):
+            part = full[at : at + 1000]
+            out.update(zip(part, self._joined(part), strict=True))
+        if len(self.words) >= self.cache_words and 2 * len(out) >= unique:
+            self.words = {}  # the texts have changed
+        if len(self.words) < self.cache_words:
+            self.words.update(out)
+        return out
 
-    def __call__(self, texts: list[str], budget: int = 1_000_000):
+    def __call__(self, texts: list[str], budget: int = 300_000):
         """Yield the ids of each text as bytes of ``dtype``; about ``budget`` characters are in work at a time."""
         batch: list[str] = []
         held = 0
@@ -52,17 +77,17 @@ class WordEncoder:
         yield from self._batch(batch)
 
     def _batch(self, texts: list[str]) -> list[bytes]:
-        split = [None if _ODD_SPACE.search(t) or any(s in t for s in self.special) else t.split(" ") for t in texts]
-        rest: set[str] = set()
-        for words in split:
-            rest.update(words[1:] if words else ())
-        self._fill(self.words, rest, " ")
-        self._fill(self.firsts, {w[0] for w in split if w}, "")
-        get = self.words.__getitem__
-        return [self._ids([t])[0] if w is None else self.firsts[w[0]] + b"".join(map(get, w[1:])) for t, w in zip(texts, split, strict=True)]
+        split = [t.split(" ") if _splits(t) and not any(s in t for s in self.special) else None for t in texts]
+        # a batch repeats its words; looked up once each, they then come from a small table
+        unique = set(chain.from_iterable(w[1:] for w in split if w))
+        known = dict(zip(unique, map(self.words.get, unique), strict=True))
+        known.update(self._encoded([w for w, ids in known.items() if ids is None], len(known)))
+        whole = self._ids([t if w is None else w[0] for t, w in zip(texts, split, strict=True)])
+        get = known.__getitem__
+        return [head if w is None else head + b"".join(map(get, w[1:])) for head, w in zip(whole, split, strict=True)]
 
 
-def encoder(path: str, cache_words: int = 300_000) -> WordEncoder:
+def encoder(path: str, cache_words: int = 1_400_000) -> WordEncoder:
     """One encoder a worker process."""
     if (path, cache_words) not in _LOADED:
         _LOADED[path, cache_words] = WordEncoder(path, cache_words)
