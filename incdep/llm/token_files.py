@@ -84,12 +84,15 @@ def read_tokens(manifest: DataFrame, per_document: bool = False) -> DataFrame:
                 doc = mapped(part["path"] + ".doc", "<i8")
                 for at in range(0, len(doc), 2048):
                     some = range(at, min(at + 2048, len(doc)))
-                    spans = [ids[off[k] : off[k + 1]].astype("<u4") for k in some]
+                    base = int(off[at])
+                    data = ids[base : int(off[some.stop])].astype("<u4")
+                    ends = (off[at : some.stop + 1] - base).tolist()
+                    spans = [data[a:b] for a, b in zip(ends, ends[1:])]
                     out = {
-                        "doc_id": pa.array([None if doc[k] == NO_ID else int(doc[k]) for k in some], pa.int64()),
-                        "start": pa.array(off[some.start : some.stop] + part["base"], pa.int64()),
-                        "n_tokens": pa.array([len(s) for s in spans], pa.int64()),
-                        "ids_crc32": pa.array([zlib.crc32(s.tobytes()) for s in spans], pa.int64()),
+                        "doc_id": pa.array([None if d == NO_ID else d for d in doc[at : some.stop].tolist()], pa.int64()),
+                        "start": pa.array(off[at : some.stop] + part["base"], pa.int64()),
+                        "n_tokens": pa.array(np.diff(ends), pa.int64()),
+                        "ids_crc32": pa.array([zlib.crc32(s) for s in spans], pa.int64()),
                     }
                     if per_document:
                         out["ids"] = pa.array([s.astype("i8") for s in spans], pa.list_(pa.int64()))
