@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
-from ..functions import row_token, token
+from ..functions import fold, token
 
 
 def unpivot_all(catalog: Catalog, nulls: str = "equal", compact: bool = True) -> DataFrame:
@@ -28,17 +28,23 @@ def unpivot_all(catalog: Catalog, nulls: str = "equal", compact: bool = True) ->
 
 
 def unpivot_combos(catalog: Catalog, combos: list[tuple[int, ...]], nulls: str = "equal") -> DataFrame:
-    """(attr, v) of column combinations, numbered by their place in ``combos``; each is within one table."""
+    """(attr, v) of column combinations, numbered by their place in ``combos``; each is within one table.
+
+    v is the text of a tuple as two independent 64-bit hashes, each combined from its values' hashes: 16 bytes a cell,
+    whatever the columns hold. Among n distinct tuples two share both with a probability of about n^2 / 2^129.
+    """
     by_id = {a.id: a for a in catalog.attributes}
     parts = []
     for name, df in catalog.tables.items():
         mine = [(k, c) for k, c in enumerate(combos) if by_id[c[0]].table == name]
         if mine:
             used = sorted({a for _, c in mine for a in c})
-            toks = df.select(*(token(F.col(f"`{by_id[a].column}`"), nulls).alias(f"t{a}") for a in used))
-            cells = F.array(*(F.struct(F.lit(k).alias("attr"), row_token([F.col(f"t{a}") for a in c]).alias("v")) for k, c in mine))
-            parts.append(toks.select(F.explode(cells).alias("c")).select("c.attr", "c.v"))
-    return reduce(DataFrame.unionByName, parts).filter("v is not null")
+            toks = {a: token(F.col(f"`{by_id[a].column}`"), nulls, compact=False) for a in used}
+            cols = [F.when(t.isNotNull(), h).alias(f"{n}{a}") for a, t in toks.items() for n, h in (("g", F.xxhash64(t)), ("h", F.xxhash64(F.lit(1), t)))]
+            both = lambda c: F.struct(fold([F.col(f"g{a}") for a in c]).alias("g"), fold([F.col(f"h{a}") for a in c]).alias("h"))
+            cells = F.array(*(F.struct(F.lit(k).alias("attr"), both(c).alias("v")) for k, c in mine))
+            parts.append(df.select(*cols).select(F.explode(cells).alias("c")).select("c.attr", "c.v"))
+    return reduce(DataFrame.unionByName, parts).filter("v.g is not null")
 
 
 def attr_stats(catalog: Catalog) -> DataFrame:
