@@ -3,8 +3,8 @@
 Every document gets a rate, its expected number of copies. The whole part of the rate is allocated for certain;
 the rest is an inclusion probability p. Documents of a source are ranked by random odds over inclusion odds,
 u/(1-u) over p/(1-p), and the first ones are taken as far as their sizes fit what the certain copies leave of the
-target; the rest of it, less than a document, is filled from the next ``fill_from`` ones in rank, each taken if it still
-fits, and by the one of them whose size comes nearest to what is left, if that makes the difference smaller.
+target; the rest of it is filled from all later ones in rank, each taken if it still fits, and by the one of those left
+over whose size comes nearest to what is left, if that makes the difference smaller.
 u comes from a hash of the document id and a seed, so reruns and other partitionings agree.
 
 Defined cases: null text has size 0; a null source is a source of its own, last in order; a null id has a u of its
@@ -15,6 +15,7 @@ Extra columns are ignored, whatever their names.
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -50,7 +51,38 @@ def source_targets(sizes: DataFrame, weights: Sequence[int] = (5, 2, 1), max_cop
     return t.select("source", "source_size", target.alias("target"))
 
 
-def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = MAX_COPIES, seed: str = "mix", weight: Column | None = None, fill_from: int = 64) -> DataFrame:
+def fill(rows: DataFrame, gaps: DataFrame, group: Sequence[str]) -> tuple[DataFrame, DataFrame]:
+    """Take the rows of ``rows(*group, _cum, size)`` that still fit, one after another by ``_cum``, into ``gaps(*group, _gap)``.
+
+    Returns the taken rows (*group, _cum) and what is left of each gap. A round sums the sizes up to half the gap along
+    the order; up to their overflow they are all taken, unless a row above half fits before: then that one, and what
+    stands in front of it. Rows passed over fit no later gap. Either way less than half of the gap is left, so rounds
+    grow with the logarithm of the gap, whatever the number of rows. Sizes must be positive, ``_cum`` unique in a group.
+    """
+    group = list(group)
+    columns = [*group, "_cum", "size"]
+    taken: list[DataFrame] = []
+    todo = written(rows.select(*columns).join(gaps, group).filter(F.col("size") <= F.col("_gap")), "mix-fill")
+    while not todo.isEmpty():
+        small = 2 * F.col("size") <= F.col("_gap")
+        run = running_total(todo.withColumn("_part_size", F.when(small, F.col("size")).otherwise(0)), group, ["_cum"], "_part_size", "_acc", "mix-fill-laid")
+        run = written(run.drop("_part_size"), "mix-fill-run")
+        big = F.min(F.when(~small & (F.col("_acc") + F.col("size") <= F.col("_gap")), F.col("_cum"))).alias("_big")
+        over = F.min(F.when(small & (F.col("_acc") > F.col("_gap")), F.col("_cum"))).alias("_over")
+        stops = written(run.groupBy(*group).agg(big, over), "mix-fill-stops")
+        run = run.join(stops, group)
+        got = run.filter((small & (F.col("_acc") <= F.col("_gap")) & (F.col("_big").isNull() | (F.col("_cum") < F.col("_big")))) | (F.col("_cum") == F.col("_big")))
+        got = written(got.select(*columns), "mix-fill-taken")
+        taken.append(got.select(*group, "_cum"))
+        used = got.groupBy(*group).agg(F.sum("size").alias("_used"))
+        gaps = written(gaps.join(used, group, "left").select(*group, (F.col("_gap") - F.coalesce("_used", F.lit(0))).alias("_gap")), "mix-gaps")
+        later = run.filter(F.col("_cum") > F.coalesce("_big", "_over")).select(*columns)
+        todo = written(later.join(gaps, group).filter(F.col("size") <= F.col("_gap")), "mix-fill")
+    none = rows.select(*group, "_cum").limit(0)
+    return reduce(DataFrame.unionByName, taken, none), gaps
+
+
+def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = MAX_COPIES, seed: str = "mix", weight: Column | None = None) -> DataFrame:
     """(doc_id, source, size, source_size, target, copies, taken) for every row of ``docs(doc_id, text, source)``.
 
     ``weight`` (positive) makes the rates inside a source unequal: a document's rate is its source's times its weight
@@ -77,20 +109,17 @@ def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = M
     room = F.col("target") - F.col("_certain")
     can = F.col("_sure") < max_copies
     first = written(ranked.withColumn("_in", can & (F.col("_cum") <= room)), "mix-first")
-    got = first.groupBy(*group).agg(F.sum(F.when(F.col("_in"), F.col("size")).otherwise(0)).alias("_got"))
-    # what is left of a source's target is filled from the next documents in rank, each taken if it still fits
-    order = Window.partitionBy(*group).orderBy("_key", "_id", "size", "_cum")
-    next_ = first.filter(can & ~F.col("_in") & (F.col("size") > 0)).withColumn("_k", F.row_number().over(order)).filter(F.col("_k") <= fill_from)
-    lists = next_.groupBy(*group).agg(F.array_sort(F.collect_list(F.struct("_k", "_cum", "size"))).alias("_next"), F.first(room).alias("_room")).join(got, group)
-    start = F.struct((F.col("_room") - F.col("_got")).alias("gap"), F.array().cast("array<bigint>").alias("cums"))
-    step = lambda acc, x: F.when(x["size"] <= acc["gap"], F.struct((acc["gap"] - x["size"]).alias("gap"), F.concat(acc["cums"], F.array(x["_cum"])).alias("cums"))).otherwise(acc)
-    filled = lists.withColumn("_fill", F.aggregate("_next", start, step))
-    near = lambda x: F.struct(F.abs(F.col("_fill.gap") - x["size"]).alias("miss"), x["_k"].alias("k"), x["_cum"].alias("cum"))
-    best = F.array_min(F.transform(F.filter("_next", lambda x: ~F.array_contains("_fill.cums", x["_cum"])), near))
-    last = F.when(best["miss"] < F.abs(F.col("_fill.gap")), F.array(best["cum"])).otherwise(F.array().cast("array<bigint>"))
-    more = filled.select(*group, F.explode(F.concat("_fill.cums", last)).alias("_cum"), F.lit(True).alias("_extra"))
-    # the running sum tells repeated rows apart, but for empty ones
-    out = first.join(more, [*group, "_cum"], "left")
-    extra = F.coalesce("_extra", F.lit(False)) & (F.col("size") > 0)
+    gaps = first.groupBy(*group).agg((F.first(room) - F.sum(F.when(F.col("_in"), F.col("size")).otherwise(0))).alias("_gap"))
+    # what is left of a source's target is filled from the later documents in rank, each taken if it still fits; the
+    # running sum is their order, and tells repeated rows apart, but for empty ones
+    free = first.filter(can & ~F.col("_in") & (F.col("size") > 0)).select(*group, "_cum", "size")
+    more, gaps = fill(free, written(gaps, "mix-gaps"), group)
+    more = more.withColumn("_extra", F.lit(True))
+    near = F.min(F.struct(F.abs(F.col("_gap") - F.col("size")).alias("miss"), F.col("_cum").alias("cum"), F.abs("_gap").alias("left"))).alias("_near")
+    best = free.join(more, [*group, "_cum"], "left").filter(F.col("_extra").isNull()).join(gaps, group).groupBy(*group).agg(near)
+    best = written(best.filter("_near.miss < _near.left").select(*group, F.col("_near.cum").alias("_best")), "mix-best")
+    out = first.join(more, [*group, "_cum"], "left").join(best, group, "left")
+    last = can & ~F.col("_in") & F.coalesce(F.col("_cum") == F.col("_best"), F.lit(False))
+    extra = (F.coalesce("_extra", F.lit(False)) | last) & (F.col("size") > 0)
     copies = F.col("_sure") + (F.col("_in") | extra).cast("long")
     return out.withColumn("copies", copies).select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).alias("taken"))

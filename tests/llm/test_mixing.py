@@ -1,5 +1,8 @@
 """Mixing: targets, closeness, copies, reruns."""
 
+import hashlib
+import itertools
+import random
 import re
 
 import pytest
@@ -63,3 +66,49 @@ def test_odd_rows(odd_docs, no_docs):
     assert sorted(r["size"] for r in rows) == sizes
     assert all(r["taken"] == r["copies"] * r["size"] and 0 <= r["copies"] <= 3 for r in rows)
     assert mixing.mix(no_docs).count() == 0
+
+
+def greedy(sizes, gap):
+    """Places taken one after another as long as each still fits, and what is left."""
+    taken = []
+    for k, n in enumerate(sizes):
+        if n <= gap:
+            taken.append(k)
+            gap -= n
+    return taken, gap
+
+
+def test_fill_equals_one_after_another(spark):
+    rnd = random.Random(5)
+    lists = {"falling": ([x for k in range(300) for x in (1, 300 - k)], 300.0), "nothing": ([9, 9], 8.5), "all": ([3] * 50, 1e6)}
+    lists |= {f"r{k}": ([rnd.choice((1, 2, 5, 40, 700)) * rnd.randint(1, 9) for _ in range(400)], rnd.uniform(0, 9000)) for k in range(6)}
+    rows, want = [], set()
+    for name, (sizes, gap) in lists.items():
+        cums = list(itertools.accumulate(sizes))
+        rows += [(name, c, n) for c, n in zip(cums, sizes, strict=True)]
+        want |= {(name, cums[k]) for k in greedy(sizes, gap)[0]}
+    gaps = spark.createDataFrame([(name, gap) for name, (_, gap) in lists.items()], "g string, _gap double")
+    taken, left = mixing.fill(spark.createDataFrame(rows, "g string, _cum long, size long"), gaps, ["g"])
+    got = [tuple(r) for r in taken.collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+    assert {r["g"]: r["_gap"] for r in left.collect()} == pytest.approx({name: greedy(*x)[1] for name, x in lists.items()})
+
+
+def test_one_very_long_document(spark):
+    """A source is filled from all its documents, also where a long one leaves a gap of hundreds of short ones."""
+    sizes = {k: 9000 if k in (0, 1) else 4 + k % 9 for k in range(2400)}
+    docs = spark.createDataFrame([(k, "w " * n, "ab"[k % 2]) for k, n in sizes.items()], "doc_id long, text string, source string")
+    for seed in ("a", "b", "c"):
+        rows = mixing.mix(docs, (5, 3), seed=seed).collect()
+        for source in "ab":
+            mine = [r for r in rows if r["source"] == source]
+            target = mine[0]["target"]
+            rate = target / mine[0]["source_size"]
+            u = lambda r: (int(hashlib.md5(f"{r['doc_id']}{seed}".encode()).hexdigest()[:13], 16) + 0.5) / (1 << 52)  # noqa: B023, E731
+            order = sorted(mine, key=lambda r: (u(r) / (1 - u(r)), r["doc_id"]))
+            taken, gap = greedy([r["size"] for r in order], target - int(rate) * mine[0]["source_size"])
+            free = [k for k in range(len(order)) if k not in set(taken)]
+            if free and abs(gap - order[best := min(free, key=lambda k: abs(gap - order[k]["size"]))]["size"]) < gap:
+                taken.append(best)
+            assert {r["doc_id"] for r in mine if r["copies"] > int(rate)} == {order[k]["doc_id"] for k in taken}
+            assert abs(sum(r["taken"] for r in mine) - target) <= min((order[k]["size"] for k in free), default=0) / 2 + 1
