@@ -9,7 +9,8 @@ Reading: files are cut in byte ranges. A task takes every place in its range whe
 candidate, reads its header and notes the offset of its successor. Inside the range it follows successors to where each
 candidate's chain leaves the range; chains between ranges are resolved by pointer jumping from offset 0. A range's
 records are then read from the one offset that the chain enters by, so a version line inside a payload is never taken.
-An incomplete last record is left out.
+An incomplete last record, in its header or its block, is left out; a chain that breaks anywhere else, or a file shorter
+than the manifest says, is an error. Headers may have any length.
 
 Defined cases: null html is an empty payload; a null page id is written without one and read as null; a null URL is
 ``about:blank``; control characters and spaces in URLs are percent-encoded; repeated page ids each have a record, and
@@ -124,15 +125,48 @@ def _head(data: bytes, at: int) -> tuple[dict[str, str], int] | None:
     return (fields, stop + len(END)) if fields.get("content-length", "").isdigit() else None
 
 
+def _part(path: str, begin: int, end: int) -> bytes:
+    """Bytes from ``begin`` to ``end``, which the manifest says are there."""
+    data = read_file(path, begin, end - begin)
+    if len(data) < end - begin:
+        raise ValueError(f"{path} has no bytes {begin + len(data)} to {end}, which the manifest gives")
+    return data
+
+
+def _open(data: bytes, at: int) -> bool:
+    """Whether the data end inside what may be a header that begins at ``at``."""
+    if not data.startswith(MAGIC, at):
+        return len(data) - at < len(MAGIC) and MAGIC.startswith(data[at:])
+    return data.find(END, at) < 0 and all(b":" in line for line in data[at + len(MAGIC) :].split(b"\r\n")[:-1] if line)
+
+
+def _long_head(path: str, size: int, data: bytes, base: int, at: int) -> tuple[dict[str, str], int] | bool:
+    """As ``_head`` for ``data`` from file offset ``base``, reading on while the header is cut by the data's end.
+
+    Without a header: whether the file ends inside one.
+    """
+    if head := _head(data, at):
+        return head
+    begin, n, shift = base + at, len(data) - at, 0
+    while is_open := _open(data, at):
+        if begin + n >= size:
+            break
+        n = min(size - begin, max(2 * n, 1 << 16))
+        data, at, shift = _part(path, begin, begin + n), 0, begin - base
+        if head := _head(data, 0):
+            return head[0], head[1] + shift
+    return is_open
+
+
 def _candidates(path: str, size: int, begin: int, end: int, head_bytes: int) -> list[tuple[int, int]]:
     """(offset, exit) of the range's candidates: where the chain from it leaves the range, -1 where it breaks."""
-    data = read_file(path, begin, end - begin + head_bytes)
+    data = _part(path, begin, min(size, end + max(head_bytes, len(MAGIC))))
     leaves: dict[int, int] = {}
     found: list[tuple[int, int]] = []
     at = data.find(MAGIC)
     while 0 <= at < end - begin:
-        head = _head(data, at)
-        after = begin + head[1] + int(head[0]["content-length"]) + len(END) if head else -1
+        head = _long_head(path, size, data, begin, at)
+        after = -1 if isinstance(head, bool) else begin + head[1] + int(head[0]["content-length"]) + len(END)
         found.append((begin + at, after if after <= size else -1))
         at = data.find(MAGIC, at + 1)
     for at, after in reversed(found):
@@ -166,11 +200,16 @@ def chain_entries(manifest: DataFrame, range_bytes: int, head_bytes: int) -> Dat
         known = now
         over = jump.select("path", F.col("off").alias("exit"), F.col("exit").alias("_to"))
         jump = written(jump.join(over, ["path", "exit"], "left").select("path", "off", F.coalesce("_to", "exit").alias("exit")), "warc-jump")
-    return reach.join(links.select("path", "bytes", "begin", "off"), ["path", "off"]).select("path", "bytes", "begin", F.col("off").alias("entry"))
+    # a place where no record begins is kept too, for the reader to judge
+    begin = F.col("off") - F.col("off") % range_bytes
+    return reach.join(manifest.select("path", "bytes"), "path").filter("off < bytes").select("path", "bytes", begin.alias("begin"), F.col("off").alias("entry"))
 
 
 def read_archives(manifest: DataFrame, range_bytes: int = 16 << 20, head_bytes: int = 1 << 16, payloads: bool = False) -> DataFrame:
-    """Response and revisit records of the archives in ``manifest(path, bytes)``; with ``payloads`` the text too."""
+    """Response and revisit records of the archives in ``manifest(path, bytes)``; with ``payloads`` the text too.
+
+    ``head_bytes`` is how much is read at once beyond a range; longer headers are read on.
+    """
     entries = written(chain_entries(manifest, range_bytes, head_bytes), "warc-entries")
     n = int(manifest.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
@@ -179,15 +218,20 @@ def read_archives(manifest: DataFrame, range_bytes: int = 16 << 20, head_bytes:
         for batch in batches:
             for r in batch.to_pylist():
                 at, end = r["entry"], min(r["bytes"], r["begin"] + range_bytes)
-                data, base = read_file(r["path"], at, end - at + head_bytes), at
+                data, base = _part(r["path"], at, min(r["bytes"], end + max(head_bytes, len(MAGIC)))), at
                 out: list[dict] = []
-                while at < end and (head := _head(data, at - base)):
+                while at < end:
+                    head = _long_head(r["path"], r["bytes"], data, base, at - base)
+                    if head is True:
+                        break
+                    if head is False:
+                        raise ValueError(f"{r['path']}: no record at byte {at} of {r['bytes']}, where the one before ends")
                     f, body = head
                     after = base + body + int(f["content-length"])
                     if after + len(END) > r["bytes"]:
                         break
                     if f.get("warc-type") in ("response", "revisit"):
-                        block = data[body : after - base] if after - base <= len(data) else read_file(r["path"], base + body, after - base - body)
+                        block = data[body : after - base] if after - base <= len(data) else _part(r["path"], base + body, after)
                         http, _, payload = block.partition(END)
                         whole = int(re.search(rb"(?i)content-length: *(\d+)", http)[1])
                         own = f["warc-type"] == "response"

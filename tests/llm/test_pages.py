@@ -106,6 +106,28 @@ def test_cut_archive_and_no_pages(spark, page_rows, tmp_path):
     assert warc.read_archives(warc.write_archives(df.limit(0))).count() == 0
 
 
+@pytest.mark.parametrize("range_bytes", [500, 1 << 20])
+def test_headers_longer_than_the_window(spark, range_bytes):
+    """A record whose header ends beyond range and window is read, and so is all that follows it."""
+    urls = ["u", "http://h/" + "x" * 3000, "http://h/" + " y" * 40000, "v"]
+    df = spark.createDataFrame([(k, urls[k % 4], trick(k)) for k in range(16)], "page_id long, url string, html string").coalesce(1)
+    got = warc.read_archives(warc.write_archives(df), range_bytes, head_bytes=100).collect()
+    assert sorted((r["page_id"], r["payload_bytes"]) for r in got) == [(k, len(trick(k))) for k in range(16)]
+    assert {r["page_id"]: r["url"] for r in got} == {k: urls[k % 4].replace(" ", "%20") for k in range(16)}
+
+
+def test_broken_chain_is_an_error(spark, page_rows, tmp_path):
+    df = spark.createDataFrame(page_rows[:10], "page_id long, url string, html string").coalesce(1)
+    data = read_file(warc.write_archives(df).first()["path"])
+    at = data.index(b"\r\n\r\nWARC/1.1", len(data) // 2) + 4
+    for name, got, size in (("bad", data[:at] + b"X" + data[at + 1 :], len(data)), ("short", data[:at], len(data))):
+        write_file(f"file://{tmp_path}/{name}.warc", got)
+        manifest = spark.createDataFrame([(f"file://{tmp_path}/{name}.warc", size)], "path string, bytes long")
+        for range_bytes in (500, 1 << 20):
+            with pytest.raises(Exception, match="no record at byte|which the manifest gives"):
+                warc.read_archives(manifest, range_bytes).count()
+
+
 def brute_matches(text, least):
     """Every template at every word of the text, word by word."""
     w, starts, ends = licenses.words(text.encode().lower())
