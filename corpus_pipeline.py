@@ -25,9 +25,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes it: absent, once, or up to three times."""
-    plan = mixing.mix(docs).filter("copies > 0").select("doc_id", "copies").groupBy("doc_id").agg(F.max("copies").alias("_copies"))
-    many = docs.join(written(plan, "mix-copies"), "doc_id")
+    """Each row as often as the mix takes it: absent, once, or up to three times; ids may be null or repeated."""
+    keyed = written(docs.withColumn("_row", F.monotonically_increasing_id()), "mix-docs")
+    plan = mixing.mix(keyed, key="_row").filter("copies > 0").select("_row", F.col("copies").alias("_copies"))
+    many = keyed.join(written(plan, "mix-copies"), "_row")
     return many.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies")))).select(*docs.columns)
 
 

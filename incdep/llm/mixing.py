@@ -82,14 +82,15 @@ def fill(rows: DataFrame, gaps: DataFrame, group: Sequence[str]) -> tuple[DataFr
     return reduce(DataFrame.unionByName, taken, none), gaps
 
 
-def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = MAX_COPIES, seed: str = "mix", weight: Column | None = None) -> DataFrame:
+def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = MAX_COPIES, seed: str = "mix", weight: Column | None = None, key: str | None = None) -> DataFrame:
     """(doc_id, source, size, source_size, target, copies, taken) for every row of ``docs(doc_id, text, source)``.
 
     ``weight`` (positive) makes the rates inside a source unequal: a document's rate is its source's times its weight
-    over the source's mean weight by size, at most ``max_copies``.
+    over the source's mean weight by size, at most ``max_copies``. ``key`` names a column of ``docs`` to hand through.
     """
+    keys = [F.col(key).alias("_row")] if key else []
     size = F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(WORD), F.lit(0))).cast("long")
-    rows = docs.select(F.col("doc_id").cast("long"), "source", size.alias("size"), (F.lit(1.0) if weight is None else weight.cast("double")).alias("_wt"))
+    rows = docs.select(F.col("doc_id").cast("long"), "source", size.alias("size"), (F.lit(1.0) if weight is None else weight.cast("double")).alias("_wt"), *keys)
     rows = written(rows, "mix-sizes")
     by = rows.groupBy("source").agg(F.sum("size").alias("source_size"), F.sum(F.col("_wt") * F.col("size")).alias("_ws"))
     t = source_targets(by.select("source", "source_size"), weights, max_copies).join(by.select(F.col("source").alias("_s"), "_ws"), F.col("source").eqNullSafe(F.col("_s"))).drop("_s")
@@ -122,4 +123,5 @@ def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), max_copies: int = M
     last = can & ~F.col("_in") & F.coalesce(F.col("_cum") == F.col("_best"), F.lit(False))
     extra = (F.coalesce("_extra", F.lit(False)) | last) & (F.col("size") > 0)
     copies = F.col("_sure") + (F.col("_in") | extra).cast("long")
-    return out.withColumn("copies", copies).select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).alias("taken"))
+    handed = [F.col("_row").alias(key)] if key else []
+    return out.withColumn("copies", copies).select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).alias("taken"), *handed)

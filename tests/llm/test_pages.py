@@ -1,13 +1,15 @@
 """Main text, archives, licences, language and the pipeline."""
 
 import hashlib
+import re
+from collections import Counter
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from incdep.llm import language, licenses, main_text, warc
+from incdep.llm import language, licenses, main_text, mixing, warc
 from incdep.llm.common import read_file, write_file
 from incdep.llm.dom import parse
 from incdep.llm.license_texts import TEMPLATES
@@ -220,3 +222,18 @@ def test_pipeline_stages_on_odd_rows(spark, odd_docs, no_docs):
         for _, stage in corpus_pipeline.STAGES:
             state = stage(spark, state, "")
             state.collect()
+
+
+def test_mixture_takes_rows_as_planned(spark, odd_docs):
+    """Rows without an id, and rows that share one, each come out as often as op3 plans."""
+    rows = [(None, f"no id {'w ' * k}", "en", "a", 1) for k in range(30)] + [(7, f"same id {'w ' * k}", "en", "abc"[k % 3], 1) for k in range(30)]
+    rows += [(100 + k, "some more words here", "en", "abc"[k % 3], 1) for k in range(60)]
+    for docs in (spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long"), odd_docs):
+        sizes = lambda r: len(re.findall(r"[^\x20\x09-\x0D]+", r["text"] or ""))
+        plan = Counter()
+        for r in mixing.mix(docs).collect():
+            plan[r["doc_id"], r["source"], r["size"]] += r["copies"]
+        got = corpus_pipeline.mixture(spark, docs, "")
+        assert got.columns == docs.columns
+        assert Counter((r["doc_id"], r["source"], sizes(r)) for r in got.collect()) == +plan
+        assert docs is odd_docs or any(k[0] is None and k[2] for k in +plan)
