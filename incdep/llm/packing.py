@@ -1,10 +1,10 @@
 """Best-fit packing of documents into sequences of at most ``capacity`` tokens.
 
-Bulk-synchronous best-fit on sorted runs. Documents are cut into pieces; pieces of equal length are
+Best-fit decreasing, serially on the driver over a histogram of lengths. Documents are cut into pieces; pieces of equal length are
 interchangeable, and so are open sequences of equal gap, so both sorted lists are kept run-length encoded: at most
-``capacity`` runs each, whatever the number of documents. A round takes the longest unplaced run, finds the
+``capacity`` runs each, whatever the number of documents. A step takes the longest unplaced run, finds the
 successor of its length among the gaps, matches rank by rank as many as both runs have (ranks beyond the shorter
-run lose and go to the next round), and updates the gaps. What fits no gap opens new sequences. The plan's size
+run lose and go to the next step), and updates the gaps. What fits no gap opens new sequences. The plan's size
 depends on ``capacity`` alone. Each piece then finds its place from its rank inside its length, a distributed
 prefix sum over salted sub-groups, so a length that holds most of the pieces is no hot key.
 
