@@ -3,7 +3,9 @@
 Vectors are scaled to length one and turned into the eigenvectors of their second moments, largest first, so leading
 dimensions carry most of a product. Tiles of two blocks are compared on leading dimensions first; what the remaining ones can
 add is at most the product of the two suffix norms, and a pair is dropped as soon as the cosine cannot reach the
-threshold. Survivors get more dimensions, and at last the whole product in double precision.
+threshold. Survivors get more dimensions, and at last the whole product. Rotated products only drop pairs, or take those
+that are above the threshold by more than rounding can do (``SLACK``); all others are decided by the cosine of the vectors as given,
+in double precision: their product over the product of their norms.
 
 Equal vectors are one class, compared once with their number as weight. A tile doesn't give out its links: it counts
 them for each vector and gives a spanning forest of them, at most one edge a vector, so dense groups cost a row a vector
@@ -20,7 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import components, written
@@ -45,7 +47,7 @@ def second_moments(rows: DataFrame) -> np.ndarray:
         total = None
         for b in batches:
             if b.num_rows:
-                x = b.column(0).flatten().to_numpy(zero_copy_only=False).astype("f8").reshape(b.num_rows, -1)
+                x = scaled(b.column(0).flatten().to_numpy(zero_copy_only=False).astype("f8").reshape(b.num_rows, -1))
                 x /= np.linalg.norm(x, axis=1, keepdims=True)
                 total = x.T @ x if total is None else total + x.T @ x
         if total is not None:
@@ -60,23 +62,37 @@ def _suffix(x: np.ndarray) -> list[np.ndarray]:
     return [np.linalg.norm(x[:, s:], axis=1) for s in STEPS if s < x.shape[1]]
 
 
-def tile_links(a: np.ndarray, b: np.ndarray, sa: list[np.ndarray], sb: list[np.ndarray], threshold: float) -> tuple[np.ndarray, np.ndarray]:
-    """Row numbers (of ``a``, of ``b``) of the pairs whose cosine reaches the threshold."""
+def scaled(x: np.ndarray) -> np.ndarray:
+    """Rows times a power of two each, so that squares neither overflow nor vanish; no digit changes."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, keepdims=True))[1])
+
+
+def cosines(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Of each row of ``a`` with that of ``b``, the same whatever else is in them."""
+    dot = lambda x, y: np.einsum("ij,ij->i", x, y)
+    return dot(a, b) / (np.sqrt(dot(a, a)) * np.sqrt(dot(b, b)))
+
+
+def tile_links(a: np.ndarray, b: np.ndarray, sa: list[np.ndarray], sb: list[np.ndarray], own: tuple[np.ndarray, np.ndarray], threshold: float) -> tuple[np.ndarray, np.ndarray]:
+    """Row numbers (of ``a``, of ``b``) of the pairs whose cosine reaches the threshold; ``own`` has their vectors as given."""
     steps = [s for s in STEPS if s < a.shape[1]]
-    if not steps:
-        return np.nonzero(a @ b.T >= threshold)
-    s = steps[0]
-    part = a[:, :s] @ b[:, :s].T
-    r, c = np.nonzero(part + np.outer(sa[0], sb[0]) >= threshold - SLACK)
-    if len(r) > 0.1 * part.size:  # too many to gather: the whole tile at once
-        return np.nonzero(a @ b.T >= threshold)
+    stop = steps[0] if steps else a.shape[1]
+    part = a[:, :stop] @ b[:, :stop].T
+    r, c = np.nonzero(part + (np.outer(sa[0], sb[0]) if steps else 0) >= threshold - SLACK)
+    if steps and len(r) > 0.1 * part.size:  # too many to gather: the whole tile at once
+        steps, part = [], a @ b.T
+        r, c = np.nonzero(part >= threshold - SLACK)
     got = part[r, c]
     for k, s in enumerate(steps):
         stop = steps[k + 1] if k + 1 < len(steps) else a.shape[1]
         got += np.einsum("ij,ij->i", a[r, s:stop], b[c, s:stop])
         ok = got + (sa[k + 1][r] * sb[k + 1][c] if k + 1 < len(steps) else 0) >= threshold - SLACK
         r, c, got = r[ok], c[ok], got[ok]
-    ok = got >= threshold
+    ok = got > threshold + SLACK
+    close = np.flatnonzero(~ok)
+    for at in range(0, len(close), 20_000):
+        some = close[at : at + 20_000]
+        ok[some] = cosines(own[0][r[some]], own[1][c[some]]) >= threshold
     return r[ok], c[ok]
 
 
@@ -97,14 +113,17 @@ def forest(r: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return nodes, nodes[root]
 
 
-def links(blocks: DataFrame, threshold: float) -> DataFrame:
-    """(kind, a, b): for kind 'n' a vector class and a number of links, for kind 'e' an edge of a forest."""
-    spark = blocks.sparkSession
-    paths = blocks.select("path").collect()  # names of block files only
-    names = sorted(r["path"] for r in paths)
-    n = len(names)
-    strips = [(i, j, min(j + 8, n)) for i in range(n) for j in range(i, n, 8)]
-    work = spark.createDataFrame([(names[i], i, names[j:k], j) for i, j, k in strips], "path string, i int, others array<string>, j int").repartition(max(1, len(strips)))
+def links(blocks: DataFrame, threshold: float, strip: int = 8) -> DataFrame:
+    """(kind, a, b): for kind 'n' a vector class and a number of links, for kind 'e' an edge of a forest.
+
+    Work is a block against a strip of ``strip`` blocks; the list of all such pairs is made by a join of block names, not on the driver.
+    """
+    numbered = written(blocks.select("path", (F.row_number().over(Window.orderBy("path")) - 1).alias("i")), "tiles-numbered")  # a row a block
+    n = blocks.sparkSession.conf.get("spark.sql.shuffle.partitions")
+    strips = numbered.withColumn("g", F.floor(F.col("i") / strip)).groupBy("g").agg(F.array_sort(F.collect_list(F.struct(F.col("i").alias("j"), F.col("path").alias("other")))).alias("others"))
+    last = F.floor((numbered.agg(F.count(F.lit(1))).first()[0] - 1) / F.lit(strip))
+    each = numbered.withColumn("g", F.explode(F.sequence(F.floor(F.col("i") / strip), last)))
+    work = each.join(strips, "g").select("path", "i", "others").repartition(4 * int(n), "path", "others")
     fields = pa.schema([("kind", pa.string()), ("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -113,15 +132,17 @@ def links(blocks: DataFrame, threshold: float) -> DataFrame:
                 left = load(w["path"])
                 la, lsuf = left["vec"], _suffix(left["vec"])
                 mine = np.zeros(len(la), "i8")
-                for k, path in enumerate(w["others"]):
-                    same = w["j"] + k == w["i"]
-                    right = left if same else load(path)
+                for other in w["others"]:
+                    if other["j"] < w["i"]:
+                        continue
+                    same = other["j"] == w["i"]
+                    right = left if same else load(other["other"])
                     rb, rsuf = right["vec"], _suffix(right["vec"])
                     theirs = np.zeros(len(rb), "i8")
                     ends: list[tuple[np.ndarray, np.ndarray]] = []
                     for p in range(0, len(la), TILE):
                         for q in range(p if same else 0, len(rb), TILE):
-                            r, c = tile_links(la[p : p + TILE], rb[q : q + TILE], [s[p : p + TILE] for s in lsuf], [s[q : q + TILE] for s in rsuf], threshold)
+                            r, c = tile_links(la[p : p + TILE], rb[q : q + TILE], [s[p : p + TILE] for s in lsuf], [s[q : q + TILE] for s in rsuf], (left["own"][p : p + TILE], right["own"][q : q + TILE]), threshold)
                             r, c = r + p, c + q
                             if same and p == q:
                                 up = c > r
@@ -158,8 +179,9 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.9, rows_per_block:
         part = classes.filter(F.size("vec") == dim)
         turn = np.linalg.eigh(second_moments(part.select("vec")))[1][:, ::-1]
 
-        def rotate(x: np.ndarray, turn: np.ndarray = turn) -> np.ndarray:
-            return (x / np.linalg.norm(x, axis=1, keepdims=True)) @ turn
+        def rotate(x: np.ndarray, turn: np.ndarray = turn) -> dict[str, np.ndarray]:
+            x = scaled(x)
+            return {"vec": (x / np.linalg.norm(x, axis=1, keepdims=True)) @ turn, "own": x}
 
         got = links(write_blocks(part.select("id", "n", "vec"), ["id", "n"], rows_per_block, "tiles", rotate), threshold)
         found = got if found is None else found.unionByName(got)

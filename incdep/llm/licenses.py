@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .license_texts import TEMPLATES
-from .shingles import _powers, mix
+from .shingles import mix, numbers
 
 GRAM, WINDOW, BAND = 3, 2, 6
 MAX_TEMPLATE_WORDS = 5_000_000
@@ -33,13 +33,15 @@ _IS_WORD[[*range(48, 58), *range(97, 123), *range(128, 256)]] = True
 
 
 def words(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes, starts and ends (in bytes) of the words of a lower-cased text."""
+    """Numbers, starts and ends (in bytes) of the words of a lower-cased text."""
     x = np.frombuffer(data, np.uint8)
-    up, down = _powers(len(x) + 1)
     edge = np.flatnonzero(np.diff(np.concatenate([[False], _IS_WORD[x], [False]])))
     starts, ends = edge[0::2], edge[1::2]
-    total = np.concatenate([[np.uint64(0)], np.cumsum((x.astype(np.uint64) + np.uint64(1)) * up[: len(x)], dtype=np.uint64)])
-    return mix((total[ends] - total[starts]) * down[starts]), starts, ends
+    hashes = [np.empty(0, np.uint64)]
+    for at in range(0, len(starts), 100_000):  # few words are objects at a time
+        some = slice(at, at + 100_000)
+        hashes.append(numbers([data[a:b] for a, b in zip(starts[some].tolist(), ends[some].tolist(), strict=True)]))
+    return np.concatenate(hashes), starts, ends
 
 
 def fingerprints(w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -8,11 +8,12 @@ of the similarity from registers larger, smaller and equal drops those clearly b
 verified on the full sets.
 
 The number of bands follows from the threshold so that a pair just at it is missed with a probability below ``miss``; the
-estimate has a margin of five standard deviations.
+estimate has a margin of five standard deviations. Sets are of 64-bit shingle numbers that rest on a keyed cryptographic digest of
+each word, so full sets stand for the texts' own shingles.
 
 Groups of copies: documents with equal sets are one node. In a band bucket all members are first compared with the
 smallest one only; then, once components are known, members of different components are compared, each pair in the
-first band that it shares. Buckets of up to ``SMALL`` members give out pairs, a few a member; larger ones are compared
+first band that it shares; the members of a bucket's largest component meet only the others. Buckets of up to ``SMALL`` members give out pairs, a few a member; larger ones are compared
 in square blocks of bounded size: first by sketches, giving out the members that have a likely link, then these by
 their full sets, giving out a spanning forest of the links verified. So a bucket of thousands of copies costs a few rows
 each, and no link between components is lost.
@@ -26,6 +27,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -40,6 +42,7 @@ BASE, RATE, TOP = 1.001, 20.0, 65534  # b, a and q of the registers, for 16 bits
 ROWS = 5  # registers in a band
 SMALL = 8  # members of a bucket whose pairs may be given out
 BLOCK = 1024  # about how many members of a larger one a comparison holds on each side
+ITEMS = 1 << 20  # and about how many shingles these have
 
 
 def bands_for(threshold: float, miss: float = 1e-6, rows: int = ROWS) -> int:
@@ -115,7 +118,7 @@ def sketches(docs: DataFrame, k: int, m: int) -> DataFrame:
             at = 0
             texts = (t for s in range(0, batch.num_rows, 256) for t in batch.column(1).slice(s, 256).to_pylist())
             for sets in in_chunks(texts, k):
-                fps = [s.sum(dtype=np.uint64).tobytes() + mix(s + np.uint64(len(s))).sum(dtype=np.uint64).tobytes() for s in sets]
+                fps = [blake2b(s, digest_size=16).digest() for s in sets]  # of the sorted set
                 regs = registers(sets, m)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(sets)), pa.array([len(s) for s in sets], pa.int64()), pa.array(fps, pa.binary()), pa.array([r.tobytes() for r in regs], pa.binary())], names=["doc_id", "n", "fp", "regs"])
                 at += len(sets)
@@ -171,9 +174,18 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _spread(members: DataFrame) -> DataFrame:
-    """``members(band, no, total, rep, comp, n)`` dealt to the square blocks (i, j) of their bucket's sides, ``_at`` being a member's side."""
-    at = members.withColumn("_blocks", F.ceil(F.col("total") / BLOCK).cast("int")).withColumn("_at", F.pmod(F.xxhash64("rep"), F.col("_blocks")).cast("int"))
-    pairs = F.transform(F.sequence(F.lit(0), F.col("_blocks") - 1), lambda x: F.struct(F.least(x, F.col("_at")).alias("i"), F.greatest(x, F.col("_at")).alias("j")))
+    """``members(band, no, major, many, items, rep, comp, n)`` dealt to blocks (i, j) of their bucket's sides, ``_at`` being a member's side.
+
+    ``major`` marks the members of the bucket's largest component, of which no two are compared; ``many`` and ``items`` count
+    each kind's members and shingles. Sides 0 to I - 1 hold the others, sides I to I + J - 1 the largest component: the
+    others meet all sides, the largest component only theirs.
+    """
+    blocks = lambda k: F.greatest(F.ceil(F.col("many")[k] / BLOCK), F.ceil(F.col("items")[k] / ITEMS)).cast("int")
+    at = members.withColumns({"_i": blocks(0), "_j": blocks(1)})
+    side = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
+    at = at.withColumn("_at", F.when(F.col("major"), F.col("_i") + side(F.col("_j"))).otherwise(side(F.col("_i"))))
+    meets = F.sequence(F.lit(0), F.when(F.col("major"), F.col("_i")).otherwise(F.col("_i") + F.col("_j")) - 1)
+    pairs = F.transform(meets, lambda x: F.struct(F.least(x, F.col("_at")).alias("i"), F.greatest(x, F.col("_at")).alias("j")))
     return at.withColumn("_pair", F.explode(pairs)).select("band", F.col("_pair.i").alias("i"), F.col("_pair.j").alias("j"), "no", "_at", "rep", "comp", "n")
 
 
@@ -251,8 +263,11 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
     links = written(_verified(star, sets, percent), "links")
     label = written(components(links), "labels")
     marked = members.join(label.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("component", "rep")).drop("component")
-    open_ = marked.groupBy("band").agg(F.min("comp").alias("_lo"), F.max("comp").alias("_hi")).filter("_lo <> _hi").select("band")
-    rest = written(marked.join(open_, "band", "left_semi").select("band", "no", "total", "rep", "comp", "n"), "open")
+    sums = marked.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("c"), F.sum("n").alias("s"))
+    open_ = sums.groupBy("band").agg(F.max(F.struct("c", "s", "comp")).alias("_top"), F.sum("c").alias("_c"), F.sum("s").alias("_s")).filter("_c > _top.c")
+    open_ = open_.select("band", F.col("_top.comp").alias("_most"), F.array(F.col("_c") - F.col("_top.c"), "_top.c").alias("many"), F.array(F.col("_s") - F.col("_top.s"), "_top.s").alias("items"))
+    rest = marked.join(open_, "band").withColumn("major", F.col("comp") == F.col("_most"))
+    rest = written(rest.select("band", "no", "total", "major", "many", "items", "rep", "comp", "n"), "open")
     sketch = reps.select("rep", "regs")
     pairs = written(_across(_spread(rest.filter(F.col("total") <= SMALL)).join(sketch, "rep"), percent, m, "pairs").join(star, ["a", "b"], "left_anti"), "across")
     likely = written(_across(_spread(rest.filter(F.col("total") > SMALL)).join(sketch, "rep"), percent, m, "members"), "across")

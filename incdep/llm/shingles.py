@@ -1,19 +1,20 @@
 """Hashed word shingles of whole texts, many documents at a time.
 
 A text's words are the runs of anything but ASCII white space, after lower-casing A-Z; its set is that of its distinct
-runs of ``k`` words, or the whole sequence as one where it has fewer. Words hash to 64 bits by a polynomial over their
-UTF-8 bytes, taken for all words at once from one running sum.
+runs of ``k`` words, or the whole sequence as one where it has fewer. A word's number is a keyed cryptographic digest of its
+bytes (BLAKE2b, 64 bits), so that no family of words collides by its form; shingles mix the numbers of their words.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
+from hashlib import blake2b
 
 import numpy as np
 
-_P = np.uint64(0x9E3779B97F4A7C15)
-_INV = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
-_TABLES: dict[str, np.ndarray] = {}
+CACHE_BYTES = 48 << 20  # of remembered words in a worker
+_SPACE = re.compile(rb"[\x20\x09-\x0D]")
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -23,25 +24,45 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if "up" not in _TABLES or len(_TABLES["up"]) < n:
-        size = max(n, 1 << 16)
-        for name, base in (("up", _P), ("down", _INV)):
-            _TABLES[name] = np.cumprod(np.concatenate([[np.uint64(1)], np.full(size - 1, base)]), dtype=np.uint64)
-    return _TABLES["up"], _TABLES["down"]
+class _Digests(dict):
+    """Word to number; forgets all once it holds about ``CACHE_BYTES``."""
+
+    held = 0
+
+    def __missing__(self, word: bytes) -> int:
+        number = int.from_bytes(blake2b(word, digest_size=8, key=b"incdep-words").digest(), "little")
+        self.held += len(word) + 200  # with the objects' own bytes
+        if self.held > CACHE_BYTES:
+            self.clear()
+            self.held = len(word) + 200
+        self[word] = number
+        return number
+
+
+_DIGESTS = _Digests()
+
+
+def numbers(words: list[bytes]) -> np.ndarray:
+    """The number of each word."""
+    return np.fromiter(map(_DIGESTS.__getitem__, words), np.uint64, len(words))
+
+
+def _parts(data: bytes, size: int = 1 << 20) -> Iterator[bytes]:
+    """``data`` in parts of about ``size`` bytes that end between words, so that few words are objects at a time."""
+    at = 0
+    while len(data) - at > size:
+        space = _SPACE.search(data, at + size)
+        stop = space.start() if space else len(data)
+        yield data[at:stop]
+        at = stop
+    yield data[at:] if at else data
 
 
 def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all words of lower-cased ``texts`` in order, and for each text the index of its first word (one more at the end)."""
-    data = np.frombuffer(b"\n".join(texts) + b"\n", dtype=np.uint8)
-    up, down = _powers(len(data) + 1)
-    space = (data == 32) | ((data >= 9) & (data <= 13))
-    edge = np.flatnonzero(np.diff(np.concatenate([[True], space])))
-    starts, ends = edge[0::2], edge[1::2]
-    total = np.concatenate([[np.uint64(0)], np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], dtype=np.uint64)])
-    hashes = mix((total[ends] - total[starts]) * down[starts])
-    first = np.cumsum([0, *(len(t) + 1 for t in texts)])
-    return hashes, np.searchsorted(starts, first)
+    """Numbers of all words of lower-cased ``texts`` in order, and for each text the index of its first word (one more at the end)."""
+    got = [[numbers(part.split()) for part in _parts(t)] for t in texts]
+    first = np.cumsum([0, *(sum(map(len, g)) for g in got)])
+    return np.concatenate([np.empty(0, np.uint64), *(x for g in got for x in g)]), first
 
 
 def shingle_sets(texts: list[bytes], k: int) -> list[np.ndarray]:

@@ -16,7 +16,7 @@ from .common import new_folder, read_file, write_file, written
 def write_blocks(rows: DataFrame, columns: list[str], rows_per_block: int, tag: str, matrix=None) -> DataFrame:
     """Write ``rows`` (whole-number ``columns``, then an array column of equal lengths) as blocks; returns the manifest (block, n, path).
 
-    ``matrix`` maps a block's vectors, as doubles, before they are written.
+    ``matrix`` maps a block's vectors, as doubles, to the arrays that are written in their place.
     """
     folder = new_folder(rows.sparkSession, tag)
     fields = pa.schema([("path", pa.string()), ("n", pa.int64())])
@@ -30,7 +30,7 @@ def write_blocks(rows: DataFrame, columns: list[str], rows_per_block: int, tag:
             vec = t.column(len(columns)).combine_chunks()
             x = vec.flatten().to_numpy(zero_copy_only=False).astype("f8").reshape(len(t), -1)
             out = io.BytesIO()
-            np.savez(out, vec=matrix(x) if matrix else x, **{c: t.column(k).to_numpy() for k, c in enumerate(columns)})
+            np.savez(out, **(matrix(x) if matrix else {"vec": x}), **{c: t.column(k).to_numpy() for k, c in enumerate(columns)})
             path = f"{folder}/block-{uuid.uuid4().hex}.npz"
             write_file(path, out.getvalue())
             return pa.RecordBatch.from_pylist([{"path": path, "n": len(t)}], schema=fields)

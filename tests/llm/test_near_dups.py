@@ -10,7 +10,7 @@ from hypothesis import strategies as st
 
 from incdep.llm import embedding_dups, near_dups, topk
 from incdep.llm.common import components, may_match, without
-from incdep.llm.shingles import shingle_sets
+from incdep.llm.shingles import shingle_sets, word_hashes
 
 LOWER = str.maketrans({chr(c): chr(c + 32) for c in range(65, 91)})
 
@@ -44,6 +44,24 @@ def test_sets_have_as_many_items_as_texts_have_shingles(texts, k):
         assert len(np.intersect1d(g, h)) == len(s & t)
 
 
+def thue_morse(n, swap=False):
+    return "".join("ab"[(k.bit_count() & 1) ^ swap] for k in range(n))
+
+
+def test_words_that_collide_under_polynomials(spark):
+    one, two = thue_morse(2048), thue_morse(2048, True)
+    rows = [(1, one), (2, two), (3, f"{one} {one} x"), (4, f"{two} {one} x")]
+    got = near_dups.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 3, 85).collect()
+    assert all(r["kept"] and r["component_id"] == r["doc_id"] for r in got)
+
+
+def test_words_of_a_text_longer_than_a_part():
+    text = b" ".join(b"w%d" % (k % 1000) for k in range(400_000)) + b" " + b"y" * (3 << 20) + b" end"
+    words, first = word_hashes([text, b"w1 w2"])
+    assert first.tolist() == [0, 400_002, 400_004] and len(np.unique(words)) == 1002
+    assert words[1] == words[-2] and words[2] == words[-1]
+
+
 def docs_with_copies(spark):
     r = np.random.default_rng(3)
     words = [f"w{k}" for k in range(400)]
@@ -157,6 +175,17 @@ def test_embedding_links(spark):
         assert (got[i]["n_links"], got[i]["component_id"], got[i]["kept"]) == (n, want.get(i), i is None or want[i] == i)
 
 
+def test_links_exactly_at_the_threshold(spark):
+    """Multiples of whole-numbered vectors whose cosines are 0.9 to the last bit, in sparse and in dense tiles."""
+    base = [[10, 0, 0, 0], [9, 3, 3, 1], [9, -3, 3, 1], [0, 10, 0, 0], [3, 9, 1, 3], [9, 3, -3, -1], [0, 0, 10, 0], [3, 3, 9, 1]]
+    rows = [(k, [float(x * (1 + k // 8) * (2.0**600 if k % 16 == 3 else 1)) for x in base[k % 8]]) for k in range(200)]
+    whole = {k: np.asarray(base[k % 8], "f8") for k, _ in rows}
+    links = {k: sum(j != k and whole[k] @ whole[j] / (np.linalg.norm(whole[k]) * np.linalg.norm(whole[j])) >= 0.9 for j in whole) for k in whole}
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = {r["vec_id"]: r["n_links"] for r in embedding_dups.near_duplicates(df, 0.9, rows_per_block=64).collect()}
+    assert got == links and len(set(links.values())) > 1
+
+
 @pytest.mark.parametrize("clause", ["false", "vec_id = 400", "vec_id = 405"])
 def test_embedding_few(spark, clause):
     df, _ = vectors(spark)
