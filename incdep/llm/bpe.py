@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
+import json
 import os
 import re
-from itertools import chain
+from itertools import chain, islice
 
 import numpy as np
 
 #: A single space between two characters that are no white space always starts a new pre-token, so the parts of a
 #: text between such spaces can be encoded one by one. Python's ``\s`` covers all that the library's does.
 _ODD_SPACE = re.compile(r" \s|\s ")
+_LONE_SPACE = re.compile(r"(?<=\S) (?=\S)")
 _OTHER_SPACES = [chr(c) for c in range(0x3001) if chr(c).isspace() and chr(c) not in " \n"]
+CACHE_BYTES = 72 << 20  # of remembered words in a worker
 _LOADED: dict[tuple[str, int], "WordEncoder"] = {}
 
 
@@ -22,22 +25,102 @@ def _splits(text: str) -> bool:
     return not (any(c in text for c in _OTHER_SPACES) and _ODD_SPACE.search(text))
 
 
+class WordTable:
+    """Ids of words in a few flat arrays, about 40 bytes a word; the word itself is compared, so no hash decides.
+
+    A record is the word's ids and then its UTF-8 bytes, one after another in ``blob``; ``slots`` is an open-addressing table of
+    record numbers by the word's hash.
+    """
+
+    def __init__(self, most_bytes: int):
+        self.room = max(16, most_bytes // 46)  # words: some 10 bytes of slots, 8 of keys, 4 of ends and 24 of record each
+        self.slots = np.zeros(1 << (3 * self.room // 2).bit_length(), np.int32)
+        self.keys = np.zeros(self.room, np.int64)
+        self.ends = np.zeros(self.room + 1, np.uint32)
+        self.most_blob = 24 * self.room
+        self.clear()
+
+    def clear(self) -> None:
+        self.slots[:] = 0
+        self.blob = bytearray()
+        self.n = 0
+
+    def __len__(self) -> int:
+        return self.n
+
+    @property
+    def full(self) -> bool:
+        return self.n >= self.room or len(self.blob) >= self.most_blob
+
+    def _places(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        key = np.fromiter(map(hash, words), np.int64, len(words))
+        return key, (key ^ (key >> np.int64(32))) & np.int64(len(self.slots) - 1)
+
+    def get(self, words: list[str]) -> list[bytes | None]:
+        """The ids of each word, None where it isn't known."""
+        key, at = self._places(words)
+        found, live = np.full(len(words), -1), np.arange(len(words))
+        while len(live):
+            record = self.slots[at[live]] - 1
+            same = (record >= 0) & (self.keys[record] == key[live])
+            found[live[same]] = record[same]
+            live = live[(record >= 0) & ~same]
+            at[live] = (at[live] + 1) & (len(self.slots) - 1)
+        out: list[bytes | None] = [None] * len(words)
+        some = np.flatnonzero(found >= 0)
+        blob = self.blob
+        for k, a, b in zip(some.tolist(), self.ends[found[some]].tolist(), self.ends[found[some] + 1].tolist(), strict=True):
+            word, record = words[k].encode("utf-8", "surrogatepass"), blob[a:b]
+            if record.endswith(word):
+                out[k] = bytes(record[: len(record) - len(word)])
+        return out
+
+    def add(self, ids: dict[str, bytes]) -> None:
+        """Remember words that aren't known, as far as there is room."""
+        words = list(ids)[: self.room - self.n]
+        records = [ids[w] + w.encode("utf-8", "surrogatepass") for w in words]
+        if not words:
+            return
+        last = self.n + len(words)
+        self.ends[self.n + 1 : last + 1] = len(self.blob) + np.cumsum([len(r) for r in records])
+        self.blob += b"".join(records)
+        key, at = self._places(words)
+        self.keys[self.n : last] = key
+        live = np.arange(len(words))
+        while len(live):
+            free = self.slots[at[live]] == 0
+            place, first = np.unique(at[live][free], return_index=True)
+            won = live[free][first]
+            self.slots[place] = won + self.n + 1
+            live = np.setdiff1d(live, won, assume_unique=True)
+            taken = self.slots[at[live]] != 0
+            at[live[taken]] = (at[live[taken]] + 1) & (len(self.slots) - 1)
+        self.n = last
+
+
 class WordEncoder:
-    """Encodes texts through a bounded cache of word ids; a text that the split rule doesn't cover goes to the library whole."""
+    """Encodes texts through a bounded table of word ids; a text that the split rule doesn't cover goes to the library whole.
+
+    The rule holds for byte-level tokenizers that split by the usual expression and change no text first; with any other one
+    all texts go to the library whole.
+    """
 
-    def __init__(self, path: str, cache_words: int = 1_400_000):
+    def __init__(self, path: str, cache_bytes: int = CACHE_BYTES):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        if hasattr(self.library.model, "_resize_cache"):  # this class's own cache takes its place
+        if hasattr(self.library.model, "_resize_cache"):  # this class's own table takes its place
             self.library.model._resize_cache(0)
-        self.cache_words = cache_words
+        split = json.loads(self.library.pre_tokenizer.__getstate__()) if self.library.pre_tokenizer else {}
+        self.covered = split.get("type") == "ByteLevel" and split.get("use_regex", True) and not split.get("add_prefix_space") and self.library.normalizer is None and not self.library.truncation and not self.library.padding
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.dtype = np.dtype("<u2" if self.library.get_vocab_size() <= 1 << 16 else "<u4")
-        self.spaced = np.zeros(self.library.get_vocab_size(), bool)
-        self.spaced[[i for t, i in self.library.get_vocab().items() if t.startswith("\u0120")]] = True  # the byte alphabet's sign for a space
-        self.words: dict[str, bytes] = {}
+        size = self.library.get_vocab_size()
+        self.dtype = np.dtype("<u2" if size <= 1 << 16 else "<u4")
+        self.spaced = np.asarray([(self.library.id_to_token(i) or "").startswith("\u0120") for i in range(size)])  # the byte alphabet's sign for a space
+        self.hot: dict[str, bytes] = {}  # the first words seen, most of the frequent ones among them
+        self.hot_room = cache_bytes // 800
+        self.words = WordTable(3 * cache_bytes // 4)
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [np.asarray(e.ids, dtype=self.dtype).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
@@ -58,10 +141,13 @@ class WordEncoder:
         for at in range(0, len(full), 1000):
             part = full[at : at + 1000]
             out.update(zip(part, self._joined(part), strict=True))
-        if len(self.words) >= self.cache_words and 2 * len(out) >= unique:
-            self.words = {}  # the texts have changed
-        if len(self.words) < self.cache_words:
-            self.words.update(out)
+        if self.words.full and 2 * len(out) >= unique:  # the texts have changed
+            self.words.clear()
+            self.hot = {}
+        if not self.words.full:
+            at = max(0, self.hot_room - len(self.hot))
+            self.hot.update((w, out[w]) for w in full[:at])
+            self.words.add({w: out[w] for w in full[at:]})
         return out
 
     def __call__(self, texts: list[str], budget: int = 300_000):
@@ -69,26 +155,50 @@ class WordEncoder:
         batch: list[str] = []
         held = 0
         for text in texts:
-            batch.append(text or "")
-            held += len(batch[-1])
+            text = text or ""
+            if len(text) > 4 * budget and (parts := self._parts(text, budget)):
+                yield from self._batch(batch)
+                batch, held = [], 0
+                yield b"".join(chain.from_iterable(self._batch([p]) for p in parts))
+                continue
+            batch.append(text)
+            held += len(text)
             if held >= budget:
                 yield from self._batch(batch)
                 batch, held = [], 0
         yield from self._batch(batch)
 
+    def _parts(self, text: str, size: int) -> list[str]:
+        """A long text cut before single spaces between other characters than white space; none if the rule doesn't cover the tokenizer."""
+        if not self.covered or any(" " in s for s in self.special):
+            return []
+        out, at = [], 0
+        while len(text) - at > size and (space := _LONE_SPACE.search(text, at + size)):
+            out.append(text[at : space.start()])
+            at = space.start()
+        return [*out, text[at:]]
+
     def _batch(self, texts: list[str]) -> list[bytes]:
-        split = [t.split(" ") if _splits(t) and not any(s in t for s in self.special) else None for t in texts]
-        # a batch repeats its words; looked up once each, they then come from a small table
-        unique = set(chain.from_iterable(w[1:] for w in split if w))
-        known = dict(zip(unique, map(self.words.get, unique), strict=True))
-        known.update(self._encoded([w for w, ids in known.items() if ids is None], len(known)))
+        split = [t.split(" ") if self.covered and _splits(t) and not any(s in t for s in self.special) else None for t in texts]
         whole = self._ids([t if w is None else w[0] for t, w in zip(texts, split, strict=True)])
-        get = known.__getitem__
-        return [head if w is None else head + b"".join(map(get, w[1:])) for head, w in zip(whole, split, strict=True)]
+        hot = self.hot.get
+        got = [w and list(map(hot, w)) for w in split]
+        rare = {word for w, ids in zip(split, got, strict=True) if w for word, x in zip(islice(w, 1, None), islice(ids, 1, None)) if x is None}
+        words = list(rare)
+        known = dict(zip(words, self.words.get(words), strict=True))
+        known.update(self._encoded([w for w, ids in known.items() if ids is None], len(known)))
+        out = []
+        for head, w, ids in zip(whole, split, got, strict=True):
+            if w is not None:
+                ids[0] = head
+                head = b"".join([known[word] if x is None else x for word, x in zip(w, ids)])
+            out.append(head)
+        return out
 
 
-def encoder(path: str, cache_words: int = 1_400_000) -> WordEncoder:
+def encoder(path: str, cache_bytes: int = CACHE_BYTES) -> WordEncoder:
     """One encoder a worker process."""
-    if (path, cache_words) not in _LOADED:
-        _LOADED[path, cache_words] = WordEncoder(path, cache_words)
-    return _LOADED[path, cache_words]
+    if (path, cache_bytes) not in _LOADED:
+        _LOADED.clear()
+        _LOADED[path, cache_bytes] = WordEncoder(path, cache_bytes)
+    return _LOADED[path, cache_bytes]

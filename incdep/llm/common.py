@@ -4,11 +4,13 @@ from __future__ import annotations
 
 import gc
 import os
+import re
 import tempfile
 import uuid
 from contextlib import contextmanager
 
 import pyarrow.fs as pafs
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -16,9 +18,11 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, or a local one where that is unset."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``. Only a session on one machine may leave it unset."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not root:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         root = "file://" + os.path.join(tempfile.gettempdir(), "incdep-shared")
     return root if "://" in root or root.startswith("file:") else "file://" + os.path.abspath(root)
 
@@ -29,15 +33,21 @@ def new_folder(spark: SparkSession, tag: str) -> str:
 
 
 @contextmanager
-def small_batches(spark: SparkSession, rows: int = 1000):
-    """While a job is planned and run: at most ``rows`` rows in an Arrow batch, so that batches of long texts stay small."""
-    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(name)
-    spark.conf.set(name, str(min(rows, int(before)) if int(before) > 0 else rows))
+def small_batches(spark: SparkSession, rows: int = 1000, size: int = 8 << 20):
+    """While a job is planned and run: at most ``rows`` rows and about ``size`` bytes in an Arrow batch, so that batches of long texts stay small.
+
+    Elsewhere Spark's own bound on bytes holds (``spark.sql.execution.arrow.maxBytesPerBatch``, 64 MB unless set).
+    """
+    conf = spark._jsparkSession.sessionState().conf()
+    bounds = {"spark.sql.execution.arrow.maxRecordsPerBatch": (rows, conf.arrowMaxRecordsPerBatch()), "spark.sql.execution.arrow.maxBytesPerBatch": (size, conf.arrowMaxBytesPerBatch())}
+    before = {name: spark.conf.get(name, None) for name in bounds}
+    for name, (most, now) in bounds.items():
+        spark.conf.set(name, str(min(most, now) if now > 0 else most))
     try:
         yield
     finally:
-        spark.conf.set(name, before)
+        for name, value in before.items():
+            spark.conf.unset(name) if value is None else spark.conf.set(name, value)
 
 
 def written(df: DataFrame, tag: str) -> DataFrame:
@@ -51,6 +61,15 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return back
 
 
+def with_row_key(df: DataFrame, name: str) -> DataFrame:
+    """``df`` with a column that tells its rows apart, the same in every run: file and row number where it is read from files, else from a written copy."""
+    try:
+        place = df.metadataColumn("_metadata")
+        return df.select("*", F.struct(F.xxhash64(place["file_path"]).alias("file"), place["row_index"].alias("row")).alias(name))
+    except AnalysisException:
+        return written(df.withColumn(name, F.monotonically_increasing_id()), "keyed")
+
+
 def discard(*tables: DataFrame) -> None:
     """Delete tables that ``written`` made and nothing reads any more, and let Spark drop finished shuffles' files."""
     for df in tables:
@@ -98,11 +117,6 @@ def mapped(uri: str, dtype: str):
     return np.frombuffer(read_file(uri), dtype)
 
 
-def parallel(df: DataFrame, n: int) -> int:
-    """Number of tasks for ``n`` work items: one each up to the shuffle width."""
-    return max(1, min(n, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) * 4))
-
-
 def running_total(df: DataFrame, group: list[str], order: list[str], value: str, out: str, tag: str) -> DataFrame:
     """Inclusive running sum of ``value`` inside ``group`` by ``order``, for groups of any size.
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 from html import unescape
 
@@ -27,11 +28,13 @@ IMPLIED = {
     "tbody": (("tbody", "thead", "tfoot"), ("table",)),
     "tfoot": (("tbody", "thead", "tfoot"), ("table",)),
 }
-_TAG = re.compile(r"""<(?:!--(.*?)(?:-->|\Z)|(/?)([a-zA-Z][^\s/>]*)((?:"[^"]*"|'[^']*'|[^'">])*+)>|[!?][^>]*(?:>|\Z)|(/?)([a-zA-Z][^\s/>]*)([^>]*)>)""", re.S)
+_NAME = re.compile(r"(/?)([a-zA-Z][^\s/>]*)")
+_REST = re.compile(r"""(?:"[^"]*"|'[^']*'|[^'">]+)*+>""")
+MAX_DEPTH = 512  # deeper blocks become siblings, as in browsers
 _ATTR = re.compile(r"""([^\s=/"']+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 
 
-@dataclass
+@dataclass(slots=True)
 class Node:
     tag: str  # of an element; "#text" for a run
     parent: int
@@ -48,21 +51,63 @@ def _attributes(raw: str) -> dict[str, str]:
     return out
 
 
+def _tags(html: str) -> Iterator[tuple[int, int, str, str, str]]:
+    """(start, end, slash, name, rest) of each tag, comment and declaration, the last two without a name; the caller may send where to read on.
+
+    Every part of a page is looked at a bounded number of times, whatever is left open in it: behind the last ``>`` no tag ends, and once
+    a quote inside a tag has no end, this and all later tags end at their first ``>``.
+    """
+    last, quotes, at = html.rfind(">"), True, html.find("<")
+    while at >= 0:
+        after = at + 1
+        if html.startswith("!--", after):
+            stop = html.find("-->", at + 4)
+            after = len(html) if stop < 0 else stop + 3
+            yield at, after, "", "", ""
+        elif html.startswith(("!", "?"), after):
+            stop = html.find(">", after)
+            after = len(html) if stop < 0 else stop + 1
+            yield at, after, "", "", ""
+        elif at > last:
+            return
+        elif m := _NAME.match(html, after):
+            rest = _REST.match(html, m.end()) if quotes else None
+            if rest:
+                after = rest.end()
+            else:
+                quotes, after = False, html.find(">", m.end()) + 1
+            after = (yield at, after, m[1], m[2].lower(), html[m.end() : after - 1]) or after
+        at = html.find("<", after)
+
+
 def parse(html: str) -> list[Node]:
     """Nodes in page order, each after its parent; the first is the root. White space in a run is one space; no run is empty."""
     nodes = [Node("#root", -1)]
+    depth = [0]
     stack: list[tuple[str, int]] = [("#root", 0)]  # open elements; the node of the block they are in
-    count: dict[str, int] = {}
+    places: dict[str, list[int]] = {}  # of each element's open ones in the stack
     run: list[str] = []
     link = 0
     links = dropped = 0
 
+    def block(tag: str, raw: str) -> None:
+        parent = stack[-1][1]
+        if depth[parent] >= MAX_DEPTH:
+            parent = nodes[parent].parent
+        nodes.append(Node(tag, parent, _attributes(raw)))
+        depth.append(depth[parent] + 1)
+
+    def push(tag: str, node: int) -> None:
+        places.setdefault(tag, []).append(len(stack))
+        stack.append((tag, node))
+
     def flush() -> None:
         nonlocal link
         if run:
             text = " ".join("".join(run).split())
             if text:
                 nodes.append(Node("#text", stack[-1][1], text=text, chars=len(text), linked=min(link, len(text))))
+                depth.append(depth[stack[-1][1]] + 1)
             run.clear()
             link = 0
 
@@ -80,37 +125,35 @@ def parse(html: str) -> list[Node]:
         if tag in BLOCK:
             flush()
         stack.pop()
-        count[tag] -= 1
+        places[tag].pop()
         links -= tag == "a"
         dropped -= tag in DROPPED
 
     def close(tags: tuple[str, ...], within: tuple[str, ...]) -> None:
-        if any(count.get(t) for t in tags):
-            for k in range(len(stack) - 1, 0, -1):
-                if stack[k][0] in within:
-                    return
-                if stack[k][0] in tags:
-                    while len(stack) > k:
-                        pop()
-                    return
-
-    at = 0
-    while m := _TAG.search(html, at):
-        say(html[at : m.start()])
-        at = m.end()
-        end, name, raw = (m[2], m[3], m[4]) if m[3] else (m[5], m[6], m[7])
-        if not name:
+        top = lambda names: max((places[t][-1] for t in names if places.get(t)), default=0)
+        if (k := top(tags)) > top(within):
+            while len(stack) > k:
+                pop()
+
+    at, tags, skip = 0, _tags(html), None
+    while True:
+        try:
+            start, after, end, tag, raw = tags.send(skip)
+        except StopIteration:
+            break
+        say(html[at:start])
+        at, skip = after, None
+        if not tag:
             continue
-        tag = name.lower()
         if end:
             if tag == "br":
                 say(" ")
-            elif count.get(tag) and tag not in ("html", "body"):
+            elif places.get(tag) and tag not in ("html", "body"):
                 close((tag,), () if tag in BLOCK else ("td", "th", "li", "article", "section", "main", "body"))
             continue
         if tag in RAW:
             stop = re.compile(rf"</{re.escape(tag)}(?=[\s/>])[^>]*>?", re.I).search(html, at)
-            at = stop.end() if stop else len(html)
+            at = skip = stop.end() if stop else len(html)
             continue
         if tag in CLOSES_P:
             close(("p",), ("td", "th", "button", "table"))
@@ -125,20 +168,18 @@ def parse(html: str) -> list[Node]:
         if raw.endswith("/") and tag not in BLOCK:
             continue
         if tag in ("html", "body", "head"):
-            if tag != "head" and not count.get(tag) and len(stack) == 1 + bool(count.get("html")):
-                nodes.append(Node(tag, stack[-1][1], _attributes(raw)))
-                stack.append((tag, len(nodes) - 1))
-                count[tag] = 1
+            if tag != "head" and not places.get(tag) and len(stack) == 1 + bool(places.get("html")):
+                block(tag, raw)
+                push(tag, len(nodes) - 1)
             continue
         if tag in BLOCK:
             flush()
-            nodes.append(Node(tag, stack[-1][1], _attributes(raw)))
-            stack.append((tag, len(nodes) - 1))
+            block(tag, raw)
+            push(tag, len(nodes) - 1)
         else:
-            stack.append((tag, stack[-1][1]))
+            push(tag, stack[-1][1])
             links += tag == "a"
             dropped += tag in DROPPED
-        count[tag] = count.get(tag, 0) + 1
     say(html[at:])
     flush()
     for n in reversed(nodes):

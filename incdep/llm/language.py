@@ -5,8 +5,8 @@ whole text: square roots, scaled to length one. A first set of linear support ve
 apart, one against one; a second set, one against one too, separates the languages inside the chosen family. Families
 aren't given: they come from clustering the languages' mean features.
 
-Training takes at most ``per_language`` labelled documents of each language, those with the smallest hash of their id;
-this is the only sampling, and predictions read the text alone.
+Training takes at most ``per_language`` labelled rows of each language, those with the smallest hash of their id and text,
+however often an id is repeated; this is the only sampling, and predictions read the text alone.
 
 Defined cases: a null text and one without any letter are ``und`` with score 0; rows without a language are predicted but
 never learned from; without any labelled row all predictions are ``und``; a null id counts as the empty string for the
@@ -152,12 +152,13 @@ def held_out(doc_id: Column) -> Column:
 def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model | None:
     """Learn from labelled rows of ``docs(doc_id, text, lang)`` that aren't held out; None if there are none."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").filter(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    # hashes below a bound that about four times as many ids have; then the smallest of them, a few rows a language
-    ids = rows.select("doc_id", "lang", F.xxhash64("doc_id").alias("_h"))
-    share = ids.groupBy("lang").agg(F.least(F.lit(1.0), 4.0 * per_language / F.count(F.lit(1))).alias("_share"))
-    near = ids.join(F.broadcast(share), "lang").filter(F.pmod("_h", F.lit(1 << 30)) < F.col("_share") * (1 << 30))
-    first = Window.partitionBy("lang").orderBy(F.pmod("_h", F.lit(1 << 30)), "doc_id")
-    some = near.withColumn("_k", F.row_number().over(first)).filter(F.col("_k") <= per_language).select("doc_id").distinct()
+    # rows whose hash is below a bound that about four times as many rows have; then the smallest of them. Equal rows tie, so
+    # a language may have more below the bound; whatever is left out then equals a row that stays
+    hashed = rows.withColumn("_h", F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)))
+    share = hashed.groupBy("lang").agg(F.least(F.lit(1.0), 4.0 * per_language / F.count(F.lit(1))).alias("_share"))
+    near = hashed.join(F.broadcast(share), "lang").filter(F.col("_h") < F.col("_share") * (1 << 30))
+    first = Window.partitionBy("lang").orderBy("_h", "doc_id", "text")
+    some = near.withColumn("_k", F.row_number().over(first)).filter(F.col("_k") <= per_language).select("lang", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -166,8 +167,8 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model | None:
                 keep = np.flatnonzero(known)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, 64).take(pa.array(keep)), pa.array([x[k].astype("<f2").tobytes() for k in keep], pa.binary())], names=["lang", "x"])
 
-    # ids of the sample: languages times per_language at most
-    got = rows.join(F.broadcast(some), "doc_id", "left_semi").select("lang", "text").mapInArrow(run, "lang string, x binary").collect()
+    # languages times per_language rows at most
+    got = some.mapInArrow(run, "lang string, x binary").collect()
     if not got:
         return None
     got.sort(key=lambda r: (r["lang"], bytes(r["x"])))

@@ -265,7 +265,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
     marked = members.join(label.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("component", "rep")).drop("component")
     sums = marked.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("c"), F.sum("n").alias("s"))
     open_ = sums.groupBy("band").agg(F.max(F.struct("c", "s", "comp")).alias("_top"), F.sum("c").alias("_c"), F.sum("s").alias("_s")).filter("_c > _top.c")
-    open_ = open_.select("band", F.col("_top.comp").alias("_most"), F.array(F.col("_c") - F.col("_top.c"), "_top.c").alias("many"), F.array(F.col("_s") - F.col("_top.s"), "_top.s").alias("items"))
+    open_ = written(open_.select("band", F.col("_top.comp").alias("_most"), F.array(F.col("_c") - F.col("_top.c"), "_top.c").alias("many"), F.array(F.col("_s") - F.col("_top.s"), "_top.s").alias("items")), "open-bands")
     rest = marked.join(open_, "band").withColumn("major", F.col("comp") == F.col("_most"))
     rest = written(rest.select("band", "no", "total", "major", "many", "items", "rep", "comp", "n"), "open")
     sketch = reps.select("rep", "regs")
@@ -279,7 +279,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
     lone = all_.filter("n = 0 or doc_id is null").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
     grouped = known.join(of_set, "fp").select("doc_id", F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
     out = written(grouped.unionByName(lone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id"))), "near-dups")
-    discard(all_, reps, shared, members, some, sets, star, rest, pairs, likely, links, label)
+    discard(all_, reps, shared, members, some, sets, star, open_, rest, pairs, likely, links, label)
     release(docs.sparkSession)
     return out
 

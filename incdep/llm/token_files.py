@@ -5,8 +5,8 @@ Documents are range-partitioned by id and sorted inside each partition; a task w
 documents, from 0) and document ids (``.doc``, signed 64 bit). The manifest, one row a part, is what readers
 use; a part's global base is the prefix sum of the token counts of the parts before it.
 
-Nulls: a null text is empty (only the end id is written); a null document id sorts first and is kept as the
-smallest 64-bit integer in ``.doc``. Repeated ids keep all their rows, ordered by text. An empty table gives no part
+Nulls: a null text is empty (only the end id is written); null document ids sort first, and the manifest has the number of them
+at each part's start. Repeated ids keep all their rows, ordered by a hash of their text and then by it, and may span parts. An empty table gives no part
 and no rows. Extra columns are ignored.
 """
 
@@ -18,14 +18,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import encoder
 from .common import mapped, new_folder, write_file, written
 
-NO_ID = -(1 << 63)
-MANIFEST = "first_doc long, n_docs long, n_tokens long, width int, path string"
+MANIFEST = "task int, part int, first_doc long, n_docs long, n_nulls long, n_tokens long, width int, path string"
+_ARROW = pa.schema([("task", pa.int32()), ("part", pa.int32()), ("first_doc", pa.int64()), ("n_docs", pa.int64()), ("n_nulls", pa.int64()), ("n_tokens", pa.int64()), ("width", pa.int32()), ("path", pa.string())])
 
 
 def write_tokens(docs: DataFrame, tokenizer: str, end_id: int = 2, folder: str | None = None, part_tokens: int = 32_000_000) -> DataFrame:
@@ -41,15 +42,17 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int = 2, folder: str |
         width = enc.dtype.itemsize
         ids: list[bytes] = []
         lengths: list[int] = []
-        names: list[int] = []
-        held = 0
+        names: list[int | None] = []
+        held = done = 0
 
         def flush() -> pa.RecordBatch:
             path = f"{folder}/part-{uuid.uuid4().hex}"
             write_file(path + ".ids", *ids)
             write_file(path + ".off", np.concatenate([[0], np.cumsum(lengths)]).astype("<i8").tobytes())
-            write_file(path + ".doc", np.asarray(names, dtype="<i8").tobytes())
-            return pa.RecordBatch.from_pylist([{"first_doc": names[0], "n_docs": len(names), "n_tokens": held, "width": width, "path": path}], schema=pa.schema([("first_doc", pa.int64()), ("n_docs", pa.int64()), ("n_tokens", pa.int64()), ("width", pa.int32()), ("path", pa.string())]))
+            nulls = names.count(None)
+            write_file(path + ".doc", np.asarray([0] * nulls + names[nulls:], dtype="<i8").tobytes())
+            row = {"task": TaskContext.get().partitionId(), "part": done, "first_doc": names[0], "n_docs": len(names), "n_nulls": nulls, "n_tokens": held, "width": width, "path": path}
+            return pa.RecordBatch.from_pylist([row], schema=_ARROW)
 
         for batch in batches:
             doc_ids = batch.column(0).to_pylist()
@@ -57,19 +60,20 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int = 2, folder: str |
                 some = batch.column(1).slice(at, 256).to_pylist()
                 for doc_id, got in zip(doc_ids[at : at + 256], enc(some), strict=True):
                     got += end
-                    if names and held + len(got) // width > part_tokens and names[-1] != doc_id:
+                    if names and held + len(got) // width > part_tokens:
                         yield flush()
-                        ids, lengths, names, held = [], [], [], 0
+                        ids, lengths, names, held, done = [], [], [], 0, done + 1
                     ids.append(got)
                     lengths.append(len(got) // width)
-                    names.append(NO_ID if doc_id is None else doc_id)
+                    names.append(doc_id)
                     held += lengths[-1]
         if names:
             yield flush()
 
-    laid = docs.select(F.col("doc_id").cast("long"), "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
+    rows = docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text").alias("_h"))
+    laid = rows.repartitionByRange("doc_id", "_h").sortWithinPartitions("doc_id", "_h", "text").drop("_h")
     manifest = written(laid.mapInArrow(parts, MANIFEST), "manifest")
-    before = Window.orderBy("first_doc").rowsBetween(Window.unboundedPreceding, -1)
+    before = Window.orderBy("task", "part").rowsBetween(Window.unboundedPreceding, -1)  # a row a part
     return manifest.withColumn("base", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)))
 
 
@@ -89,7 +93,7 @@ def read_tokens(manifest: DataFrame, per_document: bool = False) -> DataFrame:
                     ends = (off[at : some.stop + 1] - base).tolist()
                     spans = [data[a:b] for a, b in zip(ends, ends[1:])]
                     out = {
-                        "doc_id": pa.array([None if d == NO_ID else d for d in doc[at : some.stop].tolist()], pa.int64()),
+                        "doc_id": pa.array(doc[at : some.stop], mask=np.arange(at, some.stop) < part["n_nulls"]),
                         "start": pa.array(off[at : some.stop] + part["base"], pa.int64()),
                         "n_tokens": pa.array(np.diff(ends), pa.int64()),
                         "ids_crc32": pa.array([zlib.crc32(s) for s in spans], pa.int64()),

@@ -85,15 +85,19 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
         rows = df.filter(F.col("vec_id").isNotNull() & F.coalesce(fine, F.lit(False)))
         return rows.select(F.col("vec_id").cast("long").alias("id"), F.transform("embedding", lambda v: F.floor(v.cast("double") * scale)).alias("vec")).filter(F.size("vec") > 0)
 
+    def numbered(blocks: DataFrame) -> DataFrame:
+        return written(blocks.select("path", F.row_number().over(Window.orderBy("path")).alias("no")), "topk-numbered")  # a row a block
+
     rows, asked = written(whole(vectors), "topk-rows"), written(whole(queries), "topk-queries")
     found = None
     for dim in [r[0] for r in asked.select(F.size("vec").alias("d")).distinct().collect()]:
         at = F.size("vec") == dim
-        mine = write_blocks(rows.filter(at).coalesce(max(1, rows.rdd.getNumPartitions() // 4)), ["id"], rows_per_block, "topk-blocks")
-        theirs = write_blocks(asked.filter(at).coalesce(1 if asked.count() < queries_per_block * 8 else 8), ["id"], queries_per_block, "topk-asked")
-        # every block of rows meets every block of queries: pairs of file names
-        pairs = mine.select(F.col("path").alias("block")).join(theirs.select(F.col("path").alias("asked")), F.lit(True))
-        pairs = pairs.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "block", "asked").sortWithinPartitions("block")
+        mine = numbered(write_blocks(rows.filter(at), ["id"], rows_per_block, "topk-blocks"))
+        theirs = numbered(write_blocks(asked.filter(at).coalesce(max(1, -(-asked.count() // queries_per_block))), ["id"], queries_per_block, "topk-asked"))
+        # every block of rows meets every block of queries: pairs of file names, made by number
+        each = mine.select(F.col("path").alias("block"), F.explode(F.sequence(F.lit(1), F.lit(theirs.count()))).alias("no"))
+        pairs = each.join(theirs.select("no", F.col("path").alias("asked")), "no")
+        pairs = pairs.repartition(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), "block", "asked").sortWithinPartitions("block")
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             name, lists = None, None

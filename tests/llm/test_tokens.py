@@ -34,7 +34,7 @@ PARTS = ["a", "b", " ", "  ", "\n", "\t", "é", " ", "　", "'s", "<|endoftext|
 @settings(max_examples=200, deadline=None)
 @given(st.lists(st.sampled_from(PARTS), max_size=12).map("".join))
 def test_word_cache_equals_library(text):
-    enc = test_word_cache_equals_library.__dict__.setdefault("enc", WordEncoder(tokenizer_path(), cache_words=20))
+    enc = test_word_cache_equals_library.__dict__.setdefault("enc", WordEncoder(tokenizer_path(), cache_bytes=20 * 44))
     got = np.frombuffer(next(iter(enc([text]))), enc.dtype).tolist()
     assert got == enc.library.encode(text, add_special_tokens=False).ids
 
