@@ -44,7 +44,8 @@ class Catalog:
     """Tables by name. Attributes are numbered over sorted table names and column positions.
 
     Nested columns are left out (``nested="skip"``), turned into JSON text (``"json"``) or, for arrays of atomic values,
-    replaced by one attribute of their elements (``"explode"``).
+    replaced by one attribute of their elements (``"explode"``), which takes part in unary dependencies only. Binary values count as
+    their hexadecimal text.
     """
 
     tables: dict[str, DataFrame]
@@ -69,6 +70,10 @@ class Catalog:
                     else:
                         df = df.withColumn(f.name, F.to_json(F.col(f"`{f.name}`")))
                         kind = T.StringType()
+                elif isinstance(kind, T.BinaryType):
+                    df = df.withColumn(f.name, F.hex(F.col(f"`{f.name}`")))
+                if isinstance(kind, T.BinaryType) and (name, f.name) in self.element_columns:
+                    df = df.withColumn(f.name, F.transform(F.col(f"`{f.name}`"), F.hex))
                 self.attributes.append(Attribute(len(self.attributes), name, f.name, type_class(kind)))
             self.tables[name] = df
 
@@ -81,6 +86,11 @@ class Catalog:
     def of(self, table: str) -> list[Attribute]:
         return [a for a in self.attributes if a.table == table]
 
+    @property
+    def element_ids(self) -> list[int]:
+        """Attributes of array elements: they have no row in common with other columns."""
+        return [a.id for a in self.attributes if (a.table, a.column) in self.element_columns]
+
     def find(self, table: str, column: str) -> Attribute:
         return next(a for a in self.attributes if (a.table, a.column) == (table, column))
 

@@ -41,7 +41,7 @@ def unary_pairs(catalog: Catalog, method: str = "bitset", nulls: str = "equal",
     elif method == "inverted":
         pairs = exact.inverted(attr_values.unpivot_all(catalog, nulls), n)
     elif method == "merge":
-        values = dedupe.distinct_values(catalog, kind, chunk_bytes) if nulls == "equal" else attr_values.unpivot_all(catalog, nulls).distinct()
+        values = dedupe.distinct_values(catalog, kind, chunk_bytes, nulls)
         first: dict[int, set[int]] | None = None
         if cand is not None:
             first = {a: set() for a in range(n)}
@@ -49,7 +49,7 @@ def unary_pairs(catalog: Catalog, method: str = "bitset", nulls: str = "equal",
                 first[d].add(r)
         return exact.merge_inds(values, n, first)
     elif method == "pairwise":
-        return exact.pairwise(written(attr_values.unpivot_all(catalog, nulls).distinct(), "values"), [tuple(r) for r in cand.collect()])
+        return exact.pairwise(written(attr_values.unpivot_all(catalog, nulls).distinct(), "values"), cand)
     else:
         raise ValueError(f"method={method!r}")
     return pairs.join(cand, ["dep", "ref"], "left_semi") if cand is not None else pairs
@@ -75,7 +75,7 @@ def discover(
             level = lattice.exact_check(catalog, nulls)(level, combos) if combos else level
     else:
         first = lattice.as_level(unary_pairs(catalog, method, nulls, typed, prune_max, kind, chunk_bytes), catalog)
-        level, _ = (first, None) if max_arity == 1 else lattice.climb(first, lattice.exact_check(catalog, nulls), max_arity, max_candidates)
+        level, _ = (first, None) if max_arity == 1 else lattice.climb(first, lattice.exact_check(catalog, nulls), max_arity, max_candidates, catalog.element_ids)
     out = result(level, catalog)
     if view:
         out.createOrReplaceTempView(view)

@@ -7,44 +7,72 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..catalog import Catalog
+from ..catalog import Attribute, Catalog
 from ..functions import fold, token
+from ..plans import written
+
+
+def column_cells(catalog: Catalog, a: Attribute, nulls: str = "equal", compact: bool = True) -> DataFrame:
+    """(attr, v) of one attribute with repeats: a narrow scan of its table; an array's elements are its values."""
+    x = F.col(f"`{a.column}`")
+    if (a.table, a.column) in catalog.element_columns:
+        cells = catalog.tables[a.table].select(F.explode(x).alias("e")).select(F.lit(a.id).alias("attr"), token(F.col("e"), nulls, compact).alias("v"))
+    else:
+        cells = catalog.tables[a.table].select(F.lit(a.id).alias("attr"), token(x, nulls, compact).alias("v"))
+    return cells.filter("v is not null") if nulls == "ignore" else cells
+
+
+def plain_attributes(catalog: Catalog, table: str) -> list[Attribute]:
+    """The table's attributes that are columns, not array elements."""
+    return [a for a in catalog.of(table) if (table, a.column) not in catalog.element_columns]
+
+
+def token_table(catalog: Catalog, table: str, nulls: str = "equal", compact: bool = True) -> DataFrame:
+    """A column a<attr> of tokens for each plain attribute, in row order."""
+    return catalog.tables[table].select(*(token(F.col(f"`{a.column}`"), nulls, compact).alias(f"a{a.id}") for a in plain_attributes(catalog, table)))
+
+
+def table_cells(catalog: Catalog, table: str, nulls: str = "equal", compact: bool = True) -> DataFrame:
+    """(attr int, v string) of one table with repeats."""
+    parts = [column_cells(catalog, a, nulls, compact) for a in catalog.of(table) if (table, a.column) in catalog.element_columns]
+    if plain_attributes(catalog, table):
+        wide = token_table(catalog, table, nulls, compact)
+        parts.append(wide.unpivot([], wide.columns, "attr", "v").select(F.substring("attr", 2, 9).cast("int").alias("attr"), "v"))
+    cells = reduce(DataFrame.unionByName, parts)
+    return cells.filter("v is not null") if nulls == "ignore" else cells
 
 
 def unpivot_all(catalog: Catalog, nulls: str = "equal", compact: bool = True) -> DataFrame:
     """(attr int, v string) with repeats: one scan of each table, one row a cell; nothing is shuffled."""
-    parts = []
+    return reduce(DataFrame.unionByName, [table_cells(catalog, t, nulls, compact) for t in catalog.tables if catalog.of(t)])
+
+
+def hashed_columns(catalog: Catalog, nulls: str = "equal") -> dict[str, DataFrame]:
+    """Per table two independent 64-bit hashes g<attr> and h<attr> of each column, written once for all levels; array elements have none."""
+    out = {}
     for name, df in catalog.tables.items():
-        plain = [a for a in catalog.of(name) if (name, a.column) not in catalog.element_columns]
-        if plain:
-            cells = F.array(*(F.struct(F.lit(a.id).alias("attr"), token(F.col(f"`{a.column}`"), nulls, compact).alias("v")) for a in plain))
-            parts.append(df.select(F.explode(cells).alias("c")).select("c.attr", "c.v"))
-        for a in catalog.of(name):
-            if (name, a.column) in catalog.element_columns:
-                e = df.select(F.explode(F.col(f"`{a.column}`")).alias("e"))
-                parts.append(e.select(F.lit(a.id).alias("attr"), token(F.col("e"), nulls, compact).alias("v")))
-    cells = reduce(DataFrame.unionByName, parts)
-    return cells.filter("v is not null") if nulls == "ignore" else cells
+        toks = {a.id: token(F.col(f"`{a.column}`"), nulls, compact=False) for a in plain_attributes(catalog, name)}
+        cols = [F.when(t.isNotNull(), h).alias(f"{n}{a}") for a, t in toks.items() for n, h in (("g", F.xxhash64(t)), ("h", F.xxhash64(F.lit(1), t)))]
+        if cols:
+            out[name] = written(df.select(*cols), "hashed")
+    return out
 
 
-def unpivot_combos(catalog: Catalog, combos: list[tuple[int, ...]], nulls: str = "equal") -> DataFrame:
+def unpivot_combos(hashed: dict[str, DataFrame], catalog: Catalog, combos: list[tuple[int, ...]]) -> DataFrame:
     """(attr, v) of column combinations, numbered by their place in ``combos``; each is within one table.
 
-    v is the text of a tuple as two independent 64-bit hashes, each combined from its values' hashes: 16 bytes a cell,
+    v is the tuple as two independent 64-bit hashes, each combined from its values' hashes: 16 bytes a cell,
     whatever the columns hold. Among n distinct tuples two share both with a probability of about n^2 / 2^129.
     """
     by_id = {a.id: a for a in catalog.attributes}
     parts = []
-    for name, df in catalog.tables.items():
+    for name, df in hashed.items():
         mine = [(k, c) for k, c in enumerate(combos) if by_id[c[0]].table == name]
         if mine:
-            used = sorted({a for _, c in mine for a in c})
-            toks = {a: token(F.col(f"`{by_id[a].column}`"), nulls, compact=False) for a in used}
-            cols = [F.when(t.isNotNull(), h).alias(f"{n}{a}") for a, t in toks.items() for n, h in (("g", F.xxhash64(t)), ("h", F.xxhash64(F.lit(1), t)))]
             both = lambda c: F.struct(fold([F.col(f"g{a}") for a in c]).alias("g"), fold([F.col(f"h{a}") for a in c]).alias("h"))
             cells = F.array(*(F.struct(F.lit(k).alias("attr"), both(c).alias("v")) for k, c in mine))
-            parts.append(df.select(*cols).select(F.explode(cells).alias("c")).select("c.attr", "c.v"))
-    return reduce(DataFrame.unionByName, parts).filter("v.g is not null")
+            parts.append(df.select(F.explode(cells).alias("c")).select("c.attr", "c.v.g", "c.v.h"))
+    return reduce(DataFrame.unionByName, parts).filter("g is not null").select("attr", F.struct("g", "h").alias("v"))
 
 
 def attr_stats(catalog: Catalog) -> DataFrame:

@@ -8,28 +8,58 @@ from __future__ import annotations
 from collections.abc import Iterator
 from functools import reduce
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
-from ..functions import token
-from .attr_values import unpivot_all
+from .attr_values import column_cells, plain_attributes, table_cells, token_table, unpivot_all
 
 SCHEMA = "attr int, v string"
-KINDS = ("column_scan", "set", "sort", "view", "pair", "chunked", "auto")
+KINDS = ("column_scan", "set", "sort", "view", "pair", "chunked", "set_single", "auto")
 
 
-def column_scan(catalog: Catalog) -> DataFrame:
+def column_scan(catalog: Catalog, nulls: str = "equal") -> DataFrame:
     """One scan for each column, as the baseline profiler does: narrow reads, many of them."""
-    parts = [catalog.tables[a.table].select(F.lit(a.id).alias("attr"), token(F.col(f"`{a.column}`")).alias("v")).distinct() for a in catalog.attributes if (a.table, a.column) not in catalog.element_columns]
-    return reduce(DataFrame.unionByName, parts)
+    return reduce(DataFrame.unionByName, [column_cells(catalog, a, nulls).distinct() for a in catalog.attributes])
 
 
-def as_set(catalog: Catalog) -> DataFrame:
+def as_set(catalog: Catalog, nulls: str = "equal") -> DataFrame:
     """One scan of each table; repeats die in the partial aggregation, before the shuffle."""
-    return unpivot_all(catalog).distinct()
+    return unpivot_all(catalog, nulls).distinct()
+
+
+def as_set_single(catalog: Catalog, nulls: str = "equal", limit_bytes: int = 64 << 20) -> DataFrame:
+    """The set variant in one task a table: values die on insertion, and all sets are flushed together, sorted, whenever they hold ``limit_bytes``.
+
+    The flushed runs are merged by an aggregation. One task is the variant's point; it is a baseline, not for large tables.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: dict[int, set[str]] = {}
+        held = 0
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            for attr in sorted(seen):
+                values = sorted(seen[attr])
+                for at in range(0, len(values), 50_000):
+                    part = values[at : at + 50_000]
+                    yield pa.RecordBatch.from_arrays([pa.array([attr] * len(part), pa.int32()), pa.array(part, pa.string())], names=["attr", "v"])
+
+        for b in batches:
+            for attr, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                mine = seen.setdefault(attr, set())
+                if v not in mine:
+                    mine.add(v)
+                    held += len(v) + 64
+            if held >= limit_bytes:
+                yield from flush()
+                seen, held = {}, 0
+        yield from flush()
+
+    return reduce(DataFrame.unionByName, [table_cells(catalog, t, nulls).coalesce(1).mapInArrow(run, SCHEMA) for t in catalog.tables if catalog.of(t)]).distinct()
 
 
 def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -45,16 +75,17 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield b.filter(pa.concat_arrays([pa.array([first]), new]))
 
 
-def by_sort(catalog: Catalog) -> DataFrame:
+def by_sort(catalog: Catalog, nulls: str = "equal") -> DataFrame:
     """All values are kept, range-sorted by (attribute, value), and neighbours that repeat are dropped; a column spans many partitions."""
-    laid = unpivot_all(catalog).repartitionByRange("attr", "v").sortWithinPartitions("attr", "v")
+    laid = unpivot_all(catalog, nulls).repartitionByRange("attr", "v").sortWithinPartitions("attr", "v")
     return laid.mapInArrow(_neighbours, SCHEMA)
 
 
-def by_reference(catalog: Catalog, wide: bool, chunk_bytes: int = 64 << 20) -> DataFrame:
-    """Sort references inside parts and emit each part's distinct values; the parts are merged by an aggregation.
+def by_reference(catalog: Catalog, wide: bool, chunk_bytes: int = 64 << 20, nulls: str = "equal") -> DataFrame:
+    """Sort references to each column's values inside parts of rows and emit a part's distinct values; the parts are merged by an aggregation.
 
-    ``wide`` refers by 64-bit offsets; else by 32-bit ones, which takes less memory and caps a part at 2 GiB.
+    ``wide`` refers by 64-bit offsets; else by 32-bit ones, which takes less memory and caps a part at 2 GiB. Columns come as they
+    are stored, one array each: nothing is unpivoted, and only distinct values leave the task.
     """
     kind = pa.large_string() if wide else pa.string()
     cap = chunk_bytes if wide else min(chunk_bytes, (1 << 31) - 1)
@@ -64,36 +95,45 @@ def by_reference(catalog: Catalog, wide: bool, chunk_bytes: int = 64 << 20) -> D
         size = 0
 
         def flush() -> Iterator[pa.RecordBatch]:
-            t = pa.Table.from_batches(held).cast(pa.schema([("attr", pa.int32()), ("v", kind)])).combine_chunks()
-            order = pc.sort_indices(t, sort_keys=[("attr", "ascending"), ("v", "ascending")])
-            done = t.take(order).combine_chunks()
-            for b in _neighbours(iter(done.to_batches(max_chunksize=50_000))):
-                yield b
+            for k, name in enumerate(held[0].schema.names):
+                column = pa.chunked_array([b.column(k) for b in held]).cast(kind).combine_chunks().drop_null()
+                column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+                done = column.take(pc.array_sort_indices(column))
+                if len(done):
+                    done = done.filter(pa.concat_arrays([pa.array([True]), pc.not_equal(done.slice(1), done.slice(0, len(done) - 1))]))
+                for at in range(0, len(done), 50_000):
+                    some = done.slice(at, 50_000).cast(pa.string())
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), int(name[1:]), "i4")), some], names=["attr", "v"])
 
         for b in batches:
-            held.append(b)
-            size += b.nbytes
+            if b.num_rows:
+                held.append(b)
+                size += b.nbytes
             if size >= cap // 2:  # the rest of the part's memory is for the sorted copy
-                yield from (x.cast(pa.schema([("attr", pa.int32()), ("v", pa.string())])) for x in flush())
+                yield from flush()
                 held, size = [], 0
         if held:
-            yield from (x.cast(pa.schema([("attr", pa.int32()), ("v", pa.string())])) for x in flush())
+            yield from flush()
 
-    return unpivot_all(catalog).mapInArrow(parts, SCHEMA).distinct()
+    tables = [token_table(catalog, t, nulls) for t in catalog.tables if plain_attributes(catalog, t)]
+    tables += [column_cells(catalog, a, nulls).select(F.col("v").alias(f"a{a.id}")) for a in catalog.attributes if a.id in catalog.element_ids]
+    return reduce(DataFrame.unionByName, [t.mapInArrow(parts, SCHEMA) for t in tables]).distinct()
 
 
-def distinct_values(catalog: Catalog, kind: str = "set", chunk_bytes: int = 64 << 20) -> DataFrame:
+def distinct_values(catalog: Catalog, kind: str = "set", chunk_bytes: int = 64 << 20, nulls: str = "equal") -> DataFrame:
     """(attr, v) by the named variant; ``auto`` takes 32-bit references while a part fits their cap, 64-bit ones beyond."""
     if kind == "column_scan":
-        return column_scan(catalog)
+        return column_scan(catalog, nulls)
     if kind == "set":
-        return as_set(catalog)
+        return as_set(catalog, nulls)
+    if kind == "set_single":
+        return as_set_single(catalog, nulls, chunk_bytes)
     if kind == "sort":
-        return by_sort(catalog)
+        return by_sort(catalog, nulls)
     if kind in ("view", "pair", "chunked"):
-        return by_reference(catalog, kind == "view", min(chunk_bytes, 1 << 20) if kind == "chunked" else chunk_bytes)
+        return by_reference(catalog, kind == "view", min(chunk_bytes, 1 << 20) if kind == "chunked" else chunk_bytes, nulls)
     if kind == "auto":
-        return by_reference(catalog, chunk_bytes >= 1 << 31, chunk_bytes)
+        return by_reference(catalog, chunk_bytes >= 1 << 31, chunk_bytes, nulls)
     raise ValueError(f"kind={kind!r}")
 
 

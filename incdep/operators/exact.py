@@ -2,16 +2,25 @@
 
 from __future__ import annotations
 
-import heapq
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import has_bit, word_masks
 
 
+def bits_of(mask: int) -> Iterator[int]:
+    """The numbers of the set bits."""
+    while mask:
+        low = mask & -mask
+        yield low.bit_length() - 1
+        mask ^= low
+
+
 def _ids(spark: SparkSession, n: int) -> DataFrame:
     return spark.range(n, numPartitions=1).select(F.col("id").cast("int").alias("attr"))
 
@@ -44,49 +53,79 @@ def bitset(values: DataFrame, n: int) -> DataFrame:
 def merge(values: DataFrame, n: int, candidates: dict[int, set[int]] | None = None) -> tuple[DataFrame, DataFrame]:
     """(dep, ref) and counters, by a simultaneous merge of sorted columns in each value range.
 
-    ``values`` must be distinct. A range partition merges its part of every column through a heap of cursors: the attributes
-    that share the smallest value lose all references that aren't among them, each loss is mirrored in the dependents of the
-    attribute lost, and the cursors advance. An attribute with neither references nor dependents left is not read on. The
-    partitions' reference sets are intersected. ``candidates`` (dep to its possible refs) bounds the first sets.
+    ``values`` must be distinct. A range partition is sorted by (value, attribute), externally where it doesn't fit in memory, which merges
+    its part of every column; it is read as a stream. The attributes that share the smallest value lose all references that
+    aren't among them, and each loss is mirrored in the dependents of the attribute lost. An attribute with neither references nor
+    dependents left is processed: its later values are passed over. Sharing sets that occurred before change nothing, so only first
+    occurrences are worked on, and what lies between them is counted at once. The partitions' reference sets are intersected.
+    ``candidates`` (dep to its possible refs) bounds the first sets.
     """
     spark = values.sparkSession
     start = {a: set(range(n)) - {a} if candidates is None else set(candidates.get(a, ())) for a in range(n)}
-    laid = values.repartitionByRange("v").sortWithinPartitions("attr", "v")
+    laid = values.repartitionByRange("v").sortWithinPartitions("v", "attr")
+    n_words = -(-n // 64)
 
     def partition(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        columns: dict[int, list[str]] = {}
+        refs = {a: sum(1 << r for r in s) for a, s in start.items()}
+        deps = {a: sum(1 << d for d, s in start.items() if a in s) for a in range(n)}
+        live, present = (1 << n) - 1, 0  # attributes that aren't processed; that have values here
+        seen: set[int] = set()
+        steps = read = stopped = 0
+
+        def words_of(mask: int) -> np.ndarray:
+            return np.frombuffer(mask.to_bytes(8 * n_words, "little"), "<u8")
+
+        def counted(masks: np.ndarray) -> None:
+            nonlocal steps, read
+            mine = masks & words_of(live)
+            bits = np.bitwise_count(mine).sum(axis=1)
+            steps += int((bits > 0).sum())
+            read += int(bits.sum())
+
+        def work(masks: np.ndarray) -> None:
+            nonlocal live, present, stopped
+            keys = np.ascontiguousarray(masks).view(f"V{8 * n_words}").ravel()
+            _, first = np.unique(keys, return_index=True)
+            at = 0
+            for k in np.sort(first).tolist():
+                sharing = int.from_bytes(masks[k].tobytes(), "little")
+                if sharing in seen:
+                    continue
+                seen.add(sharing)
+                counted(masks[at : k + 1])
+                at = k + 1
+                present |= sharing
+                sharing &= live
+                for a in bits_of(sharing):
+                    for r in bits_of(refs[a] & ~sharing):
+                        refs[a] &= ~(1 << r)
+                        deps[r] &= ~(1 << a)
+                for a in bits_of(live):
+                    if not refs[a] and not deps[a]:
+                        live &= ~(1 << a)
+                        stopped += present >> a & 1
+            counted(masks[at:])
+
+        tail: tuple[str, np.ndarray] | None = None
         for b in batches:
-            for a, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                columns.setdefault(a, []).append(v)
-        if not columns:
+            if not b.num_rows:
+                continue
+            attr, v = b.column(0).to_numpy(), b.column(1)
+            new = np.concatenate([[True], pc.not_equal(v.slice(1), v.slice(0, len(v) - 1)).to_numpy(zero_copy_only=False)])
+            at = np.flatnonzero(new)
+            masks = np.stack([np.bitwise_or.reduceat(np.where(attr // 64 == w, np.uint64(1) << (attr % 64).astype(np.uint64), np.uint64(0)), at) for w in range(n_words)], axis=1)
+            if tail is not None:  # the last value of the batch before may go on
+                if v[0].as_py() == tail[0]:
+                    masks[0] |= tail[1]
+                else:
+                    work(tail[1][None, :])
+            tail = v[-1].as_py(), masks[-1].copy()
+            work(masks[:-1])
+        if tail is None:
             return
-        refs = {a: set(s) for a, s in start.items()}
-        deps: dict[int, set[int]] = {a: set() for a in refs}
-        for a, s in refs.items():
-            for r in s:
-                deps[r].add(a)
-        at = dict.fromkeys(columns, 0)
-        heap = [(c[0], a) for a, c in columns.items()]
-        heapq.heapify(heap)
-        steps = read = stopped = 0
-        while heap:
-            value, sharing = heap[0][0], set()
-            while heap and heap[0][0] == value:
-                sharing.add(heapq.heappop(heap)[1])
-            steps += 1
-            read += len(sharing)
-            for a in sharing:
-                for r in refs[a] - sharing:
-                    refs[a].discard(r)
-                    deps[r].discard(a)
-            for a in sharing:
-                at[a] += 1
-                if at[a] < len(columns[a]):
-                    if refs[a] or deps[a]:
-                        heapq.heappush(heap, (columns[a][at[a]], a))
-                    else:
-                        stopped += 1
-        rows = [(a, sorted(refs[a]), steps if k == 0 else 0, read if k == 0 else 0, stopped if k == 0 else 0) for k, a in enumerate(sorted(columns))]
+        work(tail[1][None, :])
+        names = list(bits_of(present))
+        rows = [(a, list(bits_of(refs[a])), steps if k == 0 else 0, read if k == 0 else 0, stopped if k == 0 else 0) for k, a in enumerate(names)]
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), pa.list_(pa.int32()), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["attr", "refs", "steps", "read", "stopped"])
 
     local = laid.mapInArrow(partition, "attr int, refs array<int>, steps long, read long, stopped long")
@@ -115,13 +154,17 @@ def inverted_sets(values: DataFrame) -> DataFrame:
 
 
 def inverted(values: DataFrame, n: int) -> DataFrame:
-    """(dep, ref) from the inverted index: the intersection of the attribute sets of a column's values."""
-    spark = values.sparkSession
-    each = inverted_sets(values).select(F.explode("members").alias("attr"), "members")
-    meet = each.groupBy("attr").agg(F.collect_set("members").alias("sets"))
-    meet = meet.select("attr", F.aggregate("sets", F.element_at("sets", 1), lambda acc, x: F.array_intersect(acc, x)).alias("refs"))
-    every = _ids(spark, n).join(meet, "attr", "left").withColumn("refs", F.coalesce("refs", F.sequence(F.lit(0), F.lit(n - 1))))
-    return every.select(F.col("attr").alias("dep"), F.explode("refs").alias("ref")).filter("dep <> ref")
+    """(dep, ref) from the inverted index: the intersection of the attribute sets of a column's values.
+
+    An attribute is in the intersection if it is in as many of the index's distinct sets with the column as there are: sets are
+    counted by pair and never gathered.
+    """
+    each = inverted_sets(values).select(F.explode("members").alias("dep"), "members")
+    pairs = each.select("dep", F.explode("members").alias("ref")).groupBy("dep", "ref").agg(F.count(F.lit(1)).alias("c"))
+    own = pairs.filter("dep = ref").select("dep", F.col("c").alias("sets"))
+    full = pairs.join(F.broadcast(own), "dep").filter("c = sets and dep <> ref").select("dep", "ref")
+    empty = _ids(values.sparkSession, n).withColumnRenamed("attr", "dep").join(F.broadcast(own), "dep", "left_anti")
+    return full.unionByName(empty.select("dep", F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("ref")).filter("dep <> ref"))
 
 
 def shared_counts(values: DataFrame, n: int) -> DataFrame:
@@ -140,15 +183,14 @@ def shared_counts(values: DataFrame, n: int) -> DataFrame:
     return pairs.groupBy("dep", "ref").agg(F.sum("n").alias("shared")).join(total, "dep").select("dep", "ref", "distinct_values", "shared")
 
 
-def pairwise(values: DataFrame, candidates: list[tuple[int, int]]) -> DataFrame:
-    """(dep, ref) by one null-safe anti-join a pair: the definition, as a baseline. ``values`` must be distinct."""
-    spark = values.sparkSession
-    out = []
-    for d, r in candidates:
-        left, right = values.filter(F.col("attr") == d).select("v"), values.filter(F.col("attr") == r).select("v")
-        if left.join(right, left.v.eqNullSafe(right.v), "left_anti").isEmpty():
-            out.append((d, r))
-    return spark.createDataFrame(out, "dep int, ref int")
+def pairwise(values: DataFrame, candidates: DataFrame) -> DataFrame:
+    """(dep, ref) by the definition, as a baseline: a value of ``dep`` that ``ref`` lacks rules a candidate out.
+
+    All candidates(dep, ref) are tested in one anti-join of their dependents' values. ``values`` must be distinct.
+    """
+    asked = values.withColumnRenamed("attr", "dep").join(F.broadcast(candidates), "dep")
+    there = values.withColumnRenamed("attr", "ref")
+    return candidates.join(asked.join(there, ["ref", "v"], "left_anti").select("dep", "ref").distinct(), ["dep", "ref"], "left_anti")
 
 
 def pairwise_joined(values: DataFrame) -> DataFrame:

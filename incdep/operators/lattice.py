@@ -6,14 +6,15 @@ ascending order of attributes, no attribute repeats inside a side or occurs on b
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Sequence
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
 from ..plans import written
-from .attr_values import unpivot_combos
+from .attr_values import hashed_columns, unpivot_all, unpivot_combos
 from .exact import bitset
 
 LEVEL = "dep_table string, ref_table string, dep array<int>, ref array<int>"
@@ -63,12 +64,13 @@ def with_combo_ids(candidates: DataFrame, combos: list[tuple[int, ...]]) -> Data
     return candidates.join(dep, "dep").join(ref, "ref")
 
 
-def climb(unary: DataFrame, check: Callable[[DataFrame, list[tuple[int, ...]]], DataFrame], max_arity: int | None, max_candidates: int = 1_000_000) -> tuple[DataFrame, list[dict[str, int]]]:
-    """All levels from the valid unary level on; also candidates and survivors of each level."""
+def climb(unary: DataFrame, check: Callable[[DataFrame, list[tuple[int, ...]]], DataFrame], max_arity: int | None, max_candidates: int = 1_000_000, alone: Sequence[int] = ()) -> tuple[DataFrame, list[dict[str, int]]]:
+    """All levels from the valid unary level on; also candidates and survivors of each level. Attributes in ``alone`` stay unary."""
     valid = written(unary, "level")
     every, counts, arity = valid, [{"arity": 1, "valid": valid.count()}], 1
     while counts[-1]["valid"] and (max_arity is None or arity < max_arity):
-        candidates = written(next_level(valid, arity), "level")
+        base = valid.filter(~F.arrays_overlap(F.concat("dep", "ref"), F.array(*map(F.lit, alone)))) if alone and arity == 1 else valid
+        candidates = written(next_level(base, arity), "level")
         if (n := candidates.count()) > max_candidates:
             raise TooManyCandidates(f"{n} candidates of {arity + 1} columns; at most {max_candidates} are allowed")
         if not n:
@@ -81,10 +83,20 @@ def climb(unary: DataFrame, check: Callable[[DataFrame, list[tuple[int, ...]]],
 
 
 def exact_check(catalog: Catalog, nulls: str = "equal") -> Callable[[DataFrame, list[tuple[int, ...]]], DataFrame]:
-    """Exact validation of a level: one scan of each table, tuples as values, and value masks over combinations."""
+    """Exact validation of a level: one scan of each table's hashes, tuples as values, and value masks over combinations."""
+    hashed: dict[str, DataFrame] = {}
 
     def check(candidates: DataFrame, combos: list[tuple[int, ...]]) -> DataFrame:
-        true = bitset(unpivot_combos(catalog, combos, nulls), len(combos)).withColumnsRenamed({"dep": "d", "ref": "r"})
-        return with_combo_ids(candidates, combos).join(true, ["d", "r"], "left_semi").select("dep_table", "ref_table", "dep", "ref")
+        many = [c for c in combos if len(c) > 1]
+        out = []
+        if len(many) < len(combos):
+            unary = as_level(bitset(unpivot_all(catalog, nulls), len(catalog.attributes)), catalog)
+            out.append(candidates.filter(F.size("dep") == 1).join(unary, ["dep", "ref"], "left_semi"))
+        if many:
+            if not hashed:
+                hashed.update(hashed_columns(catalog, nulls))
+            true = bitset(unpivot_combos(hashed, catalog, many), len(many)).withColumnsRenamed({"dep": "d", "ref": "r"})
+            out.append(with_combo_ids(candidates, many).join(true, ["d", "r"], "left_semi"))
+        return reduce(DataFrame.unionByName, [df.select("dep_table", "ref_table", "dep", "ref") for df in out])
 
     return check

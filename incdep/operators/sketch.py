@@ -13,12 +13,13 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
-from ..functions import bucket, fingerprint, fold, rho, token, word_masks
+from ..functions import bucket, fingerprint, fold, has_bit, rho, token, word_masks
 from ..plans import written
+from .attr_values import plain_attributes
 from .candidates import unary
 from .exact import bitset
 from .lattice import as_level, climb, with_combo_ids
@@ -34,18 +35,22 @@ def lgk_for(error: float) -> int:
 
 
 def hash_tables(catalog: Catalog, fn: str = "xx", nulls: str = "equal", keep: bool = False) -> dict[str, DataFrame]:
-    """Per table a row of hashes h<attr>, one a column, in row order; ``keep`` writes them, so that levels don't scan the originals again."""
+    """Per table a row of hashes h<attr>, one a column, in row order; ``keep`` writes them, so that levels don't scan the originals again.
+
+    An exploded array is a table of its own, a row an element.
+    """
+    def hashes(of: dict[int, Column]) -> list[Column]:
+        toks = {a: token(x, nulls, compact=False) for a, x in of.items()}
+        return [(F.when(t.isNotNull(), fingerprint(t, fn)) if nulls == "ignore" else fingerprint(t, fn)).alias(f"h{a}") for a, t in toks.items()]
+
     out = {}
     for name, df in catalog.tables.items():
-        cols = []
-        for a in catalog.of(name):
-            tok = token(F.col(f"`{a.column}`"), nulls, compact=False)
-            h = fingerprint(tok, fn)
-            cols.append((F.when(tok.isNotNull(), h) if nulls == "ignore" else h).alias(f"h{a.id}"))
-        if cols:
-            hashed = df.select(*cols)
-            out[name] = written(hashed, "hashed") if keep else hashed
-    return out
+        if plain := {a.id: F.col(f"`{a.column}`") for a in plain_attributes(catalog, name)}:
+            out[name] = df.select(*hashes(plain))
+    for a in catalog.attributes:
+        if a.id in catalog.element_ids:
+            out[f"{a.table}[{a.column}]"] = catalog.tables[a.table].select(F.explode(f"`{a.column}`").alias("e")).select(*hashes({a.id: F.col("e")}))
+    return {name: written(df, "hashed") if keep else df for name, df in out.items()}
 
 
 def _fold(columns: list[np.ndarray], width: int = 64) -> np.ndarray:
@@ -59,7 +64,7 @@ def _fold(columns: list[np.ndarray], width: int = 64) -> np.ndarray:
 
 
 def sample_rows(hashed: DataFrame, n: int = 500, width: int = 64) -> DataFrame:
-    """Rows such that each column shows all its distinct hashes, or its ``n`` smallest ones.
+    """Rows such that each column shows all its distinct hashes, or its ``n`` smallest ones; NULL is no hash.
 
     Each kept hash has one witness, the row of smallest combined hash. Tasks keep at most n rows a column; what they keep is
     ranked again by (column, hash), so neither the order nor the number of tasks matters.
@@ -67,32 +72,37 @@ def sample_rows(hashed: DataFrame, n: int = 500, width: int = 64) -> DataFrame:
     cols = hashed.columns
 
     def bottom(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kept = np.empty((0, len(cols)), np.int64)
+        kept, none = np.empty((0, len(cols)), np.int64), np.empty((0, len(cols)), bool)
         for b in batches:
-            whole = pa.Table.from_batches([b]).drop_null() if any(c.null_count for c in b.columns) else b
-            x = np.concatenate([kept, np.stack([c.to_numpy() for c in whole.columns], axis=1)]) if whole.num_rows else kept
-            row = _fold([np.ascontiguousarray(x[:, c]).view(np.uint64) for c in range(len(cols))], width).view(np.int64) if len(x) else np.empty(0, np.int64)
+            if not b.num_rows:
+                continue
+            x = np.concatenate([kept, np.stack([c.fill_null(0).to_numpy() for c in b.columns], axis=1)])
+            null = np.concatenate([none, np.stack([c.is_null().to_numpy(zero_copy_only=False) for c in b.columns], axis=1)])
+            row = _fold([np.ascontiguousarray(x[:, c]).view(np.uint64) for c in range(len(cols))], width).view(np.int64)
             take = np.zeros(len(x), bool)
             for c in range(len(cols)):
-                order = np.lexsort((row, x[:, c]))
+                some = np.flatnonzero(~null[:, c])
+                if len(some) > 4 * n + 100:  # all that can be among the n smallest distinct ones, and the rows they occur in
+                    least = np.unique(x[some, c])[:n]
+                    some = some[x[some, c] <= least[-1]]
+                order = some[np.lexsort((row[some], x[some, c]))]
                 v = x[order, c]
-                first = order[np.concatenate([[True], v[1:] != v[:-1]])][:n] if len(v) else order
-                take[first] = True
-            kept = x[take]
+                take[order[np.concatenate([[True], v[1:] != v[:-1]])][:n] if len(v) else order] = True
+            kept, none = x[take], null[take]
         if len(kept):
-            yield pa.RecordBatch.from_arrays([pa.array(kept[:, c]) for c in range(len(cols))], names=cols)
+            yield pa.RecordBatch.from_arrays([pa.array(kept[:, c], mask=none[:, c]) for c in range(len(cols))], names=cols)
 
     local = hashed.mapInArrow(bottom, ", ".join(f"{c} long" for c in cols))
-    row = F.struct(fold([F.col(c) for c in cols], width).alias("order"), *cols)
-    cells = local.select(row.alias("row"), F.explode(F.array(*(F.struct(F.lit(k).alias("c"), F.col(c).alias("h")) for k, c in enumerate(cols)))).alias("x")).select("x.c", "x.h", "row")
+    row = F.struct(fold([F.coalesce(F.col(c), F.lit(0).cast("long")) for c in cols], width).alias("order"), *cols)
+    cells = local.select(row.alias("row"), F.explode(F.array(*(F.struct(F.lit(k).alias("c"), F.col(c).alias("h")) for k, c in enumerate(cols)))).alias("x")).select("x.c", "x.h", "row").filter("h is not null")
     best = cells.groupBy("c", "h").agg(F.min("row").alias("row")).withColumn("at", F.row_number().over(Window.partitionBy("c").orderBy("h"))).filter(F.col("at") <= n)
     return best.select("row.*").drop("order").distinct()
 
 
-def combo_folds(table: str, combos: list[tuple[int, ...]], catalog: Catalog, width: int = 64) -> list[tuple[int, list[str]]]:
-    """(combination, hash columns) of the combinations of a table."""
-    mine = {a.id for a in catalog.of(table)}
-    return [(k, [f"h{a}" for a in c]) for k, c in enumerate(combos) if c[0] in mine]
+def combo_folds(name: str, combos: list[tuple[int, ...]], catalog: Catalog) -> list[tuple[int, list[str]]]:
+    """(combination, hash columns) of the combinations of a hashed table."""
+    mine = {a.id for a in (plain_attributes(catalog, name) if name in catalog.tables else catalog.attributes) if name in (a.table, f"{a.table}[{a.column}]")}
+    return [(k, [f"h{a}" for a in c]) for k, c in enumerate(combos) if mine.issuperset(c)]
 
 
 def index_keys(samples: dict[str, DataFrame], combos: list[tuple[int, ...]], catalog: Catalog, width: int = 64) -> DataFrame:
@@ -237,6 +247,25 @@ def estimate(regs: DataFrame, lgk: int) -> DataFrame:
     return got.select("combo", F.when((raw <= 2.5 * m) & (empty > 0), m * F.log(m / empty)).otherwise(raw).alias("estimate"))
 
 
+def dominated(regs: DataFrame, n: int) -> DataFrame:
+    """(d, r): no register of combination ``d`` exceeds that of ``r``; d and r may be equal.
+
+    Register by register, the combinations that reach a value are one mask: an OR over the register's entries from the largest
+    value down. A combination keeps those that are in the masks of all its registers. So entries meet in one shuffle by register,
+    whatever the number of candidates, and no pair of combinations is formed before the end.
+    """
+    words = range(max(1, -(-n // 64)))
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("combo") % 64).cast("int"))
+    down = Window.partitionBy("bucket").orderBy(F.desc("rho")).rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    reach = regs.select("combo", "bucket", "rho", *(F.when(F.floor(F.col("combo") / 64) == w, bit).otherwise(F.lit(0).cast("long")).alias(f"b{w}") for w in words))
+    reach = reach.select("combo", *(F.bit_or(f"b{w}").over(down).alias(f"w{w}") for w in words))
+    meet = reach.groupBy("combo").agg(*(F.bit_and(f"w{w}").alias(f"w{w}") for w in words))
+    every = regs.sparkSession.range(n, numPartitions=1).select(F.col("id").cast("int").alias("d"))
+    meet = every.join(F.broadcast(meet.withColumnRenamed("combo", "d")), "d", "left").withColumns({f"w{w}": F.coalesce(f"w{w}", F.lit(-1).cast("long")) for w in words})
+    ref = F.filter(F.sequence(F.lit(0), F.lit(n - 1)), lambda x: has_bit([f"w{w}" for w in words], x))
+    return meet.select("d", F.explode(ref).alias("r"))
+
+
 def check(candidates: DataFrame, filled: DataFrame, n: int, members: str = "bits") -> DataFrame:
     """``candidates(d, r, ...)`` that neither structure rejects, with ``decided_by``: which had something to say of the dependent side."""
     hits = filled.filter("hit").select(F.col("combo").alias("attr"), F.col("k").alias("v"))
@@ -246,14 +275,10 @@ def check(candidates: DataFrame, filled: DataFrame, n: int, members: str = "bits
         left = candidates.join(bad, ["d", "r"], "left_anti")
     else:
         left = candidates.join(bitset(hits, n).withColumnsRenamed({"dep": "d", "ref": "r"}), ["d", "r"], "left_semi")
-    left = written(left, "by-index")
-    regs = registers(filled)
-    mine = left.select("d", "r").join(regs.select(F.col("combo").alias("d"), "bucket", F.col("rho").alias("p")), "d")
-    theirs = regs.select(F.col("combo").alias("r"), "bucket", F.col("rho").alias("q"))
-    over = mine.join(theirs, ["r", "bucket"], "left").filter(F.col("p") > F.coalesce("q", F.lit(0))).select("d", "r").distinct()
+    left = left.join(dominated(registers(filled), n), ["d", "r"], "left_semi")
     has = filled.groupBy(F.col("combo").alias("d")).agg(F.bool_or("hit").alias("i"), F.bool_or(~F.col("hit")).alias("s"))
     by = F.when(F.col("i") & F.col("s"), "both").when(F.col("i"), "index").when(F.col("s"), "sketch").otherwise("empty")
-    return left.join(over, ["d", "r"], "left_anti").join(has, "d", "left").withColumn("decided_by", by).drop("i", "s")
+    return left.join(F.broadcast(has), "d", "left").withColumn("decided_by", by).drop("i", "s")
 
 
 def level_check(catalog: Catalog, hashed: dict[str, DataFrame], samples: dict[str, DataFrame] | None, lgk: int, engine: str, members: str, width: int) -> Callable[[DataFrame, list[tuple[int, ...]]], DataFrame]:
@@ -277,7 +302,7 @@ def approx_inds(
     """
     width = 60 if fn == "md5" else 64
     hashed = hash_tables(catalog, fn, nulls, keep=True)
-    samples = None if sample_n == 0 else {k: v.dropna() if sample_n is None else written(sample_rows(v, sample_n, width), "sample") for k, v in hashed.items()}
+    samples = None if sample_n == 0 else {k: v if sample_n is None else written(sample_rows(v, sample_n, width), "sample") for k, v in hashed.items()}
     run = level_check(catalog, hashed, samples, lgk or lgk_for(hll_error), engine, members, width)
     first = as_level(unary(catalog, typed), catalog)
-    return climb(run(first, [(a.id,) for a in catalog.attributes]), run, max_arity, max_candidates)
+    return climb(run(first, [(a.id,) for a in catalog.attributes]), run, max_arity, max_candidates, catalog.element_ids)

@@ -156,3 +156,52 @@ def test_nested_columns(spark):
     assert [a.column for a in Catalog({"t": df}).attributes] == ["k"]
     assert answer(discover(Catalog({"t": df}, nested="explode"))) == {("t", "xs", "t", "k"), ("t", "k", "t", "xs")}
     assert len(Catalog({"t": df}, nested="json").attributes) == 2
+
+
+def included(catalog: Catalog, nulls: str) -> set:
+    """Unary dependencies by sets of Python values, array elements and bytes among them."""
+    sets = []
+    for a in catalog.attributes:
+        cells = [r[0] for r in catalog.tables[a.table].select(a.column).collect()]
+        if (a.table, a.column) in catalog.element_columns:
+            cells = [x for c in cells if c is not None for x in c]
+        sets.append((a, {None if x is None else str(x) for x in cells if x is not None or nulls == "equal"}))
+    return {(a.id, b.id) for a, s in sets for b, t in sets if a.id != b.id and s <= t}
+
+
+@pytest.fixture(scope="module")
+def mixed(spark):
+    one = spark.createDataFrame([(1, [1, 2, None], bytearray(b"\xff\x00"), None), (2, [], bytearray(b"a"), "2"), (None, None, None, "1")], "k int, xs array<int>, raw binary, s string")
+    two = spark.createDataFrame([(1, [bytearray(b"\xff\x00")], None), (1, [bytearray(b"a"), bytearray(b"b")], None)], "y int, blobs array<binary>, z string")
+    return lambda: Catalog({"one": one, "two": two}, nested="explode")
+
+
+@pytest.mark.parametrize("nulls", ["equal", "ignore"])
+def test_arrays_bytes_and_nulls_by_all_methods(spark, mixed, nulls):
+    want = included(mixed(), nulls)
+    ids = {a.column: a.id for a in mixed().attributes}
+    assert (ids["y"], ids["xs"]) in want and (ids["raw"], ids["blobs"]) in included(mixed(), "ignore")
+    for method in ("bitset", "inverted", "pairwise"):
+        assert {tuple(r) for r in unary_pairs(mixed(), method, nulls).select("dep", "ref").collect()} == want, method
+    for kind in dedupe.KINDS:
+        assert {tuple(r) for r in unary_pairs(mixed(), "merge", nulls, kind=kind, chunk_bytes=200).select("dep", "ref").collect()} == want, kind
+    for engine in ("sql", "vector", "batch"):
+        got = discover(mixed(), "sketch", nulls=nulls, engine=engine)
+        assert {(ids[r["dep_cols"][0]], ids[r["ref_cols"][0]]) for r in got.collect()} == want, engine
+
+
+def test_array_elements_stay_out_of_wider_levels(spark, mixed):
+    for options in ({}, {"method": "sketch"}, {"method": "sketch", "verify": True}):
+        got = discover(mixed(), max_arity=None, **options).collect()
+        assert all(r["arity"] == 1 or not {"xs", "blobs"} & {*r["dep_cols"], *r["ref_cols"]} for r in got)
+        assert {(r["dep_cols"][0], r["ref_cols"][0]) for r in got if r["arity"] == 1} >= {("y", "xs")}
+
+
+def test_merge_is_a_stream_of_small_batches(spark, small):
+    """Values that go on over batches, and more attributes than a word holds."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        got = {tuple(r) for r in unary_pairs(W.wide(spark, small, 70), "merge").collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert got == {(j, k) for j in range(70) for k in range(70) if j < k}

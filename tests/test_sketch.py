@@ -87,3 +87,27 @@ def test_nulls(spark, data):
     for nulls in ("equal", "ignore"):
         want = {tuple(r) for r in unary_pairs(catalog, nulls=nulls).collect()}
         assert len(want) <= discover(catalog, "sketch", nulls=nulls).count()
+
+
+def test_sample_covers_columns_with_a_null_in_every_row(spark):
+    df = spark.createDataFrame([(k if k % 2 else None, None if k % 2 else k, None) for k in range(40)], "a int, b int, c int")
+    hashed = sketch.hash_tables(Catalog({"t": df}), nulls="ignore")["t"]
+    got = sketch.sample_rows(hashed, 12)
+    for c, n in zip(hashed.columns, (12, 12, 0), strict=True):
+        assert got.filter(f"{c} is not null").select(c).distinct().count() == n
+    want = {tuple(r) for r in unary_pairs(Catalog({"t": df}), nulls="ignore").collect()}
+    for n in (3, 500, None):
+        got = discover(Catalog({"t": df}), "sketch", nulls="ignore", sample_n=n)
+        names = {"a": 0, "b": 1, "c": 2}
+        assert {(names[r["dep_cols"][0]], names[r["ref_cols"][0]]) for r in got.collect()} == want
+
+
+def test_dominance_of_registers(spark):
+    import itertools
+    import random
+
+    r = random.Random(4)
+    regs = {(c, b): r.randint(1, 4) for c in range(70) for b in range(6) if r.random() < 0.5 and c != 5}
+    df = spark.createDataFrame([(c, b, p) for (c, b), p in regs.items()], "combo int, bucket int, rho int")
+    want = {(d, e) for d, e in itertools.product(range(70), repeat=2) if all(p <= regs.get((e, b), 0) for (c, b), p in regs.items() if c == d)}
+    assert {tuple(x) for x in sketch.dominated(df, 70).collect()} == want
