@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -82,20 +84,41 @@ def discover(
     return out
 
 
-def profile(catalogs: dict[str, Catalog]) -> DataFrame:
-    """(dataset, tables, attributes, rows, unary_inds): one row a data set."""
+def levels(catalog: Catalog, max_arity: int | None = None, max_candidates: int = 1_000_000, nulls: str = "equal") -> tuple[list[dict], bool]:
+    """Candidates and valid dependencies of each level, exactly, and whether a level had more candidates than allowed."""
+    n = len(catalog.attributes)
+    first = lattice.as_level(unary_pairs(catalog, nulls=nulls), catalog)
+    try:
+        counts, stopped = lattice.climb(first, lattice.exact_check(catalog, nulls), max_arity, max_candidates, catalog.element_ids)[1], False
+    except lattice.TooManyCandidates as e:
+        counts, stopped = e.counts, True
+    counts[0]["candidates"] = n * (n - 1)
+    return counts, stopped
+
+
+def profile(catalogs: dict[str, Catalog], max_arity: dict[str, int] | None = None, max_candidates: int = 100_000) -> DataFrame:
+    """(dataset, tables, attributes, rows, text_chars, unary_inds, nary_inds, max_arity): one row a data set.
+
+    ``text_chars`` is the size of all values as text. ``nary_inds`` and ``max_arity`` are NULL where a level has more candidates than
+    allowed, or where ``max_arity`` bounds the data set to unary ones.
+    """
     out = None
     for name, c in catalogs.items():
-        spark = c.spark
-        rows = None
-        for df in c.tables.values():
-            one = df.agg(F.count(F.lit(1)).alias("rows"))
-            rows = one if rows is None else rows.unionByName(one)
-        n = exact.bitset(attr_values.unpivot_all(c), len(c.attributes)).agg(F.count(F.lit(1)).alias("unary_inds"))
-        row = rows.agg(F.sum("rows").alias("rows")).crossJoin(F.broadcast(n))  # one row each
-        row = row.select(F.lit(name).alias("dataset"), F.lit(len(c.tables)).cast("long").alias("tables"), F.lit(len(c.attributes)).cast("long").alias("attributes"), "rows", "unary_inds")
+        sizes = None
+        for t, df in c.tables.items():
+            chars = [F.coalesce(F.sum(F.length(F.col(f"`{a.column}`").cast("string"))), F.lit(0)) for a in attr_values.plain_attributes(c, t)]
+            one = df.agg(F.count(F.lit(1)).alias("rows"), reduce(Column.__add__, chars, F.lit(0).cast("long")).alias("chars"))
+            sizes = one if sizes is None else sizes.unionByName(one)
+        bound = (max_arity or {}).get(name)
+        counts, stopped = levels(c, bound, max_candidates)
+        known = not stopped and bound is None
+        row = sizes.agg(F.sum("rows").alias("rows"), F.sum("chars").alias("text_chars"))
+        row = row.select(
+            F.lit(name).alias("dataset"), F.lit(len(c.tables)).cast("long").alias("tables"), F.lit(len(c.attributes)).cast("long").alias("attributes"), "rows", "text_chars", F.lit(counts[0]["valid"]).cast("long").alias("unary_inds"),
+            F.lit(sum(x["valid"] for x in counts) if known else None).cast("long").alias("nary_inds"), F.lit(max(x["arity"] for x in counts if x["valid"]) if known and counts[0]["valid"] else None).cast("int").alias("max_arity"),
+        )
         out = row if out is None else out.unionByName(row)
     return out
 
 
-__all__ = ["METHODS", "Catalog", "derived", "discover", "flatten", "profile", "result", "unary_pairs"]
+__all__ = ["METHODS", "Catalog", "derived", "discover", "flatten", "levels", "profile", "result", "unary_pairs"]

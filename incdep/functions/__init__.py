@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Sequence
 from functools import reduce
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 LONG_TOKEN = 64
@@ -23,6 +24,27 @@ def token(col: Column, nulls: str = "equal", compact: bool = True) -> Column:
     return F.coalesce(body, F.lit("n")) if nulls == "equal" else body
 
 
+def quoted(name: str) -> str:
+    return "`" + name.replace("`", "``") + "`"
+
+
+def token_sql(column: str, nulls: str = "equal", compact: bool = True) -> str:
+    """``token`` of a named column as SQL text: a wide table's tokens are then one call to the JVM, not a dozen a column."""
+    text = f"cast({column} as string)"
+    body = f"concat('v', {text})"
+    if compact:
+        body = f"case when length({text}) > {LONG_TOKEN} then concat('x', sha2(cast({text} as binary), 256)) else {body} end"
+    return f"coalesce({body}, 'n')" if nulls == "equal" else body
+
+
+def fingerprint_sql(tok: str, fn: str = "xx", seed: int | None = None) -> str:
+    """``fingerprint`` as SQL text; NULL for a NULL token. ``seed`` makes another hash."""
+    if fn not in ("xx", "md5"):
+        raise ValueError(f"fn={fn!r}")
+    h = f"cast(conv(substring(md5(cast({tok} as binary)), 1, 15), 16, 10) as bigint)" if fn == "md5" else f"xxhash64({'' if seed is None else f'{seed}, '}{tok})"
+    return f"case when {tok} is not null then {h} end"
+
+
 def row_token(tokens: list[Column]) -> Column:
     """One text for a tuple of tokens; lengths keep it unambiguous. NULL if any token is NULL."""
     if len(tokens) == 1:
@@ -52,6 +74,23 @@ def fold(hashes: list[Column], width: int = 64) -> Column:
     return reduce(lambda acc, h: rotate(acc, width).bitwiseXOR(h), hashes[1:], hashes[0])
 
 
+def folded(df: DataFrame, combos: Sequence[Sequence[str]], width: int = 64) -> tuple[DataFrame, list[str]]:
+    """``df`` with the combined hash of each combination of its hash columns, and the names of these columns.
+
+    One projection for each place in a combination: a combined hash is computed from the one of its prefix, which combinations share,
+    so expressions grow with the number of prefixes and not, as a rotated value is used twice, with the power of their length.
+    """
+    names: dict[tuple[str, ...], str] = {(c,): c for combo in combos for c in combo}
+    for j in range(2, max(map(len, combos), default=1) + 1):
+        fresh = list(dict.fromkeys(tuple(c[:j]) for c in combos if len(c) >= j))
+        later = {x for c in combos for x in c[j:]} | {names[tuple(c)] for c in combos if len(c) < j}
+        new = {prefix: f"p{j}_{k}" for k, prefix in enumerate(fresh)}
+        turned = lambda x: f"(shiftleft({x} & {(1 << (width - 1)) - 1}L, 1) | shiftrightunsigned({x}, {width - 1}))"
+        df = df.selectExpr(*sorted(later), *(f"{turned(names[prefix[:-1]])} ^ {prefix[-1]} as {name}" for prefix, name in new.items()))
+        names |= new
+    return df, [names[tuple(c)] for c in combos]
+
+
 def bucket(h: Column, lgk: int) -> Column:
     """Register number: the low ``lgk`` bits."""
     return h.bitwiseAND(F.lit((1 << lgk) - 1)).cast("int")

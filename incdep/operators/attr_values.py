@@ -8,17 +8,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..catalog import Attribute, Catalog
-from ..functions import fold, token
+from ..functions import fingerprint_sql, folded, quoted, token_sql
 from ..plans import written
 
+COMBOS_AT_ONCE = 32  # combinations that one pass over a table's hashes computes, so that its generated code stays small
+
 
 def column_cells(catalog: Catalog, a: Attribute, nulls: str = "equal", compact: bool = True) -> DataFrame:
     """(attr, v) of one attribute with repeats: a narrow scan of its table; an array's elements are its values."""
-    x = F.col(f"`{a.column}`")
+    df, x = catalog.tables[a.table], quoted(a.column)
     if (a.table, a.column) in catalog.element_columns:
-        cells = catalog.tables[a.table].select(F.explode(x).alias("e")).select(F.lit(a.id).alias("attr"), token(F.col("e"), nulls, compact).alias("v"))
-    else:
-        cells = catalog.tables[a.table].select(F.lit(a.id).alias("attr"), token(x, nulls, compact).alias("v"))
+        df, x = df.selectExpr(f"explode({x}) as e"), "e"
+    cells = df.selectExpr(f"{a.id} as attr", f"{token_sql(x, nulls, compact)} as v")
     return cells.filter("v is not null") if nulls == "ignore" else cells
 
 
@@ -29,7 +30,7 @@ def plain_attributes(catalog: Catalog, table: str) -> list[Attribute]:
 
 def token_table(catalog: Catalog, table: str, nulls: str = "equal", compact: bool = True) -> DataFrame:
     """A column a<attr> of tokens for each plain attribute, in row order."""
-    return catalog.tables[table].select(*(token(F.col(f"`{a.column}`"), nulls, compact).alias(f"a{a.id}") for a in plain_attributes(catalog, table)))
+    return catalog.tables[table].selectExpr(*(f"{token_sql(quoted(a.column), nulls, compact)} as a{a.id}" for a in plain_attributes(catalog, table)))
 
 
 def table_cells(catalog: Catalog, table: str, nulls: str = "equal", compact: bool = True) -> DataFrame:
@@ -51,10 +52,10 @@ def hashed_columns(catalog: Catalog, nulls: str = "equal") -> dict[str, DataFram
     """Per table two independent 64-bit hashes g<attr> and h<attr> of each column, written once for all levels; array elements have none."""
     out = {}
     for name, df in catalog.tables.items():
-        toks = {a.id: token(F.col(f"`{a.column}`"), nulls, compact=False) for a in plain_attributes(catalog, name)}
-        cols = [F.when(t.isNotNull(), h).alias(f"{n}{a}") for a, t in toks.items() for n, h in (("g", F.xxhash64(t)), ("h", F.xxhash64(F.lit(1), t)))]
+        toks = {a.id: token_sql(quoted(a.column), nulls, compact=False) for a in plain_attributes(catalog, name)}
+        cols = [f"{fingerprint_sql(t, seed=seed)} as {n}{a}" for a, t in toks.items() for n, seed in (("g", None), ("h", 1))]
         if cols:
-            out[name] = written(df.select(*cols), "hashed")
+            out[name] = written(df.selectExpr(*cols), "hashed")
     return out
 
 
@@ -67,11 +68,13 @@ def unpivot_combos(hashed: dict[str, DataFrame], catalog: Catalog, combos: list[
     by_id = {a.id: a for a in catalog.attributes}
     parts = []
     for name, df in hashed.items():
-        mine = [(k, c) for k, c in enumerate(combos) if by_id[c[0]].table == name]
-        if mine:
-            both = lambda c: F.struct(fold([F.col(f"g{a}") for a in c]).alias("g"), fold([F.col(f"h{a}") for a in c]).alias("h"))
-            cells = F.array(*(F.struct(F.lit(k).alias("attr"), both(c).alias("v")) for k, c in mine))
-            parts.append(df.select(F.explode(cells).alias("c")).select("c.attr", "c.v.g", "c.v.h"))
+        every = [(k, c) for k, c in enumerate(combos) if by_id[c[0]].table == name]
+        for at in range(0, len(every), COMBOS_AT_ONCE):
+            mine = every[at : at + COMBOS_AT_ONCE]
+            pairs = [tuple(f"{n}{a}" for a in c) for _, c in mine for n in "gh"]
+            wide, names = folded(df.select(*sorted({c for p in pairs for c in p})), pairs)
+            cells = ", ".join(f"named_struct('attr', {k}, 'g', {g}, 'h', {h})" for (k, _), g, h in zip(mine, names[::2], names[1::2], strict=True))
+            parts.append(wide.selectExpr(f"explode(array({cells})) as c").select("c.attr", "c.g", "c.h"))
     return reduce(DataFrame.unionByName, parts).filter("g is not null").select("attr", F.struct("g", "h").alias("v"))
 
 

@@ -21,7 +21,9 @@ LEVEL = "dep_table string, ref_table string, dep array<int>, ref array<int>"
 
 
 class TooManyCandidates(RuntimeError):
-    """A level has more candidates than allowed."""
+    """A level has more candidates than allowed; ``counts`` has the levels so far, that one too."""
+
+    counts: list[dict]
 
 
 def as_level(pairs: DataFrame, catalog: Catalog) -> DataFrame:
@@ -72,7 +74,9 @@ def climb(unary: DataFrame, check: Callable[[DataFrame, list[tuple[int, ...]]],
         base = valid.filter(~F.arrays_overlap(F.concat("dep", "ref"), F.array(*map(F.lit, alone)))) if alone and arity == 1 else valid
         candidates = written(next_level(base, arity), "level")
         if (n := candidates.count()) > max_candidates:
-            raise TooManyCandidates(f"{n} candidates of {arity + 1} columns; at most {max_candidates} are allowed")
+            stop = TooManyCandidates(f"{n} candidates of {arity + 1} columns; at most {max_candidates} are allowed")
+            stop.counts = [*counts, {"arity": arity + 1, "candidates": n}]
+            raise stop
         if not n:
             break
         valid = written(check(candidates, combos_of(candidates)), "level")

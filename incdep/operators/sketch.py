@@ -13,11 +13,11 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
-from ..functions import bucket, fingerprint, fold, has_bit, rho, token, word_masks
+from ..functions import bucket, fingerprint_sql, fold, folded, has_bit, quoted, rho, token_sql, word_masks
 from ..plans import written
 from .attr_values import plain_attributes
 from .candidates import unary
@@ -39,17 +39,14 @@ def hash_tables(catalog: Catalog, fn: str = "xx", nulls: str = "equal", keep: bo
 
     An exploded array is a table of its own, a row an element.
     """
-    def hashes(of: dict[int, Column]) -> list[Column]:
-        toks = {a: token(x, nulls, compact=False) for a, x in of.items()}
-        return [(F.when(t.isNotNull(), fingerprint(t, fn)) if nulls == "ignore" else fingerprint(t, fn)).alias(f"h{a}") for a, t in toks.items()]
-
+    hashed = lambda x, a: f"{fingerprint_sql(token_sql(x, nulls, compact=False), fn)} as h{a}"
     out = {}
     for name, df in catalog.tables.items():
-        if plain := {a.id: F.col(f"`{a.column}`") for a in plain_attributes(catalog, name)}:
-            out[name] = df.select(*hashes(plain))
+        if plain := plain_attributes(catalog, name):
+            out[name] = df.selectExpr(*(hashed(quoted(a.column), a.id) for a in plain))
     for a in catalog.attributes:
         if a.id in catalog.element_ids:
-            out[f"{a.table}[{a.column}]"] = catalog.tables[a.table].select(F.explode(f"`{a.column}`").alias("e")).select(*hashes({a.id: F.col("e")}))
+            out[f"{a.table}[{a.column}]"] = catalog.tables[a.table].selectExpr(f"explode({quoted(a.column)}) as e").selectExpr(hashed("e", a.id))
     return {name: written(df, "hashed") if keep else df for name, df in out.items()}
 
 
@@ -110,13 +107,15 @@ def index_keys(samples: dict[str, DataFrame], combos: list[tuple[int, ...]], cat
     parts = []
     for name, sample in samples.items():
         if mine := combo_folds(name, combos, catalog):
-            parts.append(sample.select(F.explode(F.array(*(fold([F.col(c) for c in cols], width) for _, cols in mine))).alias("h")).filter("h is not null"))
+            wide, names = folded(sample, [cols for _, cols in mine], width)
+            parts.append(wide.select(F.explode(F.array(*names)).alias("h")).filter("h is not null"))
     return reduce(DataFrame.unionByName, parts).distinct()
 
 
 def _sql_fill(hashed: DataFrame, mine: list[tuple[int, list[str]]], keys: DataFrame | None, small: bool, lgk: int, width: int) -> DataFrame:
-    cells = F.array(*(F.struct(F.lit(k).alias("combo"), fold([F.col(c) for c in cols], width).alias("h")) for k, cols in mine))
-    rows = hashed.select(F.explode(cells).alias("c")).select("c.combo", "c.h").filter("h is not null")
+    wide, names = folded(hashed, [cols for _, cols in mine], width)
+    cells = ", ".join(f"named_struct('combo', {k}, 'h', {name})" for (k, _), name in zip(mine, names, strict=True))
+    rows = wide.selectExpr(f"explode(array({cells})) as c").select("c.combo", "c.h").filter("h is not null")
     if keys is not None:
         k = keys.select("h", F.lit(True).alias("hit"))
         rows = rows.join(F.broadcast(k) if small else k, "h", "left")
@@ -224,6 +223,28 @@ def fill(hashed: dict[str, DataFrame], combos: list[tuple[int, ...]], keys: Data
     return reduce(DataFrame.unionByName, parts).groupBy("hit", "combo", "k").agg(F.max("rho").alias("rho"))
 
 
+def lookups(hashed: dict[str, DataFrame], combos: list[tuple[int, ...]], catalog: Catalog) -> DataFrame:
+    """(table_name, combos, row_count, lookups) of a level: how often the index is asked, counted on the cells that ask it."""
+    parts = []
+    for name, df in hashed.items():
+        if mine := combo_folds(name, combos, catalog):
+            wide, names = folded(df, [cols for _, cols in mine])
+            asked = F.size(F.array_compact(F.array(*names)))
+            parts.append(wide.agg(F.count(F.lit(1)).alias("row_count"), F.sum(asked.cast("long")).alias("lookups")).select(F.lit(name).alias("table_name"), F.lit(len(mine)).cast("long").alias("combos"), "row_count", "lookups"))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def fill_index(hashed: dict[str, DataFrame], combos: list[tuple[int, ...]], keys: DataFrame, catalog: Catalog, members: str = "bits", width: int = 64) -> DataFrame:
+    """The inverted index straight from the probed rows, as ``index_members`` gives it.
+
+    Every hit of every row goes into its key's members: a set that grows by insertion (``set``), or words that are ORed (``bits``). So the
+    two differ where values repeat, as a locked set and a bit vector do; both are combined by task before anything is shuffled.
+    """
+    small = keys.count() <= BROADCAST_KEYS
+    parts = [_sql_fill(df, mine, keys, small, 4, width) for name, df in hashed.items() if (mine := combo_folds(name, combos, catalog))]
+    return index_members(reduce(DataFrame.unionByName, parts), len(combos), members)
+
+
 def index_members(filled: DataFrame, n: int, members: str = "bits") -> DataFrame:
     """The inverted index: (h, members) with a sorted set (``set``), or (h, w0..) with one bit a combination (``bits``)."""
     hits = filled.filter("hit").select(F.col("k").alias("h"), "combo")

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from .catalog import CORE, EXTRA
-from .workloads import DECLARED, HIGH_ARITY, PROSE
+from .workloads import BRAND, DECLARED, HIGH_ARITY, PROSE
 
 # The atomic columns of the given tables.
 COLUMNS = {
@@ -117,11 +117,67 @@ def sets_sql(t: Tables) -> str:
 select array_to_string(m, ',') members, count(*) n_values from s group by m"""
 
 
-def profile_sql(sets: dict[str, Tables]) -> str:
+def level_ctes(t: Tables, most: int) -> str:
+    """CTEs c2, v2, ... up to ``most`` columns: closed candidates and valid dependencies (dt, d, rt, r), d and r being positions of columns; v1 is unary."""
+    rows = " union all ".join(f"select distinct '{n}' t, [{', '.join(token(chr(34) + c + chr(34)) for c in cols)}] vals from {rel}" for n, (rel, cols) in sorted(t.items()))
+    place = ", ".join(f"({k}, '{n}', {t[n][1].index(c) + 1})" for k, n, _, c in numbered(t))
+    out = [f"""{masks_sql(cells_sql(t), len(numbered(t)))}, place as (select * from (values {place}) x(attr, t, p)), vals as materialized ({rows}),
+v1 as materialized (select a.t dt, [a.p] d, b.t rt, [b.p] r from pairs x join place a on a.attr = x.dep join place b on b.attr = x.ref)"""]
+    for k in range(1, most):
+        out.append(f"""j{k + 1} as materialized (
+  select row_number() over () id, a.dt, list_append(a.d, b.d[{k}]) d, a.rt, list_append(a.r, b.r[{k}]) r from v{k} a join v{k} b
+    on a.dt = b.dt and a.rt = b.rt and a.d[1:{k - 1}] = b.d[1:{k - 1}] and a.r[1:{k - 1}] = b.r[1:{k - 1}] and a.d[{k}] < b.d[{k}] and not list_contains(a.r, b.r[{k}])
+  where a.dt <> a.rt or not list_has_any(list_append(a.d, b.d[{k}]), list_append(a.r, b.r[{k}]))),
+c{k + 1} as materialized (
+  select * from j{k + 1} where id in (
+    select x.id from (select id, dt, rt, list_concat(d[1:g - 1], d[g + 1:]) d, list_concat(r[1:g - 1], r[g + 1:]) r from j{k + 1}, range(1, {k + 2}) y(g)) x
+    join v{k} w on w.dt = x.dt and w.rt = x.rt and w.d = x.d and w.r = x.r group by x.id having count(*) = {k + 1})),
+v{k + 1} as materialized (
+  select dt, d, rt, r from c{k + 1} where id not in (select id from (
+    select c.id, list_transform(c.d, lambda i: l.vals[i]) v from c{k + 1} c join vals l on l.t = c.dt
+    except select c.id, list_transform(c.r, lambda i: l.vals[i]) v from c{k + 1} c join vals l on l.t = c.rt)))""")
+    return ",\n".join(out)
+
+
+def nary_sql(t: Tables, most: int) -> str:
+    """Dependencies of up to ``most`` columns, level by level; every candidate is tested by EXCEPT."""
+    cols = ", ".join(f"('{n}', [{', '.join(chr(39) + c + chr(39) for c in cols)}])" for n, (_, cols) in t.items())
+    every = " union all ".join(f"select dt, d, rt, r, {k} arity from v{k}" for k in range(1, most + 1))
+    named = lambda x, y: f"array_to_string(list_transform({x}, lambda i: {y}.c[i]), ',')"
+    return f"""with {level_ctes(t, most)}, cols as (select * from (values {cols}) x(t, c))
+select dt dep_table, {named("d", "a")} dep_cols, rt ref_table, {named("r", "b")} ref_cols, arity from ({every}) e join cols a on a.t = e.dt join cols b on b.t = e.rt"""
+
+
+def level_counts_sql(sets: dict[str, tuple[Tables, int]]) -> str:
     parts = []
-    for name, t in sets.items():
+    for name, (t, most) in sets.items():
+        n = len(numbered(t))
+        counts = f"select 1 arity, {n * (n - 1)} candidates, (select count(*) from v1) valid" + "".join(f" union all select {k}, (select count(*) from c{k}), (select count(*) from v{k})" for k in range(2, most + 1))
+        parts.append(f"(with {level_ctes(t, most)} select '{name}' dataset, arity, candidates::bigint candidates, valid from ({counts}) where candidates > 0)")
+    return " union all ".join(parts)
+
+
+def guard_sql(width: int) -> str:
+    """Column j of ``width`` residues is included in column k exactly if j < k; the binary candidates that follow, whose validity isn't asked."""
+    return f"""with p as (select d.i d, r.i r from range({width}) d(i), range({width}) r(i) where d.i < r.i),
+c as (select count(*) n from p a join p b on a.d < b.d and a.r <> b.r and a.d not in (a.r, b.r) and b.d not in (a.r, b.r))
+select 1 arity, {width * (width - 1)}::bigint candidates, (select count(*) from p) valid union all select 2, n, null from c"""
+
+
+def lookups_sql(t: Tables) -> str:
+    return " union all ".join(f"select '{n}' table_name, {len(cols)}::bigint combos, count(*) row_count, (count(*) * {len(cols)})::bigint lookups from {rel}" for n, (rel, cols) in t.items())
+
+
+def profile_sql(sets: dict[str, tuple[Tables, int]]) -> str:
+    parts = []
+    for name, (t, most) in sets.items():
         rows = " + ".join(f"(select count(*) from {rel})" for rel, _ in t.values())
-        parts.append(f"(with {masks_sql(cells_sql(t), len(numbered(t)))} select '{name}' dataset, {len(t)}::bigint \"tables\", {len(numbered(t))}::bigint attributes, ({rows})::bigint \"rows\", count(*) unary_inds from pairs)")
+        chars = " + ".join("(select " + " + ".join(f'coalesce(sum(length("{c}"::varchar)), 0)' for c in cols) + f" from {rel})" for rel, cols in t.values())
+        every = " + ".join(f"(select count(*) from v{k})" for k in range(1, most + 1))
+        arity = "greatest(" + ", ".join(f"(select {k} * (count(*) > 0)::int from v{k})" for k in range(1, most + 1)) + ")"
+        nary, top = (f"({every})::bigint", f"{arity}::int") if most > 1 else ("null::bigint", "null::int")
+        parts.append(f"""(with {level_ctes(t, most)} select '{name}' dataset, {len(t)}::bigint "tables", {len(numbered(t))}::bigint attributes, ({rows})::bigint "rows",
+({chars})::bigint text_chars, (select count(*) from v1) unary_inds, {nary} nary_inds, {top} max_arity)""")
     return " union all ".join(parts)
 
 
@@ -189,16 +245,47 @@ def hashed_sql(table: str) -> str:
     return f"select {', '.join(f'{md5_hash(c)} h{k}' for k, c in enumerate(COLUMNS[table].split()))} from {table}"
 
 
-def sample_sql(table: str, n: int) -> str:
-    """CTEs ending in sample(h0, ...)."""
+def sample_sql(table: str, n: int, p: str = "") -> str:
+    """CTEs ending in {p}sample(h0, ...)."""
     cols = [f"h{k}" for k in range(len(COLUMNS[table].split()))]
     all_ = ", ".join(cols)
-    one = " union ".join(f"(select {all_} from (select *, row_number() over (partition by {c} order by o, {all_}) k from r) where k = 1 order by {c} limit {n})" for c in cols)
-    return f"h as materialized ({hashed_sql(table)}), r as materialized (select *, {fold60(cols)} o from h), sample as ({one})"
+    one = " union ".join(f"(select {all_} from (select *, row_number() over (partition by {c} order by o, {all_}) k from {p}r) where k = 1 order by {c} limit {n})" for c in cols)
+    return f"{p}h as materialized ({hashed_sql(table)}), {p}r as materialized (select *, {fold60(cols)} o from {p}h), {p}sample as ({one})"
+
 
+def filled_ctes(n: int) -> str:
+    """CTEs ending in cells(combo, h), the core tables' distinct hashes, and keys(h), those of samples of ``n``."""
+    core = tables(CORE)
+    combo = {(name, c): k for k, name, _, c in numbered(core)}
+    places = [(f"{name}_", name, k, combo[name, c]) for name in core for k, c in enumerate(core[name][1])]
+    samples = ", ".join(sample_sql(name, n, f"{name}_") for name in core)
+    keys = " union ".join(f"select h{k} h from {p}sample" for p, _, k, _ in places)
+    cells = " union ".join(f"select {a} combo, h{k} h from {p}h" for p, _, k, a in places)
+    return f"{samples}, keys as materialized ({keys}), cells as materialized ({cells})"
 
-def rename(table: str, prefix: str = "orders") -> str:
-    return ", ".join(f"h{k} as c{k}" for k in range(len(COLUMNS[table].split())))
+
+def filled_sql(n: int, lgk: int) -> str:
+    return f"""with {filled_ctes(n)}, names as ({names_sql(tables(CORE))}),
+miss as (select combo, h & {(1 << lgk) - 1} b, h >> {lgk} x from cells where h not in (select h from keys)),
+regs as (select combo, b, max(case when x = 0 then {60 - lgk + 1} else bit_count((x & -x) - 1) + 1 end)::bigint rho from miss group by combo, b),
+hits as (select combo, count(*) n from cells where h in (select h from keys) group by combo),
+sums as (select combo, count(*) n, sum(rho)::bigint s from regs group by combo)
+select t table_name, c column_name, coalesce(hits.n, 0) n_keys, coalesce(sums.n, 0) n_registers, coalesce(sums.s, 0) rho_sum
+from names left join hits on hits.combo = attr left join sums on sums.combo = attr"""
+
+
+def filled_sets_sql(n: int) -> str:
+    return f"""with {filled_ctes(n)}, s as (select h, list_sort(list(combo)) m from cells where h in (select h from keys) group by h)
+select array_to_string(m, ',') members, count(*) n_values from s group by m"""
+
+
+def estimates_sql(lgk: int) -> str:
+    core, m = tables(CORE), float(1 << lgk)
+    cells = " union all ".join(f"select {k} combo, {md5_hash(c)} h from {rel}" for k, _, rel, c in numbered(core))
+    return f"""with cells as ({cells}), names as ({names_sql(core)}),
+regs as (select combo, h & {(1 << lgk) - 1} b, max(case when h >> {lgk} = 0 then {60 - lgk + 1} else bit_count(((h >> {lgk}) & -(h >> {lgk})) - 1) + 1 end) rho from cells group by 1, 2),
+e as (select combo, {m} - count(*) zero, {0.7213 / (1 + 1.079 / m) * m * m!r} / (sum(pow(2.0, -rho)) + {m} - count(*)) raw from regs group by combo)
+select t table_name, c column_name, round(case when raw <= {2.5 * m} and zero > 0 then {m} * ln({m} / zero) else raw end, 3) estimate from e join names on attr = combo"""
 
 
 def registers_sql(table: str, lgk: int) -> str:
@@ -213,9 +300,8 @@ SPARSE: Tables = {
     "a": ("(select o_orderkey k, case when o_orderkey % 3 = 0 then o_custkey end c, case when o_orderkey % 5 = 0 then o_orderstatus end s, case when o_orderkey % 7 = 0 then o_orderpriority end p, null::varchar z from orders)", ["k", "c", "s", "p", "z"]),
     "b": ("(select o_orderkey k2, case when o_orderkey % 2 = 0 then o_custkey end c2, o_orderstatus s2, case when o_orderkey % 2 = 0 then o_orderpriority end p2, case when o_orderkey % 11 = 0 then o_orderstatus end z2 from orders)", ["k2", "c2", "s2", "p2", "z2"]),
 }
-WIDE: Tables = {"residues": ("(select " + ", ".join(f"event_id % {2 + j} m{j:03d}" for j in range(64)) + " from events)", [f"m{j:03d}" for j in range(64)])}
 HIGH: Tables = {
-    "dep": (f"(select {', '.join(HIGH_ARITY)} from lineitem where l_orderkey % 10 = 3)", list(HIGH_ARITY)),
+    "dep": (f"(select {', '.join(HIGH_ARITY)} from lineitem join part on l_partkey = p_partkey where p_brand = '{BRAND}')", list(HIGH_ARITY)),
     "ref": (f"(select {', '.join(f'{c} {n}' for c, n in zip(HIGH_ARITY, 'osedtfh', strict=True))} from lineitem)", list("osedtfh")),
 }
 EXAMPLE: Tables = {
@@ -225,6 +311,10 @@ EXAMPLE: Tables = {
 STREAM: Tables = {"customer": ("customer", ["c_custkey"]), "events": ("events", COLUMNS["events"].split())}
 
 
+def wide_tables(width: int) -> Tables:
+    return {"residues": ("(select " + ", ".join(f"event_id % {2 + j} m{j:03d}" for j in range(width)) + " from events)", [f"m{j:03d}" for j in range(width)])}
+
+
 def type_where() -> str:
     """Pairs of one type class, as a condition on names d and r."""
     classes = {c: "fractional" for c in TYPES["double"].split()} | {c: "timestamp" for c in TYPES["timestamp"].split()} | {c: "string" for c in TEXT.split()}
@@ -235,7 +325,7 @@ def type_where() -> str:
 def oracle_sql() -> dict[str, str]:
     core, every, prose = tables(CORE), tables(CORE + EXTRA), tables(PROSE)
     unary_core, dedupe = unary_sql(core), dedupe_sql(core)
-    count = f"""with cells as ({cells_sql(core)}), names as ({names_sql(core)}) select t table_name, c column_name, count(distinct v) n_keys from cells join names using (attr) group by t, c"""
+    count = filled_sql(500, 21)
     orders = COLUMNS["orders"].split()
     return {
         "exact_unary_core": unary_core,
@@ -243,13 +333,21 @@ def oracle_sql() -> dict[str, str]:
         "exact_unary_typed": unary_sql(core, type_where()),
         "exact_unary_maxpruned": unary_core,
         "exact_unary_merge_engine": unary_core,
-        **{f"dedupe_{k}": dedupe for k in ("column_scan", "set", "sort", "view", "pair", "chunked")},
+        **{f"dedupe_{k}": dedupe for k in ("column_scan", "set", "sort", "view", "pair", "chunked", "set_single", "auto")},
+        **{f"exact_unary_merge_{k}": unary_core for k in ("baseline", "set_single", "auto")},
         "inverted_index_sets": sets_sql(core),
         "inverted_unary": unary_core,
         "pairwise_unary": unary_core,
         "pairwise_joined_unary": unary_core,
         "attr_stats": stats_sql(every),
-        "dataset_profile": profile_sql({"core": core, "all": every, "prose": prose, "sparse": SPARSE, "wide": WIDE, "high_arity": HIGH}),
+        "dataset_profile": profile_sql({"core": (core, 3), "all": (every, 3), "prose": (prose, 3), "sparse": (SPARSE, 3), "wide": (wide_tables(64), 1), "high_arity": (HIGH, 7)}),
+        "level_counts": level_counts_sql({"core": (core, 3), "sparse": (SPARSE, 4), "high_arity": (HIGH, 7)}),
+        "explosion_guard": guard_sql(32),
+        "index_lookups": lookups_sql(core),
+        "exact_nary_high_arity": nary_sql(HIGH, 7),
+        "sketch_nary_high_arity": nary_sql(HIGH, 7),
+        "sketch_unary_hll_only": unary_core,
+        "sketch_estimates": estimates_sql(12),
         "exact_nary_core": binary_sql(core),
         "exact_nary_sparse": binary_sql(SPARSE),
         "lattice_candidates_2": candidates2_sql(core),
@@ -262,9 +360,11 @@ def oracle_sql() -> dict[str, str]:
         "sketch_index_keys_md5": f"with {sample_sql('orders', 50)} " + " union ".join(f"select h{k} h from sample" for k in range(len(orders))),
         "combined_hash_md5": f"select {fold60([md5_hash(c) for c in ('l_orderkey', 'l_linenumber', 'l_shipdate')])} h, count(*) n from lineitem group by 1",
         **{f"fill_{k}": count for k in ("row", "htab", "batch", "vector", "sql")},
-        "fill_sets": sets_sql(core),
-        "fill_bits": sets_sql(core),
-        "wide_unary": unary_sql(WIDE),
+        "fill_sets": filled_sets_sql(500),
+        "fill_bits": filled_sets_sql(500),
+        "wide_unary": unary_sql(wide_tables(64)),
+        # by the closed form, since the tables have more rows than columns here: masks of 259 columns take minutes
+        "wide_unary_259": "select 'residues' dep_table, format('m{:03d}', d.i) dep_cols, 'residues' ref_table, format('m{:03d}', r.i) ref_cols, 1 arity from range(259) d(i), range(259) r(i) where d.i < r.i",
         "prose_unary": unary_sql(prose),
         "worked_example": unary_sql(EXAMPLE),
         "partial_inds": partial_sql(core, 0.1),

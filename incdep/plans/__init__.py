@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import time
 import uuid
@@ -12,14 +13,27 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_root(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``, which all executors share; a local folder where it is unset."""
+    """``spark.checkpoint.dir``, which all executors share; only a session on one machine may leave it unset."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not root and not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     return root or "file://" + os.path.join(tempfile.gettempdir(), "incdep-shared")
 
 
+def new_folder(spark: SparkSession, tag: str) -> str:
+    """A fresh folder name below the shared root; nothing is created yet."""
+    return f"{shared_root(spark).rstrip('/')}/{tag}-{uuid.uuid4().hex[:12]}"
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a folder of the shared root."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(where, True)
+
+
 def written(df: DataFrame, tag: str) -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it back: later plans start there, and survive lost executors."""
-    out = f"{shared_root(df.sparkSession).rstrip('/')}/{tag}-{uuid.uuid4().hex[:12]}"
+    out = new_folder(df.sparkSession, tag)
     df.write.parquet(out)
     return df.sparkSession.read.schema(df.schema).parquet(out)
 

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from . import workloads as W
 from .catalog import Catalog
 from .discover import discover, flatten, profile, result, unary_pairs
-from .functions import fingerprint, fold, token
+from .functions import fingerprint, fold, has_bit, token
 from .operators import attr_values, dedupe, derived, exact, lattice, sketch
 from .plans import written
 from .sources.writers import totals
@@ -22,7 +22,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 def found(spark: SparkSession, sf_dir: str, data: str = "core", **options) -> DataFrame:
     """Flat dependencies of a data set."""
-    return flatten(discover(W.DATASETS[data](spark, sf_dir), **options))
+    return flatten(discover((W.DATASETS | {"wide_all": W.wide_all})[data](spark, sf_dir), **options))
 
 
 def names(df: DataFrame, catalog: Catalog, attr: str = "attr") -> DataFrame:
@@ -54,7 +54,7 @@ def attr_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def dataset_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return profile({n: f(spark, sf_dir) for n, f in W.DATASETS.items()})
+    return profile({n: f(spark, sf_dir) for n, f in W.DATASETS.items()}, {"wide": 1})
 
 
 def lattice_candidates_2(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -95,32 +95,35 @@ def combined_hash_md5(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def sketch_estimates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Distinct values of each core column by registers of 2^12, without an index."""
+    """Distinct values of each core column by registers of 2^12, without an index; to three places."""
     catalog = W.core(spark, sf_dir)
-    filled = sketch.fill(sketch.hash_tables(catalog), [(a.id,) for a in catalog.attributes], None, catalog, 12)
-    return names(sketch.estimate(sketch.registers(filled), 12), catalog, "combo")
+    filled = sketch.fill(sketch.hash_tables(catalog, "md5"), [(a.id,) for a in catalog.attributes], None, catalog, 12, width=60)
+    return names(sketch.estimate(sketch.registers(filled), 12), catalog, "combo").withColumn("estimate", F.round("estimate", 3))
 
 
-def _filled(spark: SparkSession, sf_dir: str, engine: str) -> tuple[Catalog, DataFrame]:
+def _prepared(spark: SparkSession, sf_dir: str) -> tuple[Catalog, list[tuple[int, ...]], dict[str, DataFrame], DataFrame]:
+    """The core tables hashed by md5, and the index keys of samples of 500."""
     catalog = W.core(spark, sf_dir)
     combos = [(a.id,) for a in catalog.attributes]
-    hashed = sketch.hash_tables(catalog, keep=True)
-    keys = written(sketch.index_keys(hashed, combos, catalog), "keys")  # all rows: every value is a key
-    return catalog, sketch.fill(hashed, combos, keys, catalog, 12, engine)
+    hashed = sketch.hash_tables(catalog, "md5", keep=True)
+    samples = {k: written(sketch.sample_rows(v, 500, 60), "sample") for k, v in hashed.items()}
+    return catalog, combos, hashed, written(sketch.index_keys(samples, combos, catalog, 60), "keys")
 
 
 def filled_counts(spark: SparkSession, sf_dir: str, engine: str) -> DataFrame:
-    catalog, filled = _filled(spark, sf_dir, engine)
-    return names(filled.filter("hit").groupBy("combo").agg(F.count(F.lit(1)).alias("n_keys")), catalog, "combo")
+    """(table_name, column_name, n_keys, n_registers, rho_sum): index entries and registers of each column after the fill, at the default parameters."""
+    catalog, combos, hashed, keys = _prepared(spark, sf_dir)
+    filled = sketch.fill(hashed, combos, keys, catalog, sketch.lgk_for(0.001), engine, 60)
+    got = filled.groupBy("combo").agg(F.count_if("hit").alias("n_keys"), F.count_if(~F.col("hit")).alias("n_registers"), F.sum("rho").alias("rho_sum"))
+    return names(got, catalog, "combo")
 
 
 def filled_members(spark: SparkSession, sf_dir: str, members: str) -> DataFrame:
-    catalog, filled = _filled(spark, sf_dir, "sql")
-    n = len(catalog.attributes)
-    index = sketch.index_members(filled, n, members)
+    """(members, n_values): the filled index by its distinct sets of columns."""
+    catalog, combos, hashed, keys = _prepared(spark, sf_dir)
+    n = len(combos)
+    index = sketch.fill_index(hashed, combos, keys, catalog, members, 60)
     if members == "bits":
-        from .functions import has_bit
-
         words = [c for c in index.columns if c != "h"]
         index = index.select(F.filter(F.sequence(F.lit(0), F.lit(n - 1)), lambda x: has_bit(words, x)).alias("members"))
     return index.groupBy(F.concat_ws(",", "members").alias("members")).agg(F.count(F.lit(1)).alias("n_values"))
@@ -178,7 +181,7 @@ def events_incremental_inds(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events arrive in four batches, the last ones first; the state answers as the whole table would."""
     events = spark.read.parquet(f"{sf_dir}/events.parquet")
     catalog = Catalog({"customer": spark.read.parquet(f"{sf_dir}/customer.parquet").select("c_custkey"), "events": events})
-    state = IncrementalInds(catalog, static=("customer",))
+    state = IncrementalInds(catalog, ("customer",))
     for k in (3, 1, 0, 2):
         state.add("events", events.filter(F.pmod(F.xxhash64("event_id"), F.lit(4)) == k), k)
     return flat_pairs(state.inds(), catalog)
@@ -199,10 +202,14 @@ def queries() -> dict[str, Query]:
         "sketch_unary_default": {"method": "sketch"},
         "sketch_unary_verified": {"method": "sketch", "lgk": 8, "verify": True},
         "sketch_unary_sets": {"method": "sketch", "members": "set"},
-        "sketch_unary_hll_only": {"method": "sketch", "sample_n": 0, "lgk": 16},
+        "sketch_unary_hll_only": {"method": "sketch", "sample_n": 0},
         "sketch_unary_index_only": {"method": "sketch", "sample_n": None, "lgk": 4},
-        "sketch_nary_high_arity": {"data": "high_arity", "method": "sketch", "max_arity": None, "lgk": 16},
+        "sketch_nary_high_arity": {"data": "high_arity", "method": "sketch", "max_arity": None},
         "wide_unary": {"data": "wide"},
+        "wide_unary_259": {"data": "wide_all"},
+        "exact_unary_merge_baseline": {"method": "merge", "kind": "column_scan"},
+        "exact_unary_merge_set_single": {"method": "merge", "kind": "set_single"},
+        "exact_unary_merge_auto": {"method": "merge", "kind": "auto"},
         "prose_unary": {"data": "prose"},
     }
     plain = (
@@ -212,8 +219,8 @@ def queries() -> dict[str, Query]:
     )
     return (
         {k: partial(found, **v) for k, v in unary.items()}
-        | {f"dedupe_{k}": partial(deduped, kind=k) for k in dedupe.KINDS[:6]}
+        | {f"dedupe_{k}": partial(deduped, kind=k) for k in dedupe.KINDS}
         | {f"fill_{k}": partial(filled_counts, engine=k) for k in ("row", "htab", "batch", "vector", "sql")}
-        | {"fill_sets": partial(filled_members, members="set"), "fill_bits": partial(filled_members, members="bits"), "sketch_sweep_accuracy": W.accuracy_sweep}
+        | {"fill_sets": partial(filled_members, members="set"), "fill_bits": partial(filled_members, members="bits"), "sketch_sweep_accuracy": W.accuracy_sweep, "level_counts": W.level_counts, "explosion_guard": W.explosion_guard, "index_lookups": W.index_lookups}
         | {f.__name__: f for f in plain}
     )

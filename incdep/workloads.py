@@ -2,15 +2,23 @@
 
 from __future__ import annotations
 
+import contextlib
+import os
+import threading
 import time
 from collections.abc import Callable
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .catalog import CORE, Catalog
+from .discover import levels
+from .operators import attr_values, candidates, dedupe, exact, lattice, sketch
+from .plans import Phases, new_folder, written
 
 HIGH_ARITY = ("l_orderkey", "l_suppkey", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_shipdate")
+BRAND = "Brand#19"
 PROSE = ("documents", "pages", "conversations", "benchmark", "labels")
 DECLARED = (
     ("orders", ("o_custkey",), "customer", ("c_custkey",)),
@@ -44,9 +52,10 @@ def worked_example(spark: SparkSession, sf_dir: str = "") -> Catalog:
 
 
 def high_arity(spark: SparkSession, sf_dir: str) -> Catalog:
-    """A slice of seven line item columns, and all rows of them under other names: one dependency of arity seven with all its projections."""
-    items = spark.read.parquet(f"{sf_dir}/lineitem.parquet")
-    return Catalog({"dep": items.filter("l_orderkey % 10 = 3").select(*HIGH_ARITY), "ref": items.select(*(F.col(c).alias(n) for c, n in zip(HIGH_ARITY, "osedtfh", strict=True)))})
+    """Seven columns of the line items of one brand's parts, and of all line items under other names: one dependency of arity seven with all its projections."""
+    items, part = spark.read.parquet(f"{sf_dir}/lineitem.parquet"), spark.read.parquet(f"{sf_dir}/part.parquet")
+    dep = items.join(part, F.col("l_partkey") == F.col("p_partkey")).filter(F.col("p_brand") == BRAND)
+    return Catalog({"dep": dep.select(*HIGH_ARITY), "ref": items.select(*(F.col(c).alias(n) for c, n in zip(HIGH_ARITY, "osedtfh", strict=True)))})
 
 
 def sparse(spark: SparkSession, sf_dir: str) -> Catalog:
@@ -72,80 +81,187 @@ def prose(spark: SparkSession, sf_dir: str) -> Catalog:
 DATASETS: dict[str, Callable[[SparkSession, str], Catalog]] = {"core": core, "all": everything, "high_arity": high_arity, "sparse": sparse, "wide": wide, "prose": prose}
 
 
-def timed(run: Callable[[], DataFrame], repeat: int = 1) -> dict[str, float]:
-    """Mean and least seconds of ``repeat`` runs, with Spark's own caches cleared before each."""
-    took = []
+def wide_all(spark: SparkSession, sf_dir: str) -> Catalog:
+    """As many columns as the widest data set of the comparison has."""
+    return wide(spark, sf_dir, 259)
+
+
+def level_counts(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("core", "sparse", "high_arity")) -> DataFrame:
+    """(dataset, arity, candidates, valid): how many candidates each lattice level has and how many of them hold."""
+    rows = [(n, c["arity"], c["candidates"], c["valid"]) for n in names for c in levels(DATASETS[n](spark, sf_dir))[0]]
+    return spark.createDataFrame(rows, "dataset string, arity int, candidates long, valid long")
+
+
+def explosion_guard(spark: SparkSession, sf_dir: str, width: int = 32, max_candidates: int = 50_000) -> DataFrame:
+    """(arity, candidates, valid): the levels of ``wide``, whose candidates grow with the fourth power of its columns, up to the level that is refused."""
+    counts, _ = levels(wide(spark, sf_dir, width), None, max_candidates)
+    return spark.createDataFrame([(c["arity"], c["candidates"], c.get("valid")) for c in counts], "arity int, candidates long, valid long")
+
+
+def index_lookups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(table_name, combos, row_count, lookups) of the unary level of the core tables."""
+    catalog = core(spark, sf_dir)
+    return sketch.lookups(sketch.hash_tables(catalog), [(a.id,) for a in catalog.attributes], catalog)
+
+
+class PeakMemory:
+    """Largest resident MB of the JVM and of all Python workers below it while a block runs, sampled; for a session on one machine."""
+
+    def __init__(self, spark: SparkSession, every: float = 0.05):
+        self.top, self.every = int(spark._jvm.java.lang.ProcessHandle.current().pid()), every
+        self.jvm_mb = self.python_mb = 0.0
+
+    def _sample(self) -> None:
+        parents, rss = {}, {}
+        for p in filter(str.isdigit, os.listdir("/proc")):
+            with contextlib.suppress(OSError, IndexError):
+                with open(f"/proc/{p}/stat") as f:
+                    fields = f.read().rpartition(")")[2].split()
+                parents[int(p)], rss[int(p)] = int(fields[1]), int(fields[21]) * os.sysconf("SC_PAGE_SIZE") / 1e6
+        below, more = set(), {self.top}
+        while more := {p for p, up in parents.items() if up in more} - below:
+            below |= more
+        self.jvm_mb = max(self.jvm_mb, rss.get(self.top, 0.0))
+        self.python_mb = max(self.python_mb, sum(rss[p] for p in below))
+
+    def __enter__(self) -> PeakMemory:
+        self._stop = threading.Event()
+
+        def run() -> None:
+            while not self._stop.wait(self.every):
+                self._sample()
+
+        self._thread = threading.Thread(target=run, daemon=True)
+        self._thread.start()
+        return self
+
+    def __exit__(self, *_: object) -> None:
+        self._stop.set()
+        self._thread.join()
+        self._sample()
+
+
+def measured(run: Callable[[], DataFrame], repeat: int = 5) -> dict[str, float]:
+    """Mean and least seconds of ``repeat`` runs with Spark's own caches cleared before each (the system's file cache stays), and peak memory."""
+    took, jvm, python = [], 0.0, 0.0
     for _ in range(repeat):
         df = run()
         df.sparkSession.catalog.clearCache()
-        began = time.perf_counter()
-        run().write.format("noop").mode("overwrite").save()
-        took.append(time.perf_counter() - began)
-    return {"mean_s": sum(took) / len(took), "min_s": min(took)}
-
+        df.sparkSession.sparkContext._jvm.System.gc()
+        with PeakMemory(df.sparkSession) as peak:
+            began = time.perf_counter()
+            run().write.format("noop").mode("overwrite").save()
+            took.append(time.perf_counter() - began)
+        jvm, python = max(jvm, peak.jvm_mb), max(python, peak.python_mb)
+    return {"mean_s": round(sum(took) / len(took), 3), "min_s": round(min(took), 3), "jvm_mb": round(jvm), "python_mb": round(python)}
+
+
+def speedups(rows: list[dict], variant: str, baseline: str, seconds: str = "mean_s") -> list[dict]:
+    """Each row's speedup over its data set's ``baseline``; then, for each variant, the mean of the ratios and the ratio of the means."""
+    base = {r["dataset"]: r[seconds] for r in rows if r[variant] == baseline}
+    out = [r | {f"{seconds[:-2]}_speedup": round(base[r["dataset"]] / r[seconds], 2)} for r in rows]
+    for v in dict.fromkeys(r[variant] for r in rows):
+        mine = [r for r in out if r[variant] == v]
+        total = sum(base[r["dataset"]] for r in mine)
+        out.append({"dataset": "*", variant: v, "of": seconds, "mean_of_ratios": round(sum(base[r["dataset"]] / r[seconds] for r in mine) / len(mine), 2), "ratio_of_means": round(total / sum(r[seconds] for r in mine), 2)})
+    return out
 
-def sketch_variants(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("core", "high_arity", "wide"), engines: tuple[str, ...] = ("row", "htab", "batch", "vector", "sql"), repeat: int = 1) -> list[dict]:
-    """Filling time of each engine, and its answer's size, on the unary level; preprocessing is timed apart."""
-    from .operators import sketch
 
+def sketch_variants(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(DATASETS), engines: tuple[str, ...] = ("row", "htab", "batch", "vector", "sql"), repeat: int = 5, sample_n: int = 500, hll_error: float = 0.001) -> list[dict]:
+    """Phases of the sketch method's unary level by filling engine: preprocessing, filling, checking, their sum, and speedups over the row engine."""
     out = []
     for name in names:
         catalog = DATASETS[name](spark, sf_dir)
         combos = [(a.id,) for a in catalog.attributes]
-        began = time.perf_counter()
-        hashed = sketch.hash_tables(catalog, keep=True)
-        keys = sketch.index_keys({k: sketch.sample_rows(v) for k, v in hashed.items()}, combos, catalog).persist()
-        n = keys.count()
-        prepared = time.perf_counter() - began
+        first = lattice.with_combo_ids(lattice.as_level(candidates.unary(catalog), catalog), combos)
+        phases = Phases()
+        with phases("preprocess"):
+            hashed = sketch.hash_tables(catalog, keep=True)
+            keys = written(sketch.index_keys({k: sketch.sample_rows(v, sample_n) for k, v in hashed.items()}, combos, catalog), "keys")
+        lgk = sketch.lgk_for(hll_error)
+        filled = written(sketch.fill(hashed, combos, keys, catalog, lgk), "filled")
+        with phases("check"):
+            accepted = sketch.check(first, filled, len(combos)).count()
         for engine in engines:
-            for members in ("set", "bits") if engine == "sql" else ("bits",):
-                t = timed(lambda e=engine, m=members: sketch.index_members(sketch.fill(hashed, combos, keys, catalog, 14, e), len(combos), m), repeat)
-                out.append({"dataset": name, "engine": engine, "members": members, "preprocess_s": prepared, "keys": n, **t})
-        keys.unpersist()
-    return out
+            fill = measured(lambda e=engine: sketch.fill(hashed, combos, keys, catalog, lgk, e), repeat)
+            rest = phases.seconds["preprocess"] + phases.seconds["check"]
+            out.append({"dataset": name, "engine": engine, "keys": keys.count(), "accepted": accepted, "preprocess_s": round(phases.seconds["preprocess"], 3), "check_s": round(phases.seconds["check"], 3), "fill_s": fill["mean_s"], "overall_s": round(fill["mean_s"] + rest, 3), "jvm_mb": fill["jvm_mb"], "python_mb": fill["python_mb"]})
+    return speedups(speedups(out, "engine", "row", "fill_s")[: len(out)], "engine", "row", "overall_s") + speedups(out, "engine", "row", "fill_s")[len(out) :]
 
 
-def merge_variants(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("core", "prose"), repeat: int = 1) -> list[dict]:
-    """Preprocessing time of each variant, and of validation alone on its result."""
-    from .operators import dedupe, exact
-    from .plans import written
+def as_csv(spark: SparkSession, catalog: Catalog) -> Catalog:
+    """The same tables as row-wise text files, all columns text: what the published comparison reads."""
+    folder = new_folder(spark, "csv")
+    for name, df in catalog.tables.items():
+        df.select(*(F.col(f"`{a.column}`").cast("string") for a in catalog.of(name))).write.option("header", "true").option("escape", '"').csv(f"{folder}/{name}")
+    return Catalog({n: spark.read.option("header", "true").option("escape", '"').option("multiLine", "true").csv(f"{folder}/{n}") for n in catalog.tables})
 
+
+def merge_variants(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(DATASETS), repeat: int = 5, kinds: tuple[str, ...] = ("column_scan", "set", "set_single", "sort", "view", "pair", "chunked"), csv: bool = False) -> list[dict]:
+    """Preprocessing time and peak memory of each variant, validation alone on its result, and speedups over the baseline of column scans; ``csv`` reads row-wise files."""
     out = []
     for name in names:
         catalog = DATASETS[name](spark, sf_dir)
-        for kind in dedupe.KINDS[:6]:
-            t = timed(lambda k=kind: dedupe.distinct_values(catalog, k), repeat)
+        catalog = as_csv(spark, catalog) if csv else catalog
+        for kind in kinds:
+            pre = measured(lambda k=kind: dedupe.distinct_values(catalog, k), repeat)
             values = written(dedupe.distinct_values(catalog, kind), "dedupe")
-            v = timed(lambda: exact.merge_inds(values, len(catalog.attributes)), repeat)
-            out.append({"dataset": name, "kind": kind, "preprocess_s": t["mean_s"], "validate_s": v["mean_s"]})
-    return out
+            check = measured(lambda v=values: exact.merge_inds(v, len(catalog.attributes)), 1)
+            out.append({"dataset": name, "kind": kind, "source": "csv" if csv else "parquet", **pre, "validate_s": check["mean_s"], "overall_s": round(pre["mean_s"] + check["mean_s"], 3)})
+    return speedups(speedups(out, "kind", "column_scan")[: len(out)], "kind", "column_scan", "overall_s") + speedups(out, "kind", "column_scan")[len(out) :]
 
 
-def memory_caps(spark: SparkSession, sf_dir: str, caps: tuple[int, ...] = (1 << 20, 2 << 20, 8 << 20, 32 << 20, 1 << 30), repeat: int = 1) -> list[dict]:
-    """Preprocessing time by memory cap: smaller parts, more of them to merge."""
-    from .operators import dedupe
-
+def memory_caps(spark: SparkSession, sf_dir: str, caps: tuple[int, ...] = (1 << 20, 2 << 20, 8 << 20, 32 << 20, 1 << 30), repeat: int = 5) -> list[dict]:
+    """Preprocessing time and peak memory by memory cap: smaller parts, more of them to merge. Owned strings are sorted by Spark, whose memory the session sets."""
     catalog = core(spark, sf_dir)
-    return [{"cap": cap, "kind": kind, **timed(lambda c=cap, k=kind: dedupe.distinct_values(catalog, k, c), repeat)} for cap in caps for kind in ("view", "pair")]
+    return [{"cap": cap, "kind": kind, **measured(lambda c=cap, k=kind: dedupe.distinct_values(catalog, k, c), repeat)} for cap in caps for kind in ("set_single", "view", "pair")]
+
+
+def contention(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("core", "wide"), repeat: int = 5) -> list[dict]:
+    """Filling the index with sets against bit vectors, where values repeat little (core) and much (wide)."""
+    out = []
+    for name in names:
+        catalog = DATASETS[name](spark, sf_dir)
+        combos = [(a.id,) for a in catalog.attributes]
+        hashed = sketch.hash_tables(catalog, keep=True)
+        keys = written(sketch.index_keys({k: sketch.sample_rows(v) for k, v in hashed.items()}, combos, catalog), "keys")
+        out += [{"dataset": name, "members": m, **measured(lambda m=m: sketch.fill_index(hashed, combos, keys, catalog, m), repeat)} for m in ("set", "bits")]
+    return speedups(out, "members", "set")
+
+
+def partitions_by_columns(spark: SparkSession, sf_dir: str, partitions: tuple[int, ...] = (1, 2, 4, 8), widths: tuple[int, ...] = (8, 32, 64), repeat: int = 3) -> list[dict]:
+    """Exact unary discovery by the number of partitions, for tables of more and more columns."""
+    key, out = "spark.sql.shuffle.partitions", []
+    before = spark.conf.get(key)
+    try:
+        for width in widths:
+            table = wide(spark, sf_dir, width).tables["residues"]
+            for n in partitions:
+                spark.conf.set(key, str(n))
+                catalog = Catalog({"residues": table.repartition(n)})
+                out.append({"columns": width, "partitions": n, **measured(lambda c=catalog: exact.bitset(attr_values.unpivot_all(c), len(c.attributes)), repeat)})
+    finally:
+        spark.conf.set(key, before)
+    return out
+
 
+EXPERIMENTS: dict[str, Callable[..., list[dict]]] = {
+    "sketch_variants": sketch_variants, "merge_variants": merge_variants, "merge_variants_csv": partial(merge_variants, csv=True), "memory_caps": memory_caps, "contention": contention, "partitions_by_columns": partitions_by_columns,
+}
 
-def accuracy_sweep(spark: SparkSession, sf_dir: str, samples: tuple[int | None, ...] = (0, 100, 500), lgks: tuple[int, ...] = (4, 8, 12, 16)) -> DataFrame:
-    """(sample_n, lgk, accepted, false_inds, missed): the sketch method's unary answer on the core tables against the exact one."""
-    from .operators import attr_values, exact, sketch
-    from .operators.lattice import as_level, with_combo_ids
-    from .operators.candidates import unary
-    from .plans import written
 
+def accuracy_sweep(spark: SparkSession, sf_dir: str, samples: tuple[int | None, ...] = (0, 100, 500, None), lgks: tuple[int, ...] = (4, 8, 12, 16, 20)) -> DataFrame:
+    """(sample_n, lgk, accepted, false_inds, missed): the sketch method's unary answer on the core tables against the exact one; NULL is a sample of all rows."""
     catalog = core(spark, sf_dir)
     n = len(catalog.attributes)
     combos = [(a.id,) for a in catalog.attributes]
     true = written(exact.bitset(attr_values.unpivot_all(catalog), n), "exact")
     total = true.count()
     hashed = sketch.hash_tables(catalog, keep=True)
-    first = with_combo_ids(as_level(unary(catalog), catalog), combos)
+    first = lattice.with_combo_ids(lattice.as_level(candidates.unary(catalog), catalog), combos)
     rows = []
     for s in samples:
-        keys = written(sketch.index_keys({k: sketch.sample_rows(v, s) for k, v in hashed.items()}, combos, catalog), "keys") if s else None
+        keys = None if s == 0 else written(sketch.index_keys({k: v if s is None else sketch.sample_rows(v, s) for k, v in hashed.items()}, combos, catalog), "keys")
         for lgk in lgks:
             got = sketch.check(first, written(sketch.fill(hashed, combos, keys, catalog, lgk), "filled"), n).select(F.col("d").alias("dep"), F.col("r").alias("ref"))
             both = got.join(true.withColumn("real", F.lit(1)), ["dep", "ref"], "left").agg(F.count(F.lit(1)).alias("n"), F.count("real").alias("t")).first()

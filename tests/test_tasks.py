@@ -15,7 +15,8 @@ from incdep.streaming.incremental import IncrementalInds, windowed_distinct
 FAST = [
     "attr_stats", "combined_hash_md5", "dataset_profile", "events_incremental_inds", "exact_nary_sparse", "exact_unary_all", "exact_unary_typed", "fill_sets",
     "fk_candidates", "ind_classes", "ind_reduced", "ind_totals", "join_suggestion", "lattice_candidates_2", "partial_inds", "prose_unary", "sketch_index_keys_md5",
-    "sketch_registers_md5", "sketch_sample_md5", "sketch_unary_default", "validate_declared", "violations", "wide_unary", "worked_example",
+    "sketch_registers_md5", "sketch_sample_md5", "sketch_unary_default", "sketch_unary_hll_only", "sketch_estimates", "sketch_nary_high_arity", "fill_vector", "fill_bits", "fill_row", "level_counts",
+    "explosion_guard", "index_lookups", "exact_unary_merge_baseline", "exact_unary_merge_set_single", "validate_declared", "violations", "wide_unary", "worked_example",
 ]
 
 
@@ -61,8 +62,40 @@ def test_stream_of_files(spark, small, tmp_path):
     state.follow("events", stream).awaitTermination()
     want = {tuple(r) for r in unary_pairs(catalog).collect()}
     assert {tuple(r) for r in state.inds().collect()} == want
-    state.add("events", events.limit(5), 0)  # a batch that came before changes nothing
+    state.add("events", events.limit(5), 10)  # values that came before change nothing
     assert {tuple(r) for r in state.inds().collect()} == want
+    again = IncrementalInds(catalog, root=state.root)  # a restarted program has all of it
+    assert {tuple(r) for r in again.inds().collect()} == want
+    again.compact("events")
+    assert {tuple(r) for r in again.inds().collect()} == want and len(again._sources()) == 2
+
+
+def test_stream_goes_on_after_a_restart(spark, small, tmp_path):
+    events = spark.read.parquet(f"{small}/events.parquet")
+    catalog = Catalog({"customer": spark.read.parquet(f"{small}/customer.parquet").select("c_custkey"), "events": events})
+    for part in range(2):
+        events.filter(f"event_id % 2 = {part}").write.mode("append").parquet(str(tmp_path / "events"))
+        state = IncrementalInds(catalog, ("customer",) if part == 0 else (), f"file://{tmp_path}/root")
+        state.follow("events", spark.readStream.schema(events.schema).parquet(str(tmp_path / "events"))).awaitTermination()
+    assert {tuple(r) for r in state.inds().collect()} == {tuple(r) for r in unary_pairs(catalog).collect()}
+
+
+def test_measures(spark, small):
+    with W.PeakMemory(spark) as peak:
+        spark.range(100_000).mapInArrow(lambda it: it, "id long").count()
+    assert peak.jvm_mb > 100 and peak.python_mb > 10
+    rows = W.merge_variants(spark, small, ("prose",), 1, ("column_scan", "pair"), csv=True)
+    assert {r["kind"] for r in rows} == {"column_scan", "pair"} and rows[0]["mean_speedup"] == 1.0 and "mean_of_ratios" in rows[-1]
+    got = {(r["members"], r["dataset"]) for r in W.contention(spark, small, ("wide",), 1)}
+    assert got == {("set", "wide"), ("bits", "wide"), ("set", "*"), ("bits", "*")}
+    rows = W.sketch_variants(spark, small, ("sparse",), ("row", "vector"), 1)
+    assert all(r["accepted"] == 14 for r in rows if "accepted" in r) and "fill_speedup" in rows[0] and "overall_speedup" in rows[0]
+
+
+def test_speedups():
+    rows = [{"dataset": d, "kind": k, "mean_s": s} for d, k, s in (("a", "x", 4.0), ("a", "y", 2.0), ("b", "x", 3.0), ("b", "y", 3.0))]
+    got = W.speedups(rows, "kind", "x")
+    assert [r["mean_speedup"] for r in got[:4]] == [1, 2, 1, 1] and got[-1] == {"dataset": "*", "kind": "y", "of": "mean_s", "mean_of_ratios": 1.5, "ratio_of_means": 1.4}
 
 
 def test_windowed_distinct(spark, small, tmp_path):
