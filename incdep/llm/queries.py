@@ -105,7 +105,7 @@ g as (
   from c),
 n as materialized (
   select source, cum, size, gap, row_number() over (partition by source order by k, doc_id, size, cum) pos
-  from g where can and not taken_first and size > 0 qualify pos <= 64),
+  from g where can and not taken_first and size > 0),
 fill(source, pos, cum, size, gap, fits) as (
   select source, 0::bigint, null::hugeint, null::bigint, gap::double, false from n where pos = 1
   union all
