@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
-from ..functions import bucket, fingerprint_sql, fold, folded, has_bit, quoted, rho, token_sql, word_masks
+from ..functions import bucket, fingerprint_sql, folded, has_bit, quoted, rho, token_sql, word_masks
 from ..plans import written
 from .attr_values import plain_attributes
 from .candidates import unary
@@ -90,7 +90,8 @@ def sample_rows(hashed: DataFrame, n: int = 500, width: int = 64) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(kept[:, c], mask=none[:, c]) for c in range(len(cols))], names=cols)
 
     local = hashed.mapInArrow(bottom, ", ".join(f"{c} long" for c in cols))
-    row = F.struct(fold([F.coalesce(F.col(c), F.lit(0).cast("long")) for c in cols], width).alias("order"), *cols)
+    turned = f"(shiftleft(acc & {(1 << (width - 1)) - 1}L, 1) | shiftrightunsigned(acc, {width - 1}))"  # few rows: a loop over their values, not an expression that doubles with each
+    row = F.struct(F.expr(f"aggregate(array({', '.join(f'coalesce({c}, 0L)' for c in cols)}), 0L, (acc, x) -> {turned} ^ x)").alias("order"), *cols)
     cells = local.select(row.alias("row"), F.explode(F.array(*(F.struct(F.lit(k).alias("c"), F.col(c).alias("h")) for k, c in enumerate(cols)))).alias("x")).select("x.c", "x.h", "row").filter("h is not null")
     best = cells.groupBy("c", "h").agg(F.min("row").alias("row")).withColumn("at", F.row_number().over(Window.partitionBy("c").orderBy("h"))).filter(F.col("at") <= n)
     return best.select("row.*").drop("order").distinct()
