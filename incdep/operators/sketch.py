@@ -94,7 +94,7 @@ def sample_rows(hashed: DataFrame, n: int = 500, width: int = 64) -> DataFrame:
     row = F.struct(F.expr(f"aggregate(array({', '.join(f'coalesce({c}, 0L)' for c in cols)}), 0L, (acc, x) -> {turned} ^ x)").alias("order"), *cols)
     cells = local.select(row.alias("row"), F.explode(F.array(*(F.struct(F.lit(k).alias("c"), F.col(c).alias("h")) for k, c in enumerate(cols)))).alias("x")).select("x.c", "x.h", "row").filter("h is not null")
     best = cells.groupBy("c", "h").agg(F.min("row").alias("row")).withColumn("at", F.row_number().over(Window.partitionBy("c").orderBy("h"))).filter(F.col("at") <= n)
-    return best.select("row.*").drop("order").distinct()
+    return best.select("row.*").select(*cols).distinct()
 
 
 def combo_folds(name: str, combos: list[tuple[int, ...]], catalog: Catalog) -> list[tuple[int, list[str]]]:
