@@ -132,6 +132,40 @@ def test_nary(spark, data):
                 assert (dep[:k] + dep[k + 1 :], ref[:k] + ref[k + 1 :]) in rows
 
 
+def test_wide_dependencies_spare_checks(spark, small):
+    catalog = W.high_arity(spark, small)
+    first, check, asked = lattice.written(lattice.as_level(unary_pairs(catalog), catalog), "level"), lattice.exact_check(catalog), []
+
+    def watched(candidates, combos):
+        asked.extend(combos)
+        return check(candidates, combos)
+
+    plain, counts = lattice.climb(first, check, None)
+    got, counts_ahead = lattice.climb(first, watched, None, tables=[a.table for a in catalog.attributes])
+    assert counts_ahead == counts and counts[-1]["arity"] == 7
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, plain.collect()))
+    assert sum(len(c) > 3 for c in asked) <= 4  # the sides of the widest one, and of one that it does not cover; 128 combinations without it
+
+
+def test_wide_guesses_that_fail(spark):
+    rows = [(k, k % 2, k % 3, k % 5, k % 7) for k in range(300)]
+    tables = {"t": (list("abcde"), rows[:200]), "u": (list("vwxyz"), [(a, b, c, d, (e + (a >= 100)) % 7) for a, b, c, d, e in rows])}
+    catalog = build(spark, tables)
+    first, check = lattice.written(lattice.as_level(unary_pairs(catalog), catalog), "level"), lattice.exact_check(catalog)
+    plain, counts = lattice.climb(first, check, None)
+    got, counts_ahead = lattice.climb(first, check, None, tables=[a.table for a in catalog.attributes])
+    assert counts_ahead == counts and sorted(map(tuple, got.collect())) == sorted(map(tuple, plain.collect()))
+
+
+def test_rows_of_the_next_level(spark, data):
+    catalog = W.core(spark, data)
+    level = lattice.written(lattice.as_level(unary_pairs(catalog), catalog), "level")
+    rows = [(t, u, tuple(d), tuple(r)) for t, u, d, r in level.collect()]
+    want = sorted((t, u, tuple(d), tuple(r)) for t, u, d, r in lattice.next_level(level, 1).collect())
+    assert lattice.next_rows(rows, 1) == want and want
+    assert lattice.next_rows([("t", "u", (0,), (k,)) for k in range(200)], 1) is None  # too many pairs for the driver
+
+
 def test_binary_against_brute_force(spark):
     rows = [("1", "2", "3"), ("2", "1", "3"), ("1", "1", "1"), (None, "2", "3")]
     tables = {"t": (["a", "b", "c"], rows), "u": (["x", "y", "z"], [*rows, ("3", "3", "3")])}
