@@ -113,6 +113,15 @@ def test_answers_are_transitive_and_irreflexive(spark, small):
     assert all(c == a or (a, c) in pairs for a, b in pairs for c in after.get(b, ()))
 
 
+def test_set_single_takes_a_task_a_part(spark, small):
+    parts = spark.read.parquet(f"{small}/orders.parquet").select("o_custkey", "o_orderpriority").repartition(7)
+    catalog = Catalog({"orders": parts})
+    assert "Coalesce 1" not in dedupe.as_set_single(catalog)._jdf.queryExecution().toString()
+    want = sorted(map(tuple, dedupe.as_set(catalog).collect()))
+    for limit in (1, 3000, 64 << 20):  # every batch is flushed, some, none
+        assert sorted(map(tuple, dedupe.as_set_single(catalog, limit_bytes=limit).collect())) == want
+
+
 def test_merge_counts_work(spark, small):
     catalog = W.core(spark, small)
     row = exact.merge_counters(dedupe.as_set(catalog), len(catalog.attributes)).first()
