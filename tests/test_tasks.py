@@ -32,8 +32,10 @@ def test_query_matches_its_sql(spark, small, name):
     assert sorted((tuple(r) for r in df.select(*cols).collect()), key=key) == sorted(want, key=key)
 
 
-def test_worked_example(spark):
-    got = {(r["dep_table"], r["ref_table"], *r["dep_cols"], *r["ref_cols"]) for r in discover(W.worked_example(spark)).collect()}
+def test_worked_example(spark, small):
+    catalog = W.worked_example(spark, small)
+    assert all(any(t in name for name in df.inputFiles()) for df, t in ((catalog.tables["people"], "orders"), (catalog.tables["licences"], "customer")))
+    got = {(r["dep_table"], r["ref_table"], *r["dep_cols"], *r["ref_cols"]) for r in discover(catalog).collect()}
     assert got == {("people", "licences", "dln", "dlid"), ("licences", "people", "dlid", "dln")}
 
 
