@@ -34,9 +34,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import bpe
 from .common import components, discard, may_match, release, without, written
 from .embedding_dups import forest
-from .shingles import in_chunks, mix
+from .shingles import forget, in_chunks, mix
 
 BASE, RATE, TOP = 1.001, 20.0, 65534  # b, a and q of the registers, for 16 bits each
 ROWS = 5  # registers in a band
@@ -114,6 +115,7 @@ def sketches(docs: DataFrame, k: int, m: int) -> DataFrame:
     """(doc_id, n, fp, regs): size of the set, a 128-bit fingerprint of it, and its registers."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bpe.forget()
         for batch in batches:
             at = 0
             texts = (t for s in range(0, batch.num_rows, 256) for t in batch.column(1).slice(s, 256).to_pylist())
@@ -122,6 +124,7 @@ def sketches(docs: DataFrame, k: int, m: int) -> DataFrame:
                 regs = registers(sets, m)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(sets)), pa.array([len(s) for s in sets], pa.int64()), pa.array(fps, pa.binary()), pa.array([r.tobytes() for r in regs], pa.binary())], names=["doc_id", "n", "fp", "regs"])
                 at += len(sets)
+        forget()
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n long, fp binary, regs binary")
 
@@ -130,6 +133,7 @@ def full_sets(docs: DataFrame, k: int) -> DataFrame:
     """(doc_id, items): the whole shingle set of each document, in ascending order."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bpe.forget()
         for batch in batches:
             at = 0
             texts = (t for s in range(0, batch.num_rows, 256) for t in batch.column(1).slice(s, 256).to_pylist())
@@ -138,6 +142,7 @@ def full_sets(docs: DataFrame, k: int) -> DataFrame:
                 items = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.sort(x.view("i8")) for x in sets])))
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(sets)), items], names=["doc_id", "items"])
                 at += len(sets)
+        forget()
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, items array<long>")
 

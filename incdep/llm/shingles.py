@@ -13,6 +13,8 @@ from hashlib import blake2b
 
 import numpy as np
 
+from .bpe import give_back
+
 CACHE_BYTES = 48 << 20  # of remembered words in a worker
 _SPACE = re.compile(rb"[\x20\x09-\x0D]")
 
@@ -42,6 +44,13 @@ class _Digests(dict):
 _DIGESTS = _Digests()
 
 
+def forget() -> None:
+    """Forget all words and give their memory back; they are learned again when needed."""
+    _DIGESTS.clear()
+    _DIGESTS.held = 0
+    give_back()
+
+
 def numbers(words: list[bytes]) -> np.ndarray:
     """The number of each word."""
     return np.fromiter(map(_DIGESTS.__getitem__, words), np.uint64, len(words))

@@ -2,8 +2,10 @@
 
 import itertools
 import re
+from unittest import mock
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -220,3 +222,22 @@ def test_threshold_algorithm_with_ties(n, dims, seed):
     got = topk.SortedLists(ids, x).search(int(ids[0]), q, 3, first=1)
     want = sorted((-s, i) for s, i in zip(x @ q, ids, strict=True) if i != ids[0])[:3]
     assert [(-s, i) for i, s in zip(*got, strict=True)] == want
+
+
+def test_tasks_forget_words_and_encoder():
+    from incdep.llm import bpe, near_dups, shingles
+
+    class Docs:  # hands the task's function out
+        def select(self, *_):
+            return self
+
+        def mapInArrow(self, run, schema):
+            return run
+
+    bpe._LOADED["path", 1] = object()
+    texts = pa.RecordBatch.from_arrays([pa.array([1, 2]), pa.array(["one two three four five six", None])], names=["doc_id", "text"])
+    with mock.patch.object(near_dups.F, "col"):
+        tasks = near_dups.sketches(Docs(), 3, 10), near_dups.full_sets(Docs(), 3)
+    for run in tasks:
+        assert sum(b.num_rows for b in run(iter([texts]))) == 2
+        assert not bpe._LOADED and not shingles._DIGESTS and not shingles._DIGESTS.held
