@@ -111,3 +111,34 @@ def test_dominance_of_registers(spark):
     df = spark.createDataFrame([(c, b, p) for (c, b), p in regs.items()], "combo int, bucket int, rho int")
     want = {(d, e) for d, e in itertools.product(range(70), repeat=2) if all(p <= regs.get((e, b), 0) for (c, b), p in regs.items() if c == d)}
     assert {tuple(x) for x in sketch.dominated(df, 70).collect()} == want
+
+
+@pytest.mark.parametrize("nulls", ["equal", "ignore"])
+def test_arrays_of_registers_agree_with_entries(spark, small, nulls):
+    """A level of several columns leaves the tasks as a few arrays a combination, not as entries by row; they hold and reject the same."""
+    import numpy as np
+
+    catalog = W.sparse(spark, small)
+    mine = {t: [a.id for a in catalog.of(t)] for t in catalog.tables}
+    combos = [(i, j) for ids in mine.values() for i in ids for j in ids if i != j] + [tuple(ids[:3]) for ids in mine.values()]
+    hashed = sketch.hash_tables(catalog, nulls=nulls, keep=True)
+    pairs = [(d, r) for d, c in enumerate(combos) for r, e in enumerate(combos) if d != r and len(c) == len(e)]
+    level = spark.createDataFrame(pairs, "d int, r int")
+    for lgk, keys in ((6, None), (14, sketch.index_keys({k: sketch.sample_rows(v, 9) for k, v in hashed.items()}, combos, catalog).persist())):
+        filled = sketch.fill(hashed, combos, keys, catalog, lgk).persist()
+        local = np.sort(np.asarray([r[0] for r in keys.collect()] if keys is not None else [], np.int64))
+        arrays = sketch.fill_arrays(hashed, combos, local, catalog, lgk).persist()
+        assert arrays.count() < 40 * len(combos)
+        hits, regs = set(), {}
+        for r in arrays.collect():
+            if r["part"] == -1:
+                hits |= {(r["combo"], x) for x in np.frombuffer(r["data"], np.int64).tolist()}
+                continue
+            for at, p in enumerate(r["data"]):
+                if p:
+                    key = r["combo"], (r["part"] << min(lgk, sketch.PART_LGK)) + at
+                    regs[key] = max(p, regs.get(key, 0))
+        assert hits == {(r["combo"], r["k"]) for r in filled.filter("hit").collect()}
+        assert regs == {(r["combo"], r["bucket"]): r["rho"] for r in sketch.registers(filled).collect()}
+        kept = {(r["d"], r["r"]) for r in sketch.check(level, filled, len(combos)).collect()}
+        assert 0 < len(kept) < len(pairs) and set(pairs) - kept == {tuple(r) for r in sketch.refuted(arrays, pairs).collect()}
