@@ -1,5 +1,6 @@
 """Exact engines, preprocessing variants and filters against set inclusion."""
 
+import importlib
 import itertools
 
 import pytest
@@ -12,6 +13,7 @@ from incdep import workloads as W
 from incdep.discover import unary_pairs
 from incdep.operators import attr_values, candidates, dedupe, exact, lattice
 
+find = importlib.import_module("incdep.discover")  # the package has a function of that name
 ENGINES = ["bitset", "merge", "inverted", "pairwise"]
 
 
@@ -248,3 +250,32 @@ def test_merge_is_a_stream_of_small_batches(spark, small):
     finally:
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
     assert got == {(j, k) for j in range(70) for k in range(70) if j < k}
+
+
+@pytest.mark.parametrize("nulls", ["equal", "ignore"])
+def test_looked_up_rows_rule_out_only_what_is_false(spark, small, monkeypatch, nulls):
+    catalog = W.sparse(spark, small)
+    first = lattice.written(lattice.as_level(unary_pairs(catalog, nulls=nulls), catalog), "level")
+    level = [(r["dep_table"], r["ref_table"], tuple(r["dep"]), tuple(r["ref"])) for r in lattice.next_level(first, 1).collect()]
+    combos = sorted({c for row in level for c in row[2:]})
+    hashed = attr_values.hashed_columns(catalog, nulls)
+    held = {(combos[r["dep"]], combos[r["ref"]]) for r in exact.bitset(attr_values.unpivot_combos(hashed, catalog, combos), len(combos)).collect()}
+    pairs = [row[2:] for row in level]
+    bad = lattice._refuted(hashed, catalog, pairs)
+    assert bad and bad <= set(pairs) and not bad & held
+    monkeypatch.setattr(lattice, "PROBE_ROWS", 1)  # what a single row leaves open is decided by the masks
+    got = lattice.exact_check(catalog, nulls)(spark.createDataFrame(level, lattice.LEVEL), combos)
+    assert {(tuple(r["dep"]), tuple(r["ref"])) for r in got.collect()} == held & set(pairs)
+
+
+def test_a_data_set_inside_another_takes_its_levels_from_there(spark, small, monkeypatch):
+    whole = W.core(spark, small).select(exclude=r"^(lineitem|part)\.")
+    some = Catalog({t: whole.tables[t] for t in ("nation", "region", "supplier")})
+    want, asked = {"whole": find.levels(whole), "some": find.levels(some)}, []
+    plain = find.levels
+    monkeypatch.setattr(find, "levels", lambda c, *a: asked.append(len(c.tables)) or plain(c, *a))
+    flat = lambda x: ([{k: v for k, v in c.items() if isinstance(v, int)} for c in x[0]], x[1])
+    got = find.levels_of({"some": some, "whole": whole})
+    assert asked == [5] and {n: flat(x) for n, x in got.items()} == {n: flat(x) for n, x in want.items()}
+    got = find.levels_of({"some": some, "whole": whole}, max_candidates=max((c["candidates"] for c in want["some"][0][1:]), default=0))  # only the larger one is stopped
+    assert asked[1:] == [5, 3] and [got[n][1] for n in ("whole", "some")] == [True, False] and flat(got["some"]) == flat(want["some"])
