@@ -279,3 +279,4 @@ def test_a_data_set_inside_another_takes_its_levels_from_there(spark, small, mon
     assert asked == [5] and {n: flat(x) for n, x in got.items()} == {n: flat(x) for n, x in want.items()}
     got = find.levels_of({"some": some, "whole": whole}, max_candidates=max((c["candidates"] for c in want["some"][0][1:]), default=0))  # only the larger one is stopped
     assert asked[1:] == [5, 3] and [got[n][1] for n in ("whole", "some")] == [True, False] and flat(got["some"]) == flat(want["some"])
+    assert find.table_sizes({"some": some, "whole": whole})["some"][0][0] == 25
