@@ -280,3 +280,22 @@ def test_a_data_set_inside_another_takes_its_levels_from_there(spark, small, mon
     got = find.levels_of({"some": some, "whole": whole}, max_candidates=max((c["candidates"] for c in want["some"][0][1:]), default=0))  # only the larger one is stopped
     assert asked[1:] == [5, 3] and [got[n][1] for n in ("whole", "some")] == [True, False] and flat(got["some"]) == flat(want["some"])
     assert find.table_sizes({"some": some, "whole": whole})["some"][0][0] == 25
+
+
+@pytest.mark.parametrize("nulls", ["equal", "ignore"])
+def test_sets_of_stored_numbers_give_the_same_text(spark, nulls):
+    df = spark.sql("""
+        select * from values (1, 1.5D, date'2020-02-29', 'v', true, 1.50BD, timestamp'2020-01-01 00:00:01', float(0.1), array(1, null)), (-7, -0.0D, date'0001-01-01', repeat('é', 65), false, 0.00BD, null, float(1e10), array(3)),
+        (2147483647, double('NaN'), date'9999-12-31', '', null, -2.25BD, timestamp'1969-12-31 23:59:59.5', float('Infinity'), null), (null, null, null, null, null, null, null, null, null),
+        (0, 1e21D, date'1582-10-15', 'n', true, null, null, null, null), (1, 0.0D, null, 'x', true, 1.50BD, null, null, null), (2, double('-Infinity'), null, '1', true, 1.50BD, null, null, null), (3, 4.9E-324D, null, null, true, 1.50BD, null, null, null)
+        as t(i, d, day, s, b, m, ts, f, a)""")
+    catalog = Catalog({"t": df.repartition(2), "none": df.limit(0)}, nested="explode")
+    assert [set(k.values()) >= {"integer", "date", "double", "text"} for _, k in dedupe.raw_tables(catalog)][:2] == [True, True]
+    want = sorted(map(tuple, dedupe.as_set(catalog, nulls).collect()))
+    for limit in (1, 64 << 20):
+        assert sorted(map(tuple, dedupe.as_set_single(catalog, nulls, limit).collect())) == want
+
+
+def test_values_are_merged_once(spark, small):
+    pairs = exact.merge_inds(dedupe.as_set(W.core(spark, small)), 37)
+    assert "MapInArrow" not in pairs._jdf.queryExecution().toString() and pairs.count() > 0
