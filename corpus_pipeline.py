@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from incdep.llm import language, mixing, near_dups, packing
-from incdep.llm.common import with_row_key, written
+from incdep.llm.common import with_numbers, with_row_key, written
 from incdep.llm.queries import tokenizer_path
 
 
@@ -27,12 +27,12 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each row as often as the mix takes it: absent, once, or up to three times; ids may be null or repeated."""
     key = "_row"
-    while key in docs.columns or f"{key}_copies" in docs.columns:
+    while any(c.lower().startswith(key) for c in docs.columns):
         key += "_"
-    keyed = with_row_key(docs, key)
-    plan = mixing.mix(keyed, key=key).filter("copies > 0").select(key, F.col("copies").alias(f"{key}_copies"))
-    many = keyed.join(written(plan, "mix-copies"), key)
-    return many.withColumn(key, F.explode(F.sequence(F.lit(1).cast("long"), F.col(f"{key}_copies")))).select(*docs.columns)
+    keyed, copies = with_row_key(docs, key), f"{key}_copies"
+    plan = mixing.mix(keyed, key=key).filter("copies > 0").select(key, F.col("copies").alias(copies))
+    many = with_numbers(keyed, key, copies, plan)
+    return many.withColumn(key, F.explode(F.array_repeat(F.lit(1), F.col(copies).cast("int")))).select(*docs.columns)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

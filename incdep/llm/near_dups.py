@@ -247,6 +247,8 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
     all_ = written(sketches(docs, k, m), "sketches")
     known = all_.filter("n > 0 and doc_id is not null")
     reps = written(known.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")), "reps")
+    ids = written(all_.select("doc_id", "n", "fp"), "ids")
+    discard(all_)
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -261,10 +263,16 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
     shared = banded.groupBy("band").agg(F.min("rep").alias("hub"), F.count(F.lit(1)).alias("total")).filter("total > 1")
     shared = written(shared, "bands")
     members = written(may_match(banded, "band", shared.select("band")).filter("_may").drop("_may").join(shared, "band"), "members")
+    discard(shared)
     some = written(members.select(F.col("rep").alias("doc_id")).distinct(), "candidates")
+    # registers are needed further for candidates only
+    named = some.withColumnRenamed("doc_id", "rep")
+    sketch = written(may_match(reps.select("rep", "n", "regs"), "rep", named).filter("_may").drop("_may").join(named, "rep", "left_semi"), "registers")
+    sames = written(reps.select("fp", "rep"), "same-sets")
+    discard(reps)
     text = may_match(docs.select(F.col("doc_id").cast("long"), "text"), "doc_id", some).filter("_may").drop("_may").join(some, "doc_id", "left_semi")
     sets = written(full_sets(text, k), "sets")
-    star = written(_likely(members.filter("hub <> rep").select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct(), reps, percent, m), "stars")
+    star = written(_likely(members.filter("hub <> rep").select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct(), sketch, percent, m), "stars")
     links = written(_verified(star, sets, percent), "links")
     label = written(components(links), "labels")
     marked = members.join(label.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("component", "rep")).drop("component")
@@ -273,18 +281,18 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, miss: float
     open_ = written(open_.select("band", F.col("_top.comp").alias("_most"), F.array(F.col("_c") - F.col("_top.c"), "_top.c").alias("many"), F.array(F.col("_s") - F.col("_top.s"), "_top.s").alias("items")), "open-bands")
     rest = marked.join(open_, "band").withColumn("major", F.col("comp") == F.col("_most"))
     rest = written(rest.select("band", "no", "total", "major", "many", "items", "rep", "comp", "n"), "open")
-    sketch = reps.select("rep", "regs")
-    pairs = written(_across(_spread(rest.filter(F.col("total") <= SMALL)).join(sketch, "rep"), percent, m, "pairs").join(star, ["a", "b"], "left_anti"), "across")
-    likely = written(_across(_spread(rest.filter(F.col("total") > SMALL)).join(sketch, "rep"), percent, m, "members"), "across")
-    within = likely.join(sketch, "rep").join(sets.withColumnRenamed("doc_id", "rep"), "rep")
+    regs = sketch.select("rep", "regs")
+    pairs = written(_across(_spread(rest.filter(F.col("total") <= SMALL)).join(regs, "rep"), percent, m, "pairs").join(star, ["a", "b"], "left_anti"), "across")
+    likely = written(_across(_spread(rest.filter(F.col("total") > SMALL)).join(regs, "rep"), percent, m, "members"), "across")
+    within = likely.join(regs, "rep").join(sets.withColumnRenamed("doc_id", "rep"), "rep")
     first, links = links, written(links.unionByName(_verified(pairs, sets, percent)).unionByName(_across(within, percent, m, "forest")), "links")
-    discard(first, label)
+    discard(first, label, sets, sketch)
     label = written(components(links), "labels")
-    of_set = reps.select("fp", "rep").join(label.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component"))
-    lone = all_.filter("n = 0 or doc_id is null").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
-    grouped = known.join(of_set, "fp").select("doc_id", F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
+    of_set = sames.join(label.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component"))
+    lone = ids.filter("n = 0 or doc_id is null").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
+    grouped = ids.filter("n > 0 and doc_id is not null").join(of_set, "fp").select("doc_id", F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
     out = written(grouped.unionByName(lone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id"))), "near-dups")
-    discard(all_, reps, shared, members, some, sets, star, open_, rest, pairs, likely, links, label)
+    discard(ids, sames, members, some, star, open_, rest, pairs, likely, links, label)
     release(docs.sparkSession)
     return out
 

@@ -1,7 +1,9 @@
 """Near-duplicates of texts and of vectors, components and top-k search against brute force."""
 
 import itertools
+import os
 import re
+import time
 from unittest import mock
 
 import numpy as np
@@ -11,7 +13,8 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from incdep.llm import embedding_dups, near_dups, topk
-from incdep.llm.common import components, may_match, without
+from incdep.llm import common
+from incdep.llm.common import components, may_match, shared_root, with_numbers, with_row_key, without, written
 from incdep.llm.shingles import shingle_sets, word_hashes
 
 LOWER = str.maketrans({chr(c): chr(c + 32) for c in range(65, 91)})
@@ -150,6 +153,57 @@ def test_bit_table(spark):
     assert sorted(r["k"] for r in without(df, "k", keys).collect()) == [k for k in range(1000) if k not in (5, 7)]
 
 
+def shuffle_files(spark):
+    """Names of the shuffle data files that the session holds."""
+    files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    names = (files.apply(k).getName() for k in range(files.size()))
+    return {n for n in names if n.startswith("shuffle_") and n.endswith(".data")}
+
+
+def test_a_written_table_leaves_no_shuffle_files(spark):
+    before = shuffle_files(spark)
+    df = spark.range(5000).repartition(4).groupBy("id").count()
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    setting = spark.conf.get(name, None)
+    table = written(df, "counts")  # the table's data frame is kept, as operators keep theirs
+    for _ in range(50):
+        if not (left := shuffle_files(spark) - before):
+            break
+        time.sleep(0.1)
+    assert not left and table.count() == 5000 and df.count() == 5000
+    assert spark.conf.get(name, None) == setting
+
+
+def test_wide_tables_of_near_duplicates_go_early(spark, monkeypatch):
+    """Registers of all documents are gone once candidates are known, and full sets once links are."""
+    seen = {}
+    root = shared_root(spark).removeprefix("file://")
+    old = set(os.listdir(root))
+
+    def watched(df, tag):
+        out = written(df, tag)
+        seen.setdefault(tag, []).append({f.rpartition("-")[0] for f in set(os.listdir(root)) - old})
+        return out
+
+    monkeypatch.setattr(near_dups, "written", watched)
+    rows = near_dups.near_duplicates(docs_with_copies(spark), 3, 85).count()
+    assert rows == docs_with_copies(spark).count()
+    assert not {"sketches", "reps", "bands"} & seen["stars"][0] and "sets" in seen["links"][0]
+    assert not {"sketches", "registers", "sets"} & seen["near-dups"][0]
+
+
+def test_numbers_of_rows_in_several_files(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(common, "CHUNK", 7)
+    spark.range(100).selectExpr("id", "repeat('x', 30) AS text").repartition(3, "id").write.parquet(str(tmp_path / "t"))
+    df = with_row_key(spark.read.parquet(str(tmp_path / "t")), "k")
+    want = {k: (k % 4 if k % 10 else 255) if k > 40 or k % 3 else 0 for k in range(100)}
+    given_ = df.join(spark.createDataFrame([kv for kv in want.items() if kv[1]], "id long, n long"), "id").select("k", "n")
+    assert {r["id"]: r["n"] for r in with_numbers(df, "k", "n", given_).collect()} == want
+    assert {r["n"] for r in with_numbers(df, "k", "n", given_.limit(0)).collect()} == {0}
+    with pytest.raises(Exception, match="from 0 to 255"):
+        with_numbers(df, "k", "n", given_.selectExpr("k", "n + 1 AS n"))
+
+
 def vectors(spark):
     r = np.random.default_rng(2)
     rows = [(k, v.tolist()) for k, v in enumerate(r.normal(size=(60, 12)))]

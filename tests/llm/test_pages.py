@@ -310,3 +310,18 @@ def test_mixture_takes_rows_as_planned(spark, odd_docs):
         assert got.columns == docs.columns
         assert Counter((r["doc_id"], r["source"], sizes(r)) for r in got.collect()) == +plan
         assert docs is odd_docs or any(k[0] is None and k[2] for k in +plan)
+
+
+def test_mixture_shuffles_no_texts(spark, small):
+    """Also where the planned copies are too many to be broadcast, only row numbers are shuffled."""
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        got = corpus_pipeline.mixture(spark, docs, "")
+        plan = got._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange hashpartitioning" not in plan and "SortMergeJoin" not in plan
+        assert plan.count("ArrowEvalPython") == 1
+        assert got.count() > 0 and got.columns == docs.columns
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
