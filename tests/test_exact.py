@@ -2,6 +2,7 @@
 
 import importlib
 import itertools
+import math
 
 import pytest
 from hypothesis import HealthCheck, given, settings
@@ -299,3 +300,34 @@ def test_sets_of_stored_numbers_give_the_same_text(spark, nulls):
 def test_values_are_merged_once(spark, small):
     pairs = exact.merge_inds(dedupe.as_set(W.core(spark, small)), 37)
     assert "MapInArrow" not in pairs._jdf.queryExecution().toString() and pairs.count() > 0
+
+
+def test_no_candidate_is_too_many(spark):
+    """A million candidates of three columns at a level, more combinations than masks are for: all counted, none refused."""
+    n = 102
+    refs = [f"r{k}" for k in range(n)]
+    tables = {"t": (["a", "b", "c"], [("1", "1", "1")]), "u": (refs, [("1",) * n, tuple(f"x{k}" for k in range(n))])}
+    counts, stopped = find.levels(build(spark, tables))
+    assert not stopped and [(c["arity"], c["candidates"], c["valid"]) for c in counts[1:]] == [(2, 3 * n * (n - 1), 3 * n * (n - 1)), (3, n * (n - 1) * (n - 2), n * (n - 1) * (n - 2))]
+
+
+@pytest.mark.parametrize("nulls", ["equal", "ignore"])
+@pytest.mark.parametrize("at_once", [5_000, 200_000_000])
+def test_combinations_as_rows_agree_with_masks(spark, small, monkeypatch, nulls, at_once):
+    monkeypatch.setattr(lattice, "PROBE_PAIRS", 1)
+    monkeypatch.setattr(lattice, "PAIRS_AT_ONCE", at_once)  # several jobs, or one
+    catalog = W.sparse(spark, small)
+    first = lattice.written(lattice.as_level(unary_pairs(catalog, nulls=nulls), catalog), "level")
+    level = lattice.written(lattice.next_level(first, 1), "level")
+    want = lattice.exact_check(catalog, nulls)(level, lattice.combos_of(level)).collect()
+    got = lattice.exact_check(catalog, nulls)(level, lattice.combos_of(level, 0)).collect()
+    assert want and len(want) < level.count() and sorted(map(tuple, got)) == sorted(map(tuple, want))
+
+
+def test_empty_tables_have_all_levels(spark):
+    """Nothing rules anything out where there are no rows: each list of columns is in each other one, up to the widest."""
+    wide, narrow = [f"a{k}" for k in range(7)], [f"b{k}" for k in range(5)]
+    counts, stopped = find.levels(build(spark, {"t": (wide, []), "u": (narrow, [])}))
+    ways = lambda n, m, k: math.comb(n, k) * math.perm(m, k) if m >= k else 0
+    want = [sum(ways(n, m, k) for n, m in ((7, 5), (5, 7), (7, 7 - k), (5, 5 - k))) for k in range(1, 6)]
+    assert not stopped and [c["valid"] for c in counts] == want and [c["candidates"] for c in counts[1:]] == want[1:]
