@@ -331,3 +331,13 @@ def test_empty_tables_have_all_levels(spark):
     ways = lambda n, m, k: math.comb(n, k) * math.perm(m, k) if m >= k else 0
     want = [sum(ways(n, m, k) for n, m in ((7, 5), (5, 7), (7, 7 - k), (5, 5 - k))) for k in range(1, 6)]
     assert not stopped and [c["valid"] for c in counts] == want and [c["candidates"] for c in counts[1:]] == want[1:]
+
+
+def test_profile_counts_all_levels(spark):
+    """A level with more than a hundred thousand candidates is counted like the others."""
+    n = 50
+    refs = [f"r{k}" for k in range(n)]
+    tables = {"t": (["a", "b", "c"], [("1", "1", "1")]), "u": (refs, [("1",) * n, tuple(f"x{k}" for k in range(n))])}
+    row = find.profile({"one": build(spark, tables)}).first()
+    assert (row["unary_inds"], row["max_arity"]) == (6 + 3 * n, 3)
+    assert row["nary_inds"] == 6 + 3 * n + 3 * n * (n - 1) + n * (n - 1) * (n - 2)
